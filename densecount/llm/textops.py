@@ -85,7 +85,7 @@ def column(col) -> tuple[np.ndarray, np.ndarray]:
     return data[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def blocks(batches, limit: int = BLOCK_BYTES, text: str = "text") -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+def blocks(batches, limit: int = BLOCK_BYTES, text: str = "text", rows: int = 1 << 30) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
     """Cut record batches into (rows, bytes, offsets) of about ``limit`` text bytes."""
     for batch in batches:
         if not batch.num_rows:
@@ -94,7 +94,7 @@ def blocks(batches, limit: int = BLOCK_BYTES, text: str = "text") -> Iterator[tu
         start, n = 0, batch.num_rows
         while start < n:
             stop = int(np.searchsorted(offsets, offsets[start] + limit, "right")) - 1
-            stop = min(max(stop, start + 1), n)
+            stop = min(max(stop, start + 1), start + rows, n)
             lo, hi = offsets[start], offsets[stop]
             yield batch.slice(start, stop - start), data[lo:hi], offsets[start : stop + 1] - lo
             start = stop
