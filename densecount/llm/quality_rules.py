@@ -93,10 +93,13 @@ class QualitySpec:
     min_words: int = 50
     max_repeat_percent: int = 50
     iterations: int = 25
-    prior_good: float = 0.85
+    prior_good: float = 0.9
     keep_from: float = 0.5
-    #: upper bound of P(bad vote | good document): rules are written to spare good ones
-    max_false_alarm: float = 0.015
+    #: bounds of the evidence, as odds for good: a bad vote counts at least 1:50, as rules
+    #: are written to spare good documents; a good vote and an abstention count a little at
+    #: most, as most rules hold for most junk too
+    evidence: tuple = ((1e-6, 1 / 50), (1.0, 1.1), (1.0, 1.3))
+    prior_range: tuple = (0.75, 0.95)
     #: share above which the rule votes bad; below it such a rule abstains, as the absence
     #: of one kind of junk says little
     limits: dict = field(default_factory=lambda: {"symbols": 0.1, "dup_lines": 0.3, "repeats": 0.48, "shouts": 0.25})
@@ -119,7 +122,7 @@ def votes(spec: QualitySpec) -> dict[str, Column]:
     distinct = F.col("n_distinct") / n
     return {
         "length": F.when(words >= 2 * spec.min_words, 1).otherwise(0),
-        "word_size": _vote((length >= 3.5) & (length <= 9), (length < 2.5) | (length > 14)),
+        "word_size": _vote((length >= 3.5) & (length <= 9), (length < 1.8) | (length > 20)),
         "symbols": share("symbols", F.col("n_symbols") / n),
         "dup_lines": F.when(F.col("n_dup_lines") < spec.min_dup_lines, 0).otherwise(share("dup_lines", F.col("n_dup_lines") / F.greatest(F.col("n_lines"), F.lit(1)))),
         "repeats": share("repeats", F.col("n_repeat_words") / n),
@@ -137,12 +140,16 @@ def _em(patterns: DataFrame, rules: int, spec: QualitySpec) -> DataFrame:
     kinds = F.array(F.lit(-1), F.lit(0), F.lit(1))
     rows = patterns.agg(F.array_sort(F.collect_list(F.struct("v", "n"))).alias("rows"))
 
-    def log_like(v: Column, table: Column) -> Column:
-        return F.aggregate(each, F.lit(0.0), lambda s, j: s + F.log(F.get(F.get(table, j), F.get(v, j) + 1)))
+    low, high = (F.array(*[F.lit(float(x[i])) for x in spec.evidence]) for i in (0, 1))
+
+    def log_odds(v: Column, s: Column, j: Column) -> Column:
+        k = F.get(v, j) + 1
+        ratio = F.get(F.get(s["good"], j), k) / F.get(F.get(s["bad"], j), k)
+        return F.log(F.greatest(F.get(low, k), F.least(F.get(high, k), ratio)))
 
     def posterior(v: Column, s: Column) -> Column:
-        odds = F.log(s["prior"]) - F.log(1 - s["prior"]) + log_like(v, s["good"]) - log_like(v, s["bad"])
-        return 1 / (1 + F.exp(-F.greatest(F.lit(-60.0), F.least(F.lit(60.0), odds))))
+        odds = F.aggregate(each, F.log(s["prior"] / (1 - s["prior"])), lambda t, j: t + log_odds(v, s, j))
+        return 1 / (1 + F.exp(-odds))
 
     total = F.aggregate("rows", F.lit(1.0), lambda t, r: t + r["n"])
 
@@ -156,11 +163,7 @@ def _em(patterns: DataFrame, rules: int, spec: QualitySpec) -> DataFrame:
 
         def row(j: Column) -> Column:
             counts = F.transform(kinds, lambda k: one(j, k))
-            limit = spec.max_false_alarm if side == "g" else 1.0
-            return F.transform(
-                F.array(counts),
-                lambda c: F.transform(c, lambda x, k: F.least(x / (F.get(c, F.lit(0)) + F.get(c, F.lit(1)) + F.get(c, F.lit(2))), F.when(k == 0, limit).otherwise(1.0))),
-            )
+            return F.transform(F.array(counts), lambda c: F.transform(c, lambda x: x / (F.get(c, F.lit(0)) + F.get(c, F.lit(1)) + F.get(c, F.lit(2)))))
 
         return F.transform(each, lambda j: F.get(row(j), F.lit(0)))
 
@@ -169,7 +172,7 @@ def _em(patterns: DataFrame, rules: int, spec: QualitySpec) -> DataFrame:
         inner = F.transform(
             F.array(weighted),
             lambda w: F.struct(
-                F.greatest(F.lit(0.5), F.least(F.lit(0.99), F.aggregate(w, F.lit(spec.prior_good), lambda t, r: t + r["g"]) / F.aggregate(w, F.lit(1.0), lambda t, r: t + r["g"] + r["b"]))).alias("prior"),
+                F.greatest(F.lit(spec.prior_range[0]), F.least(F.lit(spec.prior_range[1]), F.aggregate(w, F.lit(spec.prior_good), lambda t, r: t + r["g"]) / F.aggregate(w, F.lit(1.0), lambda t, r: t + r["g"] + r["b"]))).alias("prior"),
                 tally(w, "g").alias("good"),
                 tally(w, "b").alias("bad"),
             ),
@@ -196,6 +199,6 @@ def judge(docs: DataFrame, spec: QualitySpec = QualitySpec()) -> DataFrame:
 
     odds = F.lit(log(fit["prior"] / (1 - fit["prior"])))
     for j, rule in enumerate(rules.values()):
-        weights = [log(g / b) for g, b in zip(fit["good"][j], fit["bad"][j], strict=True)]
+        weights = [log(max(lo, min(hi, g / b))) for g, b, (lo, hi) in zip(fit["good"][j], fit["bad"][j], spec.evidence, strict=True)]
         odds = odds + F.when(rule < 0, weights[0]).when(rule > 0, weights[2]).otherwise(weights[1])
     return counted.withColumns({"base_failed": failed, "p_good": 1 / (1 + F.exp(-odds))}).withColumn("kept", ~F.col("base_failed") & (F.col("p_good") >= spec.keep_from))
