@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, license_scan, line_dedup, ngram_join, packing, quality_rules
+from . import bwt_dedup, decontaminate, fm_dedup, license_scan, line_dedup, ngram_join, packing, quality_rules
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -41,6 +41,14 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_docs(spark, sf_dir))
 
 
+def op9_fm_index_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return fm_dedup.dedup(_docs(spark, sf_dir))
+
+
+def op10_bwt_merge_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bwt_dedup.dedup(_docs(spark, sf_dir))
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -48,7 +56,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_license_scan, op2_decontamination, op3_ngram_jaccard_join, op4_line_dedup, op7_quality_rules, op8_packing, pipeline)
+    f.__name__: f for f in (op1_license_scan, op2_decontamination, op3_ngram_jaccard_join, op4_line_dedup, op7_quality_rules, op8_packing, op9_fm_index_dedup, op10_bwt_merge_dedup, pipeline)
 }
 
 OP4_SQL = r"""
