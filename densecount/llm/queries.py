@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bwt_dedup, decontaminate, fm_dedup, license_scan, line_dedup, ngram_join, packing, quality_rules
+from . import bwt_dedup, decontaminate, fm_dedup, license_scan, line_dedup, ngram_join, packing, quality_rules, suffix_lm, toxicity
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -31,6 +31,14 @@ def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return done.select("doc_id", "n_lines", "n_removed", F.md5("text").alias("kept_md5"))
 
 
+def op5_toxicity_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def op6_suffix_tree_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_lm.score(_docs(spark, sf_dir))
+
+
 def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.judge(_docs(spark, sf_dir)).select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "p_good"
@@ -56,7 +64,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_license_scan, op2_decontamination, op3_ngram_jaccard_join, op4_line_dedup, op7_quality_rules, op8_packing, op9_fm_index_dedup, op10_bwt_merge_dedup, pipeline)
+    f.__name__: f for f in (op1_license_scan, op2_decontamination, op3_ngram_jaccard_join, op4_line_dedup, op5_toxicity_crf, op6_suffix_tree_lm, op7_quality_rules, op8_packing, op9_fm_index_dedup, op10_bwt_merge_dedup, pipeline)
 }
 
 OP4_SQL = r"""
