@@ -3,20 +3,19 @@
 A document is its set of word n-grams (48-bit hashes). Equal sets form one class. Tokens
 are ordered rare before frequent; two sets that are similar enough share at least two
 tokens within prefixes that are two tokens longer than the unavoidable loss. So in an
-extended prefix every rare token is indexed alone, and frequent tokens are indexed as
-combinations of two: a similar pair shares a rare one, or two frequent ones. (Sets so large
+extended prefix every rarer token is indexed alone, and frequent tokens are indexed as
+combinations of two: a similar pair shares a rarer one, or two frequent ones. (Sets so large
 that combinations would explode index frequent tokens alone; sizes near that border do
-both, so no pair is lost.)
+both, so no pair is lost.) Tokens that no other set holds fill prefixes but need no index.
 
-Index entries travel as packed arrays, a row per (block, bucket). Small buckets yield all
+How frequent a token is, is counted over all documents: blocks of documents ask for their
+distinct tokens, a row of packed arrays per (block, bucket), and get a frequency class for
+each back in the same order. Index entries travel the same way. Small buckets yield all
 their pairs of fitting sizes. A large bucket first yields a chain and a star; once those
 are verified and joined to components, it yields the pairs whose ends are still in
-different components. Verification counts the intersection of the two sets. What comes out
-is complete as to components: no link between different texts is lost.
-
-Frequent tokens are those that at least ``common`` of all documents hold, counted over all
-documents; there can be no more of them than the mean set size over that share, which
-bounds what is broadcast.
+different components. For verification sets meet by their least token, each sent once to
+where most of its pairs are; what comes out is complete as to components: no link between
+different texts is lost.
 
 Edge cases: null and empty texts have empty sets and link with nothing; texts with fewer
 words than n have one shingle, their whole sequence; a null doc_id links with nothing and
@@ -33,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import store, textops
+from . import packs, store, textops
 from .components import components
 
 _U = np.uint64
@@ -44,11 +43,11 @@ _LOW = _U((1 << 48) - 1)
 class JoinSpec:
     n: int = 5
     percent: int = 80
-    common: float = 1e-3
-    least_common: int = 50
+    frequent: int = 200  # sets that hold a token of the frequent class
     combine_below: int = 600  # set size from which frequent tokens are indexed alone
     all_pairs: int = 12  # bucket size up to which all its pairs are candidates
-    bucket_bytes: int = 4 << 20
+    bucket_bytes: int = 8 << 20
+    meet: int = 400  # sets that meet in one place
 
 
 class Sets:
@@ -88,83 +87,126 @@ def _need(size, percent: int):
     return -(-percent * size // 100)
 
 
-MAX_DOCS = 30_000
-_FACTS = store.schema("doc_id long, token long, n long")
+_ASK = store.schema("bucket int, block long, tokens binary, counts binary, sizes binary")
+_CLASS = store.schema("block long, bucket int, classes binary")
+_FACT = store.schema("doc_id long, sig long, n long")
+_FACTS_BUCKET = -1
+
+
+class Asked:
+    """A block's sets, which of them stand for their class, and the distinct tokens of
+    those, dealt out by bucket."""
+
+    def __init__(self, row: dict, spec: JoinSpec, buckets: int) -> None:
+        self.pack = packs.Pack(row)
+        self.sets = Sets(self.pack.data, self.pack.offsets, spec.n)
+        self.sig = self.sets.signature()
+        _, first = np.unique(np.where(self.pack.known & (self.sets.size > 0), self.sig, 0), return_index=True)
+        self.one = np.zeros(len(self.sig), bool)
+        self.one[first] = True
+        self.one &= self.pack.known & (self.sets.size > 0)
+        token, self.count = np.unique(self.sets.tokens[self.one[self.sets.doc]], return_counts=True)
+        bucket = (token * _U(buckets) >> _U(48)).astype(np.int32)  # by range, so order stays
+        self.token, self.buckets, self.begin = token, *np.unique(bucket, return_index=True)
+        self.end = np.append(self.begin[1:], len(token))
+
+
+def _asks(blocks: DataFrame, spec: JoinSpec, buckets: int) -> DataFrame:
+    def run(batches):
+        for batch in batches:
+            for row in batch.to_pylist():
+                x = Asked(row, spec, buckets)
+                ids = np.where(x.pack.known, x.pack.ids, 0)
+                yield store.rows(_ASK, bucket=[_FACTS_BUCKET], block=[x.pack.block], tokens=[store.pack(ids)], counts=[store.pack(x.sig)], sizes=[store.pack(np.where(x.pack.known, x.sets.size, -1 - x.sets.size))])
+                for k, a, b in zip(x.buckets.tolist(), x.begin, x.end):
+                    step = np.diff(x.token[a:b], prepend=np.uint64(0))
+                    yield store.rows(_ASK, bucket=[k], block=[x.pack.block], tokens=[store.pack(step)], counts=[store.pack(x.count[a:b].astype(np.int32))], sizes=[None])
+
+    return blocks.mapInArrow(run, _ASK)
 
 
-def _facts(docs: DataFrame, spec: JoinSpec) -> DataFrame:
-    """A row (doc_id, signature, set size) per document, and rows (null, token, count) of
-    tokens that several documents of a block hold."""
+def _facts(asked: DataFrame) -> DataFrame:
+    """(doc_id, sig, n) of every document."""
 
     def run(batches):
-        for batch, data, offsets in textops.blocks(batches, rows=MAX_DOCS):
-            sets = Sets(data, offsets, spec.n)
-            sig = sets.signature()
-            _, once = np.unique(sig, return_index=True)
-            one = np.zeros(len(sig), bool)
-            one[once] = True
-            token, many = np.unique(sets.tokens[one[sets.doc]], return_counts=True)
-            some = many >= 3
-            ids = batch.column(0)
-            yield store.rows(_FACTS, doc_id=ids, token=pa.array(sig), n=pa.array(sets.size))
-            k = int(some.sum())
-            yield store.rows(_FACTS, doc_id=pa.nulls(k, pa.int64()), token=pa.array(token[some].view(np.int64)), n=pa.array(-many[some]))
+        for batch in batches:
+            for row in batch.to_pylist():
+                ids, size = store.unpack(row["tokens"], np.int64), store.unpack(row["sizes"], np.int64)
+                yield store.rows(_FACT, doc_id=pa.array(ids, pa.int64(), mask=size < 0), sig=pa.array(store.unpack(row["counts"], np.int64)), n=pa.array(np.where(size < 0, -1 - size, size)))
+
+    return asked.where(F.col("bucket") == _FACTS_BUCKET).mapInArrow(run, _FACT)
 
-    return docs.mapInArrow(run, _FACTS)
 
+def _classes(spec: JoinSpec):
+    """Frequency classes of a bucket's tokens: 0 in one set only, up to 3 frequent."""
 
-_INDEX = store.schema("bucket int, keys binary, sets binary, sizes binary")
+    def run(table: pa.Table) -> pa.Table:
+        asked = [np.cumsum(store.unpack(x, np.uint64)) for x in table["tokens"].to_pylist()]
+        counts = [store.unpack(x, np.int32) for x in table["counts"].to_pylist()]
+        token, each = np.unique(np.concatenate(asked), return_inverse=True)
+        total = np.bincount(each, np.concatenate(counts))
+        level = np.searchsorted([2, 16, spec.frequent], total, "right").astype(np.uint8)[each]
+        cut = np.cumsum([len(x) for x in asked])[:-1]
+        return pa.table({"block": table["block"], "bucket": table["bucket"], "classes": pa.array([store.pack(x) for x in np.split(level, cut)], pa.binary())})
+
+    return run
 
 
-def _prefix(sets: Sets, heavy: np.ndarray, spec: JoinSpec):
+_INDEX = store.schema("bucket int, keys binary, sets binary, sizes binary, sig long, n int, least long, tokens binary")
+
+
+def _prefix(x: Asked, level: np.ndarray, spec: JoinSpec):
     """Index keys of a block: (key, document) arrays."""
-    size = sets.size
-    length = np.where(size > 1, np.minimum(size - _need(size, spec.percent) + 2, size), 0)
-    at = np.minimum(np.searchsorted(heavy["token"], sets.tokens), max(len(heavy) - 1, 0)) if len(heavy) else np.zeros(len(sets.tokens), np.int64)
-    common = heavy["token"][at] == sets.tokens if len(heavy) else np.zeros(len(sets.tokens), bool)
-    rank = np.where(common, heavy["n"][at] + 1 if len(heavy) else 0, 0)
-    tokens, flags = sets.tokens.copy(), common.copy()
-    mixed = np.unique(sets.doc[common])
-    if len(mixed):  # sets are in token order already; only those with frequent tokens change
-        pick = textops.ranges(sets.ptr[mixed], size[mixed])
-        order = pick[np.lexsort((tokens[pick], rank[pick], sets.doc[pick]))]
-        tokens[pick], flags[pick] = tokens[order], common[order]
-    take = textops.ranges(sets.ptr[:-1], length)
-    doc, tok, com = sets.doc[take], tokens[take], flags[take]
-    alone = ~com | (size[doc] >= spec.combine_below * spec.percent // 100)
-    keys, owner = [tok[alone]], [doc[alone]]
-    pairable = com & (size[doc] <= spec.combine_below * 100 // spec.percent)
-    for d in np.unique(doc[pairable]):
-        t = np.sort(tok[pairable & (doc == d)]) if len(mixed) < 4 else np.sort(tok[np.searchsorted(doc, d) : np.searchsorted(doc, d, "right")][com[np.searchsorted(doc, d) : np.searchsorted(doc, d, "right")]])
+    sets, size = x.sets, x.sets.size
+    length = np.where(x.one & (size > 1), np.minimum(size - _need(size, spec.percent) + 2, size), 0)
+    order = np.argsort((sets.doc << 2) | level, kind="stable")  # tokens of a set are in order already
+    take = order[textops.ranges(sets.ptr[:-1], length)]
+    doc, token, rank = sets.doc[take], sets.tokens[take], level[take]
+    common = rank == 3
+    alone = ((rank > 0) & ~common) | (common & (size[doc] >= spec.combine_below * spec.percent // 100))
+    keys, owner = [token[alone]], [doc[alone]]
+    pairable = common & (size[doc] <= spec.combine_below * 100 // spec.percent)
+    token, doc = token[pairable], doc[pairable]
+    here, begin = np.unique(doc, return_index=True)
+    for d, a, b in zip(here, begin, np.append(begin[1:], len(doc))):
+        t = np.sort(token[a:b])
         i, j = np.triu_indices(len(t), 1)
         keys.append(textops.mix(t[i] * _U(0x9E3779B97F4A7C15) + t[j]) & _LOW)
         owner.append(np.full(len(i), d))
     return np.concatenate(keys), np.concatenate(owner)
 
 
-def _index(docs: DataFrame, heavy: np.ndarray, buckets: int, spec: JoinSpec) -> DataFrame:
+def _index(joined: DataFrame, asks: int, buckets: int, spec: JoinSpec) -> DataFrame:
+    """Index rows by bucket, and a row (sig, n, least token, tokens) per indexed set."""
+
     def run(batches):
-        for batch, data, offsets in textops.blocks(batches, rows=MAX_DOCS):
-            sets = Sets(data, offsets, spec.n)
-            sig = sets.signature()
-            _, once = np.unique(sig, return_index=True)
-            one = np.zeros(len(sig), bool)
-            one[once] = True
-            one &= np.asarray(batch.column(0).is_valid())
-            key, doc = _prefix(sets, heavy, spec)
-            keep = one[doc]
-            key, doc = key[keep], doc[keep]
-            bucket = (textops.mix(key) % _U(buckets)).astype(np.int32)
-            order = np.argsort(bucket, kind="stable")
-            key, doc, bucket = key[order], doc[order], bucket[order]
-            here, begin = np.unique(bucket, return_index=True)
-            end = np.append(begin[1:], len(bucket))
-            yield store.rows(
-                _INDEX, bucket=pa.array(here), keys=[store.pack(key[a:b]) for a, b in zip(begin, end)],
-                sets=[store.pack(sig[doc[a:b]]) for a, b in zip(begin, end)], sizes=[store.pack(sets.size[doc[a:b]].astype(np.int32)) for a, b in zip(begin, end)],
-            )
-
-    return docs.mapInArrow(run, _INDEX)
+        for batch in batches:
+            for row in batch.to_pylist():
+                x = Asked(row, spec, asks)
+                found = [store.unpack(r["classes"], np.uint8) for r in sorted(row["answers"], key=lambda r: r["bucket"])]
+                level = np.concatenate([*found, np.zeros(0, np.uint8)])
+                if len(x.token):
+                    at = np.minimum(np.searchsorted(x.token, x.sets.tokens), len(x.token) - 1)
+                    key, doc = _prefix(x, np.where(x.one[x.sets.doc], level[at], 0), spec)
+                else:
+                    key, doc = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+                bucket = (textops.mix(key) % _U(buckets)).astype(np.int32)
+                order = np.argsort(bucket, kind="stable")
+                key, owner, bucket = key[order], doc[order], bucket[order]
+                here, begin = np.unique(bucket, return_index=True)
+                nothing = dict(sig=[None], n=[None], least=[None], tokens=[None])
+                for k, a, b in zip(here.tolist(), begin, np.append(begin[1:], len(bucket))):
+                    yield store.rows(_INDEX, bucket=[k], keys=[store.pack(key[a:b])], sets=[store.pack(x.sig[owner[a:b]])], sizes=[store.pack(x.sets.size[owner[a:b]].astype(np.int32))], **nothing)
+                some = np.unique(doc)
+                if len(some):
+                    a, b = x.sets.ptr[some], x.sets.ptr[some + 1]
+                    none = pa.nulls(len(some), pa.binary())
+                    yield store.rows(
+                        _INDEX, bucket=pa.nulls(len(some), pa.int32()), keys=none, sets=none, sizes=none, sig=pa.array(x.sig[some]), n=pa.array(x.sets.size[some].astype(np.int32)),
+                        least=pa.array(x.sets.tokens[a].view(np.int64)), tokens=[_six(x.sets.tokens[i:j]) for i, j in zip(a, b, strict=True)],
+                    )
+
+    return joined.mapInArrow(run, _INDEX)
 
 
 #: key is null for a pair (a, b); else the row says that set a (size n) is in a large bucket
@@ -214,9 +256,6 @@ def _bucket_pairs(spec: JoinSpec):
     return run
 
 
-_SET = store.schema("id long, n int, tokens binary")
-
-
 def _six(x: np.ndarray) -> bytes:
     """48-bit tokens, six bytes each."""
     return x.view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
@@ -229,97 +268,82 @@ def _eight(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return out.view(np.uint64).ravel(), np.concatenate([[0], np.cumsum([len(x) // 6 for x in blobs])]).astype(np.int64)
 
 
-def _sets_of(docs: DataFrame, ids: DataFrame, spec: JoinSpec) -> DataFrame:
-    def run(batches):
-        for batch, data, offsets in textops.blocks(batches, rows=MAX_DOCS):
-            sets = Sets(data, offsets, spec.n)
-            yield store.rows(_SET, id=batch.column(0), n=pa.array(sets.size.astype(np.int32)), tokens=[_six(sets.tokens[a:b]) for a, b in zip(sets.ptr, sets.ptr[1:])])
-
-    return docs.join(ids, docs["doc_id"] == ids["id"], "left_semi").mapInArrow(run, _SET)
-
-
 _LINK = store.schema("a long, b long")
 
 
-def _verify(pairs: DataFrame, sets: DataFrame, spec: JoinSpec) -> DataFrame:
-    """The pairs (a, b) whose sets are similar."""
+def _verify(pairs: DataFrame, sets: DataFrame, places: int, spec: JoinSpec) -> DataFrame:
+    """The pairs (a, b) of sets that are similar.
+
+    Pairs meet where their common least token says (large gatherings in a grid of chunks),
+    or else at one of the two; every set is sent once to each place that needs it."""
+    many = sets.groupBy("least").agg(F.ceil(F.count(F.lit(1)) / spec.meet).alias("chunks"))
+    attrs = sets.select("sig", "least").join(many, "least")
+    a = attrs.select(F.col("sig").alias("a"), F.col("least").alias("la"), "chunks")
+    b = attrs.select(F.col("sig").alias("b"), F.col("least").alias("lb"))
+    chunk = lambda c: F.pmod(F.xxhash64(c), F.col("chunks"))
+    place = F.when(F.col("la") == F.col("lb"), F.xxhash64("la", chunk("a"), chunk("b"))).otherwise(F.xxhash64("a"))
+    met = pairs.join(a, "a").join(b, "b").select("a", "b", F.pmod(place, F.lit(places)).cast("int").alias("place"))
+    need = met.select("place", F.explode(F.array("a", "b")).alias("sig")).distinct()
+    sent = need.join(sets.select("sig", "tokens"), "sig").select(F.col("place").alias("spot"), "sig", "tokens")
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        sig, (token, ptr) = right["sig"].to_numpy(), _eight(right["tokens"].to_pylist())
+        order = np.argsort(sig)
+        x, y = (order[np.searchsorted(sig, left[c].to_numpy(), sorter=order)] for c in ("a", "b"))
+        size = np.diff(ptr)
+        good = []
+        for at in range(0, len(x), 300):
+            i, j = x[at : at + 300], y[at : at + 300]
+            row = np.arange(len(i)).astype(np.uint64) << _U(48)
+            both = np.concatenate([token[textops.ranges(ptr[i], size[i])] | np.repeat(row, size[i]), token[textops.ranges(ptr[j], size[j])] | np.repeat(row, size[j])])
+            both.sort()
+            shared = np.bincount((both[1:][both[1:] == both[:-1]] >> _U(48)).astype(np.int64), minlength=len(i))
+            good.append(100 * shared >= spec.percent * (size[i] + size[j] - shared))
+        keep = pa.array(np.concatenate([np.zeros(0, bool), *good]))
+        return left.select(["a", "b"]).filter(keep)
 
-    def run(batches):
-        for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                x, px = _eight(part.column(part.schema.get_field_index("ta")).to_pylist())
-                y, py = _eight(part.column(part.schema.get_field_index("tb")).to_pylist())
-                if not part.num_rows:
-                    continue
-                row = np.arange(part.num_rows).astype(np.uint64) << _U(48)
-                both = np.concatenate([x | np.repeat(row, np.diff(px)), y | np.repeat(row, np.diff(py))])
-                both.sort()
-                same = (both[1:][both[1:] == both[:-1]] >> _U(48)).astype(np.int64)
-                shared = np.bincount(same, minlength=part.num_rows)
-                union = np.diff(px) + np.diff(py) - shared
-                ok = pa.array(100 * shared >= spec.percent * union)
-                yield store.rows(_LINK, a=part.column(part.schema.get_field_index("a")).filter(ok), b=part.column(part.schema.get_field_index("b")).filter(ok))
-
-    left = sets.select(F.col("id").alias("a"), F.col("tokens").alias("ta"))
-    right = sets.select(F.col("id").alias("b"), F.col("tokens").alias("tb"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "ta", "tb").mapInArrow(run, _LINK)
+    return met.groupBy("place").cogroup(sent.groupBy("spot")).applyInArrow(run, _LINK)
 
 
 def join(docs: DataFrame, spec: JoinSpec = JoinSpec()) -> DataFrame:
     """(doc_id, n_shingles, class_id, component_id): the least doc_id with the same set, and
     the least doc_id reachable over links between sets that are similar enough."""
-    docs = store.documents(docs, "doc_id", "text")
-    facts = store.settle(_facts(docs, spec), "sets")
-    sized = facts.where("n >= 0").select("doc_id", F.col("token").alias("sig"), "n")
-    total = sized.agg(F.count(F.lit(1)).alias("docs"), F.sum("n").alias("tokens")).first()
-    least = max(spec.least_common, int(spec.common * total["docs"]))
-    heavy_rows = facts.where("n < 0").groupBy("token").agg((-F.sum("n")).alias("n")).where(F.col("n") >= least)
-    found = heavy_rows.toArrow()  # at most tokens / least rows
-    heavy = np.zeros(found.num_rows, [("token", np.uint64), ("n", np.int64)])
-    heavy["token"], heavy["n"] = found["token"].to_numpy().view(np.uint64), found["n"].to_numpy()
-    heavy.sort(order="token")
-
-    entries = (total["tokens"] or 0) * (100 - spec.percent) // 100
-    buckets = max(8, entries * 20 // spec.bucket_bytes)
-    index = _index(docs, heavy, buckets, spec)
-    raw = store.settle(index.groupBy("bucket").applyInArrow(_bucket_pairs(spec), _PAIRS), "candidates")
-
-    classes = sized.where("doc_id is not null and n > 0").groupBy("sig", "n").agg(F.min("doc_id").alias("id"))
-    classes = store.settle(classes, "classes")
-    by_sig = classes.select("sig", "id")
-
-    def named(pairs: DataFrame) -> DataFrame:
-        a, b = by_sig.select(F.col("sig").alias("a"), F.col("id").alias("ia")), by_sig.select(F.col("sig").alias("b"), F.col("id").alias("ib"))
-        both = pairs.join(a, "a").join(b, "b")
-        return both.select(F.least("ia", "ib").alias("a"), F.greatest("ia", "ib").alias("b")).distinct()
-
-    pairs = store.settle(named(raw.where("key is null").select("a", "b").distinct()), "pairs")
+    blocks = store.settle(packs.packs(store.documents(docs, "doc_id", "text")), "packs")
+    size = blocks.agg(F.sum("bytes")).first()[0] or 0
+    asks = max(8, size // (24 << 20))
+    asked = store.settle(_asks(blocks, spec, asks), "asks")
+    answers = asked.where(F.col("bucket") != _FACTS_BUCKET).groupBy("bucket").applyInArrow(_classes(spec), _CLASS)
+    answers = answers.groupBy("block").agg(F.collect_list(F.struct("bucket", "classes")).alias("answers"))  # as many as a block asked
+    sized = _facts(asked)
+
+    buckets = max(8, size // (spec.bucket_bytes * 4))
+    index = store.settle(_index(blocks.join(answers, "block"), asks, buckets, spec), "index")
+    raw = store.settle(index.where("bucket is not null").select("bucket", "keys", "sets", "sizes").groupBy("bucket").applyInArrow(_bucket_pairs(spec), _PAIRS), "candidates")
+    pairs = raw.where("key is null").select("a", "b").distinct()
     large = raw.where("key is not null").select("key", F.col("a").alias("sig"), "n")
-    members = large.select("sig").distinct().join(by_sig, "sig").select("id")
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).unionByName(members).distinct()
-    sets = store.settle(_sets_of(docs, ids, spec), "tokens")
-
-    # one pair per set first: what these join needs no further look
-    first = pairs.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
-    links = store.settle(_verify(first, sets, spec), "verified")
-    label = store.settle(components(links), "labels")
-
-    def differ(p: DataFrame) -> DataFrame:
-        la, lb = label.select(F.col("node").alias("a"), F.col("least").alias("la")), label.select(F.col("node").alias("b"), F.col("least").alias("lb"))
-        out = p.join(la, "a", "left").join(lb, "b", "left")
-        return out.where(F.coalesce("la", "a") != F.coalesce("lb", "b")).select("a", "b")
-
-    rest = differ(pairs.join(first, ["a", "b"], "left_anti"))
-    labelled = large.join(by_sig, "sig").join(label, F.col("id") == label["node"], "left").select("key", "id", "n", F.coalesce("least", "id").alias("least"))
-    cross = labelled.groupBy("key").applyInArrow(_cross_pairs(spec), _LINK).distinct()
-    rest = store.settle(rest.unionByName(cross).distinct(), "rest")
-    links = links.unionByName(_verify(rest, sets, spec))
-    label = store.settle(components(links), "labels")
-
-    each = sized.join(classes, ["sig", "n"], "left").join(label, F.col("id") == label["node"], "left")
-    class_id = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("id", "doc_id"))
-    return each.select("doc_id", F.col("n").alias("n_shingles"), class_id.alias("class_id"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.coalesce("least", "id", "doc_id")).alias("component_id"))
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("sig")).unionByName(large.select("sig")).distinct()
+    sets = index.where("bucket is null").select("sig", "n", "least", "tokens").dropDuplicates(["sig"]).join(wanted, "sig", "left_semi")
+    sets = store.settle(sets, "tokens")
+    places = max(8, (sets.agg(F.sum("n")).first()[0] or 0) * 12 // spec.bucket_bytes)
+
+    links = store.settle(_verify(pairs, sets, places, spec), "verified")
+    if large.limit(1).count():
+        label = store.settle(components(links), "labels")
+        named = large.join(label, F.col("sig") == label["node"], "left").select("key", F.col("sig").alias("id"), "n", F.coalesce("least", "sig").alias("least"))
+        mixed = named.groupBy("key").agg(F.min("least").alias("x"), F.max("least").alias("y")).where("x <> y").select("key")
+        cross = named.join(mixed, "key").groupBy("key").applyInArrow(_cross_pairs(spec), _LINK).distinct()
+        rest = store.settle(cross.join(pairs, ["a", "b"], "left_anti"), "rest")
+        links = links.unionByName(_verify(rest, sets, places, spec))
+    label = store.settle(components(links), "labels").select(F.col("node").alias("sig"), F.col("least").alias("label"))
+
+    # from classes to documents: the least document of each class and component
+    classes = sized.where("doc_id is not null and n > 0").groupBy("sig", "n").agg(F.min("doc_id").alias("class_id"))
+    classes = store.settle(classes.join(label, "sig", "left").withColumn("label", F.coalesce("label", "sig")), "classes")
+    low = classes.groupBy("label").agg(F.min("class_id").alias("component_id"))
+    ids = classes.join(low, "label").select("sig", "n", "class_id", "component_id")
+    each = sized.join(ids, ["sig", "n"], "left")
+    alone = F.col("n") == 0
+    return each.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.coalesce("class_id", "doc_id")).alias("class_id"), F.when(alone, F.col("doc_id")).otherwise(F.coalesce("component_id", "doc_id")).alias("component_id"))
 
 
 def _cross_pairs(spec: JoinSpec):
