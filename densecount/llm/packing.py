@@ -7,8 +7,8 @@ fits how often each is used, the counts are rounded down and the residual pieces
 best-fit, also as counts. The plan says which ranks of each length go to which sequences;
 pieces get their rank from per-partition counts, so nothing is gathered anywhere.
 
-Tokenising is exact and cheap: a byte-level BPE splits text before every single space
-between two visible characters, so such chunks are tokenised once each and looked up.
+Tokenising is exact and cheap: a byte-level BPE surely splits text at certain places (say,
+a single space between visible characters), so distinct chunks are tokenised once each.
 
 Edge cases: null texts are empty (their only token is the end id); an empty table packs
 into nothing; repeated rows are separate documents; extra columns are ignored.
@@ -16,6 +16,7 @@ into nothing; repeated rows are separate documents; extra columns are ignored.
 
 from __future__ import annotations
 
+import json
 import os
 import zlib
 from collections import Counter
@@ -46,11 +47,26 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
+#: how the byte-level vocabulary splits a text before merging (fixed value of the public tokenizer)
+SPLIT = r"""'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+
+
+def _byte_letters() -> dict[str, int]:
+    """The printable stand-ins that byte-level vocabularies write for bytes."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in plain]
+    return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
+
+
 class ChunkTokenizer:
-    """Token ids of whole texts from the ids of their distinct chunks."""
+    """Token ids of whole texts from the ids of their distinct chunks.
+
+    Chunks that are a space and letters can stand in any order without changing how a text
+    splits, so all new ones of a block are encoded as one text; others one by one. Other
+    kinds of tokenizers encode each text as it is."""
 
     #: distinct chunks remembered between blocks of a task; more only costs time
-    REMEMBER = 300_000
+    REMEMBER = 1_200_000
 
     def __init__(self, path: str) -> None:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
@@ -58,64 +74,106 @@ class ChunkTokenizer:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.special = [t.content.encode() for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.fast = self._byte_level(path)
         self._forget()
 
+    def _byte_level(self, path: str):
+        """A merge engine for a byte-level vocabulary whose ids are its merge ranks, or None."""
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        split, model = spec.get("pre_tokenizer") or {}, spec["model"]
+        if split.get("type") != "ByteLevel" or split.get("add_prefix_space") or not split.get("use_regex", True) or spec.get("normalizer") or model.get("type") != "BPE":
+            return None
+        import tiktoken
+
+        letters, added = _byte_letters(), {t["id"] for t in spec.get("added_tokens", [])}
+        ranks = {bytes(letters[c] for c in token): i for token, i in model["vocab"].items() if i not in added}
+        self.size_of = np.zeros(max(ranks.values()) + 1, np.int64)
+        self.size_of[list(ranks.values())] = [len(t) for t in ranks]
+        return tiktoken.Encoding("chunks", pat_str=SPLIT, mergeable_ranks=ranks, special_tokens={})
+
     def _forget(self) -> None:
         self.hashes, self.start, self.size = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self.ids = np.zeros(0, np.uint32)
 
     @staticmethod
-    def cuts(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-        """Starts of chunks: documents, and single spaces between visible characters."""
+    def letters(data: np.ndarray) -> np.ndarray:
+        """True for bytes of ASCII and Latin-1 letters (two bytes, the first C3)."""
+        low = data | np.uint8(32)
+        out = (low >= 97) & (low <= 122)
+        lead = data == 0xC3
+        if lead.any():
+            pair = np.zeros(len(data), bool)
+            pair[:-1] = lead[:-1] & (data[1:] != 0x97) & (data[1:] != 0xB7)
+            out |= pair
+            out[1:] |= pair[:-1]
+        return out
+
+    @classmethod
+    def cuts(cls, data: np.ndarray, offsets: np.ndarray, letter: np.ndarray) -> np.ndarray:
+        """Where a text surely splits: documents, a single space or newline between visible
+        characters (a newline also behind), and a letter before ASCII punctuation."""
         n = len(data)
-        if n < 3:
-            return np.unique(offsets[:-1][offsets[:-1] < n])
-        space = data == 32
-        plain = (data > 32) & (data < 127)
-        lead = data == 0xC3  # U+00C0..U+00FF: letters but for two signs
-        before = plain.copy()
-        before[1:] |= lead[:-1]
-        after = plain | lead
-        ok = np.zeros(n, bool)
-        ok[1:-1] = space[1:-1] & before[:-2] & after[2:]
-        ok[offsets[:-1][offsets[:-1] < n]] = True
-        # a document's last byte can't see the next document
-        edge = offsets[1:-1] - 1
-        edge = edge[(edge >= 0) & (edge < n)]
-        starts = np.zeros(n, bool)
-        starts[offsets[:-1][offsets[:-1] < n]] = True
-        ok[edge] &= starts[edge]
+        first = np.zeros(n, bool)
+        first[offsets[:-1][offsets[:-1] < n]] = True
+        visible = ((data > 32) & (data < 127)) | letter
+        mark = visible & ~letter & ~((data >= 48) & (data <= 57))
+        ok = first.copy()
+        if n > 2:
+            gap = np.zeros(n, bool)
+            gap[1:-1] = ((data[1:-1] == 32) | (data[1:-1] == 10)) & visible[:-2] & visible[2:] & ~first[1:-1] & ~first[2:]
+            ok |= gap
+            ok[1:] |= gap[:-1] & (data[:-1] == 10)
+            ok[1:] |= letter[:-1] & mark[1:]
         return np.flatnonzero(ok)
 
-    def _learn(self, hashes: np.ndarray, texts: list[str]) -> None:
-        if len(self.hashes) + len(hashes) > self.REMEMBER:
-            self._forget()
-        found = [e.ids for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
-        size = np.fromiter(map(len, found), np.int64, len(found))
-        ids = np.fromiter((x for f in found for x in f), np.uint32, int(size.sum()))
+    def _learn(self, hashes: np.ndarray, raw: bytes, starts: np.ndarray, ends: np.ndarray, pure: np.ndarray) -> None:
+        size, found = np.zeros(len(starts), np.int64), []
+        order = np.concatenate([np.flatnonzero(pure), np.flatnonzero(~pure)])
+        k = int(pure.sum())
+        if k:
+            chunks = [raw[a:b] for a, b in zip(starts[pure].tolist(), ends[pure].tolist(), strict=True)]
+            ids = np.array(self.fast.encode_ordinary(b"".join(chunks).decode()), np.uint32)
+            till = np.cumsum(self.size_of[ids])
+            last = np.searchsorted(till, np.cumsum((ends - starts)[pure]))
+            size[:k] = np.diff(np.concatenate([[-1], last]))
+            found.append(ids)
+        rest = [self.fast.encode_ordinary(raw[a:b].decode("utf-8", "replace")) for a, b in zip(starts[~pure].tolist(), ends[~pure].tolist(), strict=True)]
+        size[k:] = [len(x) for x in rest]
+        found.append(np.fromiter((x for f in rest for x in f), np.uint32))
         start = len(self.ids) + np.concatenate([[0], np.cumsum(size)[:-1]]).astype(np.int64) if len(size) else size
-        hashes = np.concatenate([self.hashes, hashes])
-        order = np.argsort(hashes)
-        self.hashes = hashes[order]
-        self.start, self.size = np.concatenate([self.start, start])[order], np.concatenate([self.size, size])[order]
-        self.ids = np.concatenate([self.ids, ids])
+        hashes = np.concatenate([self.hashes, hashes[order]])
+        by = np.argsort(hashes)
+        self.hashes = hashes[by]
+        self.start, self.size = np.concatenate([self.start, start])[by], np.concatenate([self.size, size])[by]
+        self.ids = np.concatenate([self.ids, *found])
 
     def encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(ids, offsets by document) of a block."""
         raw = data.tobytes()
-        if any(s in raw for s in self.special):
+        if self.fast is None or any(s in raw for s in self.special):
             found = [self.tokenizer.encode(raw[a:b].decode("utf-8", "replace"), add_special_tokens=False).ids for a, b in zip(offsets, offsets[1:])]
             return np.fromiter((x for f in found for x in f), np.uint32), np.concatenate([[0], np.cumsum([len(f) for f in found])]).astype(np.int64)
-        starts = self.cuts(data, offsets)
+        letter = self.letters(data)
+        starts = self.cuts(data, offsets, letter)
         ends = np.append(starts[1:], len(data)) if len(starts) else starts
         unique, first, each = np.unique(textops.word_hashes(data, starts, ends), return_index=True, return_inverse=True)
-        at = np.minimum(np.searchsorted(self.hashes, unique), max(len(self.hashes) - 1, 0))
-        new = np.ones(len(unique), bool) if not len(self.hashes) else self.hashes[at] != unique
+
+        def unknown() -> np.ndarray:
+            if not len(self.hashes):
+                return np.ones(len(unique), bool)
+            at = np.minimum(np.searchsorted(self.hashes, unique), len(self.hashes) - 1)
+            return self.hashes[at] != unique
+
+        new = unknown()
         if len(self.hashes) + new.sum() > self.REMEMBER:
             self._forget()
-            new[:] = True
+            new = unknown()
         if new.any():
-            self._learn(unique[new], [raw[starts[i] : ends[i]].decode("utf-8", "replace") for i in first[new]])
+            a, b = starts[first[new]], ends[first[new]]
+            count = np.concatenate([[0], np.cumsum(letter)])
+            pure = (data[a] == 32) & (count[b] - count[a] == b - a - 1) & (b - a > 1)
+            self._learn(unique[new], raw, a, b, pure)
         at = np.searchsorted(self.hashes, unique)
         begin, size = self.start[at][each], self.size[at][each]
         total = np.concatenate([[0], np.cumsum(size)])
