@@ -36,7 +36,7 @@ def max_ranks(df: DataFrame, key: str, by: Sequence[str], registers_: int, seed:
 
 def hll_text(table: str, registers_: int, correct: bool = True) -> str:
     """SQL: harmonic-mean estimate per group of (g, bucket, m), linear counting below 2.5 B."""
-    b = float(registers_)
+    b = f"CAST({registers_} AS DOUBLE)"
     alpha = 0.7213 / (1 + 1.079 / registers_)
     raw = f"({alpha!r} * {b} * {b} / (s + ({b} - filled)))"
     return f"""
@@ -80,7 +80,7 @@ def byte_hist_text(levels: str, registers_: int) -> str:
     registers (empty ones at rank -1 with all history seen) the estimate is a power of it.
     eta and the factor come from the Poisson model at high load; below 3 B, linear counting."""
     tau, eta, factor = history_eta()
-    b = float(registers_)
+    b = f"CAST({registers_} AS DOUBLE)"
     case = "(CASE " + " ".join(f"WHEN hist = {h} THEN {e!r}" for h, e in enumerate(eta)) + " END)"
     raw = f"({factor!r} * {b} * power(s / {b}, {-1 / tau!r}))"
     return f"""
@@ -122,11 +122,10 @@ def wide_registers(df: DataFrame, key: str, by: Sequence[str], registers_: int,
     rows = build.hashed(df, key, by, registers_, seed)
     low = F.pmod(F.shiftrightunsigned(F.col("h"), LOW_SHIFT), F.lit(1 << t))
     value = (F.col("z") * (1 << t) + low + 1).cast("int")
-    words = rows.select(*by, "bucket", value.alias("u")).distinct()
-    top = words.groupBy(*by, "bucket").agg(F.max("u").alias("u"))
-    near = words.withColumnRenamed("u", "v").join(top, [*by, "bucket"]).where((F.col("v") < F.col("u")) & (F.col("v") >= F.col("u") - d))
-    below = near.groupBy(*by, "bucket").agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.col("u") - F.col("v") - 1)).alias("below"))
-    return top.join(below, [*by, "bucket"], "left").select(*by, "bucket", "u", F.coalesce("below", F.lit(0).cast("long")).alias("below"))
+    values = rows.select(*by, "bucket", value.alias("v")).groupBy(*by, "bucket").agg(F.max("v").alias("u"), F.collect_set("v").alias("seen"))
+    bit = lambda v: F.call_function("shiftleft", F.lit(1).cast("long"), F.col("u") - v - 1)
+    near = F.filter("seen", lambda v: (v < F.col("u")) & (v >= F.col("u") - d))
+    return values.select(*by, "bucket", "u", F.aggregate(near, F.lit(0).cast("long"), lambda x, v: x.bitwiseOR(bit(v))).alias("below"))
 
 
 def _wide_sums(table: str, registers_: int, t: int, d: int) -> str:
@@ -158,14 +157,27 @@ def wide_ml(wide: DataFrame, registers_: int, t: int = 2, d: int = 24) -> DataFr
     """Maximum-likelihood estimate per group of (g, bucket, u, below).
 
     The score sum bn * p / (exp(load * p) - 1) falls in the load; a fixed number of halvings
-    finds where it equals alpha, as one fold over a group's few probabilities."""
-    text = _wide_sums("{wide}", registers_, t, d) + f"""
-SELECT al.g, {float(registers_)} * power(2.0, aggregate(sequence(1, {STEPS}), named_struct('lo', CAST({LOW} AS DOUBLE), 'hi', CAST({HIGH} AS DOUBLE)),
-  (s, i) -> CASE WHEN aggregate(c.terms, CAST(0 AS DOUBLE), (x, y) -> x + y.bn * y.pv / (exp(least(power(2.0, (s.lo + s.hi) / 2) * y.pv, 700.0D)) - 1.0)) > al.alpha
-    THEN named_struct('lo', (s.lo + s.hi) / 2, 'hi', s.hi) ELSE named_struct('lo', s.lo, 'hi', (s.lo + s.hi) / 2) END,
-  s -> (s.lo + s.hi) / 2)) AS estimate
-FROM al JOIN (SELECT g, array_sort(collect_list(named_struct('pv', CAST(pv AS DOUBLE), 'bn', bn))) AS terms FROM b GROUP BY g) c ON c.g = al.g"""
-    return wide.sparkSession.sql(text, wide=wide)
+    finds where it equals alpha. A group is at most ``registers_`` rows."""
+    import numpy as np
+    import pyarrow as pa
+    from pyspark.sql import types as T
+
+    def solve(table: pa.Table) -> pa.Table:
+        u, below = table["u"].to_numpy().astype(np.int64), table["below"].to_numpy()
+        p = 2.0 ** (-np.floor((np.arange(0, 260) - 1) / (1 << t)) - 1) / (1 << t)
+        alpha = np.sum(2.0 ** (-np.floor((u - 1) / (1 << t)) - 1) * (1 + ((1 << t) - 1 - (u - 1) % (1 << t)) / (1 << t))) + registers_ - len(u)
+        v = u[:, None] - np.arange(1, d + 1)
+        seen = (below[:, None] >> np.arange(d)) & 1 == 1
+        alpha += p[v[(v >= 1) & ~seen]].sum()
+        value, many = np.unique(p[np.concatenate([u, v[(v >= 1) & seen]])], return_counts=True)
+        lo, hi = LOW, HIGH
+        for _ in range(STEPS):
+            x = 2.0 ** ((lo + hi) / 2)
+            above = np.sum(many * value / np.expm1(np.minimum(x * value, 700.0))) > alpha
+            lo, hi = ((lo + hi) / 2, hi) if above else (lo, (lo + hi) / 2)
+        return pa.table({"g": table["g"].slice(0, 1), "estimate": pa.array([registers_ * 2.0 ** ((lo + hi) / 2)])})
+
+    return wide.groupBy("g").applyInArrow(solve, T.StructType([wide.schema["g"], T.StructField("estimate", T.DoubleType())]))
 
 
 def wide_ml_duck(table: str, registers_: int, t: int = 2, d: int = 24) -> str:
