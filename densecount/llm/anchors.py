@@ -33,6 +33,7 @@ class Shape:
     gram: int  # symbols in a minimiser
     across: bool  # only repeats in another document count
     words: bool  # symbols are words, not bytes
+    block_bytes: int = textops.BLOCK_BYTES  # of text looked at together
 
     @property
     def side(self) -> int:
@@ -50,9 +51,7 @@ class Symbols:
             self.grams = textops.gram_hashes(self.hash, shape.gram)
         else:
             self.ptr = offsets
-            n = len(data) - shape.gram + 1
-            at = np.arange(max(n, 0))
-            self.grams = textops.span_hash(textops.prefix_hash(data), at, at + shape.gram) if n > 0 else np.zeros(0, np.uint64)
+            self.grams = textops.byte_grams(data, shape.gram)
         ok = textops.in_document(self.ptr, len(self.grams), shape.gram)
         self.places = textops.minimisers(self.grams, ok, shape.side + 1)
         self.doc = np.searchsorted(self.ptr, self.places, "right") - 1
@@ -66,14 +65,16 @@ def split(bucket: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.nd
 
 
 _GRAMS = store.schema("bucket int, keys binary, docs binary, places binary")
+_PART = store.schema("part int, docs binary, places binary")
 _FOUND = store.schema("doc_id long, places binary")
 
 
-def anchors(docs: DataFrame, shape: Shape, buckets: int) -> DataFrame:
-    """(doc_id, places): for documents with anchors, their places as packed int32 chunks."""
+def anchors(docs: DataFrame, shape: Shape, buckets: int, parts: int) -> DataFrame:
+    """(doc_id, places): for documents with anchors, their places as int32 bytes. Found
+    places go back to documents a row per (bucket, part of the documents)."""
 
     def grams(batches):
-        for batch, data, offsets in textops.blocks(batches):
+        for batch, data, offsets in textops.blocks(batches, shape.block_bytes):
             s = Symbols(data, offsets, shape)
             h, ids = s.grams[s.places], np.asarray(batch.column(0))[s.doc]
             place = (s.places - s.ptr[s.doc]).astype(np.int32)
@@ -98,13 +99,20 @@ def anchors(docs: DataFrame, shape: Shape, buckets: int) -> DataFrame:
             many = np.diff(np.append(begin, len(key))) > 1
         found = order[np.repeat(many, np.diff(np.append(begin, len(key))))]
         doc, place = doc[found], place[found]
-        order = np.argsort(doc, kind="stable")
+        order, here, begin, end = split((textops.mix(doc.view(np.uint64)) % _U(parts)).astype(np.int32))
+        doc, place = doc[order], place[order]
+        return pa.table({"part": pa.array(here), "docs": pa.array([store.pack(doc[a:b]) for a, b in zip(begin, end)], pa.binary()), "places": pa.array([store.pack(place[a:b]) for a, b in zip(begin, end)], pa.binary())})
+
+    def by_document(table: pa.Table) -> pa.Table:
+        doc = np.concatenate([store.unpack(x, np.int64) for x in table["docs"].to_pylist()])
+        place = np.concatenate([store.unpack(x, np.int32) for x in table["places"].to_pylist()])
+        order = np.lexsort((place, doc))
         doc, place = doc[order], place[order]
         ids, begin = np.unique(doc, return_index=True)
         return pa.table({"doc_id": pa.array(ids), "places": pa.array([place[a:b].tobytes() for a, b in zip(begin, np.append(begin[1:], len(doc)))], pa.binary())})
 
-    rows = docs.where("doc_id is not null").mapInArrow(grams, _GRAMS).groupBy("bucket").applyInArrow(again, _FOUND)
-    return rows.groupBy("doc_id").agg(F.collect_list("places").alias("places"))  # no more than a document's own symbols
+    found = docs.mapInArrow(grams, _GRAMS).groupBy("bucket").applyInArrow(again, _PART)
+    return found.groupBy("part").applyInArrow(by_document, _FOUND)
 
 
 _CONTEXTS = store.schema("bucket int, symbols binary, real binary, docs binary, places binary, gone_docs binary, gone_spans binary")
@@ -119,10 +127,10 @@ def contexts(joined: DataFrame, shape: Shape, buckets: int, encode: Callable) ->
     width = 2 * shape.side + shape.gram
 
     def run(batches):
-        for batch, data, offsets in textops.blocks(batches):
+        for batch, data, offsets in textops.blocks(batches, shape.block_bytes):
             s = Symbols(data, offsets, shape)
             chunks = batch.column(batch.schema.get_field_index("places")).to_pylist()
-            at = [np.frombuffer(b"".join(x), np.int32) for x in chunks]
+            at = [np.frombuffer(x, np.int32) for x in chunks]
             doc = np.repeat(np.arange(len(at)), np.array([len(x) for x in at], np.int64))
             place = s.ptr[doc] + np.concatenate([*at, np.zeros(0, np.int32)])
             ids = np.asarray(batch.column(0))
@@ -152,15 +160,20 @@ def contexts(joined: DataFrame, shape: Shape, buckets: int, encode: Callable) ->
 
 
 def row_hashes(matrix: np.ndarray, real: np.ndarray) -> np.ndarray:
-    """64-bit hashes of context rows."""
-    rows = np.concatenate([np.ascontiguousarray(matrix).view(np.uint8).reshape(len(matrix), -1), real.astype(np.uint8)], 1)
-    ends = np.arange(1, len(rows) + 1) * rows.shape[1]
-    return textops.span_hash(textops.prefix_hash(rows.ravel()), ends - rows.shape[1], ends)
+    """64-bit hashes of context rows, eight bytes at a time."""
+    raw = np.ascontiguousarray(matrix).view(np.uint8).reshape(len(matrix), -1)
+    size = raw.shape[1] + 2
+    rows = np.zeros((len(raw), -(-size // 8) * 8), np.uint8)
+    rows[:, : size - 2], rows[:, size - 2 : size] = raw, real
+    h = np.zeros(len(rows), np.uint64)
+    for word in np.ascontiguousarray(rows.view(np.uint64).T):
+        h = textops.mix((h ^ word) * _U(0x9FB21C651E98DF25) + _U(size))
+    return h
 
 
 def resolve(shape: Shape, dtype, repeated: Callable):
-    """The reducer of a bucket: ``repeated(matrix, real, doc, place)`` gives the (doc_id,
-    start) of windows to cover; what blocks have covered already is added."""
+    """The reducer of a bucket: ``repeated(matrix, real, doc, place)`` gives (doc_id, start,
+    end) of what to cover; what blocks have covered already is added."""
     width = 2 * shape.side + shape.gram
 
     def all_of(table: pa.Table, name: str, kind) -> np.ndarray:
@@ -169,13 +182,29 @@ def resolve(shape: Shape, dtype, repeated: Callable):
     def run(table: pa.Table) -> pa.Table:
         matrix = all_of(table, "symbols", dtype).reshape(-1, width)
         real = all_of(table, "real", np.uint8).reshape(-1, 2).astype(np.int64)
-        doc, start = repeated(matrix, real, all_of(table, "docs", np.int64), all_of(table, "places", np.int32))
+        doc, start, end = repeated(matrix, real, all_of(table, "docs", np.int64), all_of(table, "places", np.int32))
         gone = all_of(table, "gone_spans", np.int32).reshape(-1, 2)
-        return covers(np.concatenate([doc, all_of(table, "gone_docs", np.int64)]), np.concatenate([start, gone[:, 0]]), np.concatenate([start + shape.window, gone[:, 1]]))
+        return covers(np.concatenate([doc, all_of(table, "gone_docs", np.int64)]), np.concatenate([start, gone[:, 0]]), np.concatenate([end, gone[:, 1]]))
 
     return run
 
 
+class Reach:
+    """First and last covered window of each context. All windows of a context overlap, so
+    together they are one span."""
+
+    def __init__(self, n: int) -> None:
+        self.low, self.high = np.full(n, 1 << 30), np.full(n, -1)
+
+    def add(self, hit: np.ndarray, column: int) -> None:
+        self.low[hit] = np.minimum(self.low[hit], column)
+        self.high[hit] = np.maximum(self.high[hit], column)
+
+    def spans(self, doc: np.ndarray, place: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        some = np.flatnonzero(self.high >= 0)
+        return doc[some], place[some] + self.low[some], place[some] + self.high[some] + window
+
+
 COVER = store.schema("doc_id long, spans binary")
 
 
@@ -208,7 +237,20 @@ def merged(chunks: list[bytes]) -> np.ndarray:
     return np.stack([x[first, 0], reach[np.append(first[1:], len(x)) - 1]], 1)
 
 
-def bucket_count(docs: DataFrame, symbols_per_byte: float, density: float, per_bucket: int) -> int:
+def bucket_count(total: int, symbols_per_byte: float, density: float, per_bucket: int) -> int:
     """Buckets for about so many minimisers each, from the bytes of all texts."""
-    total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     return max(8, int(total * symbols_per_byte * density / per_bucket))
+
+
+def text_bytes(docs: DataFrame) -> int:
+    return docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+
+
+def with_spans(docs: DataFrame, spans: DataFrame, finish: Callable, schema) -> DataFrame:
+    """``finish`` over (doc_id, text, spans) of all documents.
+
+    Documents with an id are joined as they were for the contexts, so Spark shuffles their
+    texts once for both; those without an id keep everything."""
+    known = docs.where("doc_id is not null").join(spans, "doc_id", "left").select("doc_id", "text", "spans")
+    others = docs.where("doc_id is null").select("doc_id", "text", F.lit(None).cast("array<binary>").alias("spans"))
+    return known.mapInArrow(finish, schema).unionByName(others.mapInArrow(finish, schema))

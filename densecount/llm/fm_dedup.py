@@ -36,8 +36,9 @@ class FmSpec:
         return anchors.Shape(self.window, self.gram, across=False, words=True)
 
 
-def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, place: np.ndarray, spec: FmSpec) -> tuple[np.ndarray, np.ndarray]:
-    """(doc_id, start) of the windows of a shard's contexts that start earlier as well."""
+def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, place: np.ndarray, spec: FmSpec) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(doc_id, start, end) of what windows of a shard's contexts that start earlier as well
+    cover."""
     from .fm_index import FMIndex
 
     side, gram = spec.window - spec.gram, spec.gram
@@ -66,7 +67,7 @@ def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, plac
     block = np.concatenate([[0], np.cumsum(index.lcp[1 : index.n] < depth)])
     owner = first[index.order // (2 * side + 2)]  # contexts are in (doc_id, place) order
     least = np.minimum.reduceat(owner, np.flatnonzero(np.concatenate([[True], index.lcp[1 : index.n] < depth])))
-    out_doc, out_start = [], []
+    reach = anchors.Reach(len(doc))
     for c, size, lo, _ in index.matching(queries, 2):
         if c > side:
             continue
@@ -74,10 +75,8 @@ def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, plac
         earliest = np.where(size == depth, least[block[np.minimum(lo, index.n - 1)]], first)
         fits = (spans[:, 0] <= c) & (spans[:, 1] >= c + spec.window)
         hit = np.flatnonzero(fits[each] & (earliest[each] < np.arange(len(doc))))
-        out_doc.append(doc[hit])
-        out_start.append(place[hit] + c)
-    none = np.zeros(0, np.int64)
-    return np.concatenate([none, *out_doc]), np.concatenate([none, *out_start])
+        reach.add(hit, c)
+    return reach.spans(doc, place, spec.window)
 
 
 _OUT = store.schema("doc_id long, n_words long, n_removed long, kept_sha256 string")
@@ -87,9 +86,11 @@ _TEXT = store.schema("doc_id long, text string, n_removed long")
 def covered(docs: DataFrame, spec: FmSpec = FmSpec()) -> DataFrame:
     """(doc_id, spans): chunks of the word ranges that go."""
     shape = spec.shape
-    grams = anchors.bucket_count(docs, 1 / 6, 2 / (shape.side + 2), 600_000)
-    shards = anchors.bucket_count(docs, 1 / 6, 2 / (shape.side + 2), spec.per_bucket)
-    found = anchors.anchors(docs, shape, grams)
+    docs = docs.where("doc_id is not null")
+    total = anchors.text_bytes(docs)
+    grams = anchors.bucket_count(total, 1 / 6, 2 / (shape.side + 2), 600_000)
+    shards = anchors.bucket_count(total, 1 / 6, 2 / (shape.side + 2), spec.per_bucket)
+    found = anchors.anchors(docs, shape, grams, max(8, total >> 25))
     joined = docs.join(found, "doc_id").select("doc_id", "text", "places")
 
     def encode(s: anchors.Symbols, spot: np.ndarray, valid: np.ndarray) -> np.ndarray:
@@ -126,4 +127,4 @@ def dedup(docs: DataFrame, spec: FmSpec = FmSpec(), digest: bool = True) -> Data
             else:
                 yield store.rows(_TEXT, doc_id=batch.column(0), text=out, n_removed=removed)
 
-    return docs.join(spans, "doc_id", "left").select("doc_id", "text", "spans").mapInArrow(finish, _OUT if digest else _TEXT)
+    return anchors.with_spans(docs, spans, finish, _OUT if digest else _TEXT)

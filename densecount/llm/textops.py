@@ -17,7 +17,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-BLOCK_BYTES = 4 << 20
+#: just under a power of two, as tables of powers double
+BLOCK_BYTES = (4 << 20) - 4096
 
 _U = np.uint64
 _rng = np.random.default_rng(20240607)
@@ -131,6 +132,17 @@ def span_hash(running: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.n
     return mix(h + (ends - starts).astype(np.uint64) * _U(0xD6E8FEB86659FD93))
 
 
+def byte_grams(data: np.ndarray, k: int) -> np.ndarray:
+    """Hash of each run of k bytes (len(data)-k+1 of them)."""
+    n = len(data) - k + 1
+    if n <= 0:
+        return np.zeros(0, np.uint64)
+    running = prefix_hash(data)
+    h = running[k:] - running[:n]
+    h *= _powers(len(running))[1][:n]
+    return mix(h)
+
+
 def word_hashes(data, starts, ends) -> np.ndarray:
     return span_hash(prefix_hash(data), starts, ends)
 
