@@ -34,11 +34,11 @@ from . import anchors, store, textops
 class BwtSpec:
     window: int = 50
     gram: int = 16
-    per_bucket: int = 600_000  # minimisers
+    per_bucket: int = 400_000  # minimisers
 
     @property
     def shape(self) -> anchors.Shape:
-        return anchors.Shape(self.window, self.gram, across=True, words=False)
+        return anchors.Shape(self.window, self.gram, across=True, words=False, block_bytes=(1 << 20) - 1024)
 
 
 def interleave(columns: np.ndarray, rounds: range) -> np.ndarray:
@@ -64,8 +64,8 @@ def common(columns: np.ndarray, order: np.ndarray, rounds: range) -> np.ndarray:
     return lcp
 
 
-def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, place: np.ndarray, spec: BwtSpec) -> tuple[np.ndarray, np.ndarray]:
-    """(doc_id, start) of the windows that a smaller document holds as well.
+def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, place: np.ndarray, spec: BwtSpec) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(doc_id, start, end) of what windows that a smaller document holds as well cover.
 
     matrix: contexts x bytes; real: [first, last) column inside the document."""
     side, gram, n = spec.window - spec.gram, spec.gram, len(matrix)
@@ -86,7 +86,7 @@ def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, plac
     l_lcp = common(columns, l_order, range(side - 1, -1, -1))
     r_rank, l_rank = np.empty(m, np.int64), np.empty(m, np.int64)
     r_rank[r_order], l_rank[l_order] = np.arange(m), np.arange(m)
-    out_doc, out_start = [], []
+    reach = anchors.Reach(n)
     for k in range(side + 1):  # bytes of the window left of the anchor
         fits = (spans[:, 0] <= side - k) & (spans[:, 1] >= side - k + spec.window)
         some = np.flatnonzero(fits)
@@ -100,10 +100,8 @@ def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, plac
         low = np.full(m, np.iinfo(np.int64).max)
         low[some[by]] = np.repeat(np.minimum.reduceat(least[some[by]], begin), np.diff(np.append(begin, len(p))))
         hit = np.flatnonzero(low[each] < doc)
-        out_doc.append(doc[hit])
-        out_start.append(place[hit] + side - k)
-    none = np.zeros(0, np.int64)
-    return np.concatenate([none, *out_doc]), np.concatenate([none, *out_start])
+        reach.add(hit, side - k)
+    return reach.spans(doc, place, spec.window)
 
 
 _OUT = store.schema("doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
@@ -113,8 +111,10 @@ _TEXT = store.schema("doc_id long, text string, n_removed long")
 def covered(docs: DataFrame, spec: BwtSpec = BwtSpec()) -> DataFrame:
     """(doc_id, spans): chunks of the byte ranges that go."""
     shape = spec.shape
-    buckets = anchors.bucket_count(docs, 1.0, 2 / (shape.side + 2), spec.per_bucket)
-    found = anchors.anchors(docs, shape, buckets)
+    docs = docs.where("doc_id is not null")
+    total = anchors.text_bytes(docs)
+    buckets = anchors.bucket_count(total, 1.0, 2 / (shape.side + 2), spec.per_bucket)
+    found = anchors.anchors(docs, shape, buckets, max(8, total >> 25))
     joined = docs.join(found, "doc_id").select("doc_id", "text", "places")
 
     def encode(s: anchors.Symbols, spot: np.ndarray, valid: np.ndarray) -> np.ndarray:
@@ -154,4 +154,4 @@ def dedup(docs: DataFrame, spec: BwtSpec = BwtSpec(), digest: bool = True) -> Da
             else:
                 yield store.rows(_TEXT, doc_id=batch.column(0), text=out, n_removed=removed)
 
-    return docs.join(spans, "doc_id", "left").select("doc_id", "text", "spans").mapInArrow(finish, _OUT if digest else _TEXT)
+    return anchors.with_spans(docs, spans, finish, _OUT if digest else _TEXT)
