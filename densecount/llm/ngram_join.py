@@ -43,9 +43,9 @@ _LOW = _U((1 << 48) - 1)
 class JoinSpec:
     n: int = 5
     percent: int = 80
-    frequent: int = 200  # sets that hold a token of the frequent class
+    frequent: int = 10_000  # sets that hold a token of the frequent class
     combine_below: int = 600  # set size from which frequent tokens are indexed alone
-    all_pairs: int = 12  # bucket size up to which all its pairs are candidates
+    all_pairs: int = 24  # bucket size up to which all its pairs are candidates
     bucket_bytes: int = 8 << 20
     meet: int = 400  # sets that meet in one place
 
