@@ -55,7 +55,7 @@ def covered(docs: DataFrame, size: int = WINDOW) -> DataFrame:
     found = store.settle(windows(docs, size), "lines")
     first = found.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", F.get("at", F.lit(0)).alias("at"))).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("h1", "h2", "first")
     later = found.join(first, ["h1", "h2"]).where(F.struct("doc_id", F.get("at", F.lit(0)).alias("at")) != F.col("first"))
-    return later.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_set("at")))).alias("gone"))
+    return later.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_set("at")))).alias("_gone_lines"))
 
 
 def dedup(docs: DataFrame, size: int = WINDOW) -> DataFrame:
@@ -65,11 +65,11 @@ def dedup(docs: DataFrame, size: int = WINDOW) -> DataFrame:
     gone = covered(docs, size).withColumnRenamed("doc_id", "_gone_id")
     lines = _lines(F.col("text"))
     joined = docs.join(gone, docs["doc_id"] == gone["_gone_id"], "left").drop("_gone_id")
-    kept = F.concat_ws("\n", F.filter(F.transform(lines, lambda x, i: F.struct(x.alias("x"), i.alias("i"))), lambda y: ~F.array_contains("gone", y["i"]))["x"])
+    kept = F.concat_ws("\n", F.filter(F.transform(lines, lambda x, i: F.struct(x.alias("x"), i.alias("i"))), lambda y: ~F.array_contains("_gone_lines", y["i"]))["x"])
     return joined.withColumns(
         {
             "n_lines": F.size(F.filter(lines, lambda x: ~_blank(x))).cast("long"),
-            "n_removed": F.coalesce(F.size("gone"), F.lit(0)).cast("long"),
-            "text": F.when(F.col("gone").isNull(), F.col("text")).otherwise(kept),
+            "n_removed": F.coalesce(F.size("_gone_lines"), F.lit(0)).cast("long"),
+            "text": F.when(F.col("_gone_lines").isNull(), F.col("text")).otherwise(kept),
         }
-    ).drop("gone")
+    ).drop("_gone_lines")
