@@ -29,6 +29,12 @@ def add64(a: Column, b: Column) -> Column:
     return F.shiftleft(high, 32).bitwiseOR(low.bitwiseAND(_LOW))
 
 
+def barrier(kind: str = "long") -> Column:
+    """0, but not for the optimiser: filters (also those that joins imply) stay above it.
+    Pushed through the stages below they would repeat their operands exponentially."""
+    return F.when(F.spark_partition_id() < 0, 1).otherwise(0).cast(kind)
+
+
 def _fold(c: Column, n: int) -> Column:
     return c.bitwiseXOR(F.shiftrightunsigned(c, n))
 
@@ -49,7 +55,7 @@ def mix64(df: DataFrame, key: str, out: str = "h", seed: int | Column = 0) -> Da
     df = df.withColumn(out, _fold(x, 14))
     df = df.withColumn(out, add64(add64(x, F.shiftleft(x, 2)), F.shiftleft(x, 4)))
     df = df.withColumn(out, _fold(x, 28))
-    return df.withColumn(out, add64(x, F.shiftleft(x, 31)))
+    return df.withColumn(out, add64(x, F.shiftleft(x, 31)).bitwiseXOR(barrier()))
 
 
 def seed_word(seed: Column) -> Column:

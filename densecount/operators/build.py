@@ -22,7 +22,8 @@ def hashed(df: DataFrame, key: str | Column, by: Sequence[str] = (), registers:
     extra = [seed.alias("_seed")] if isinstance(seed, Column) else []
     rows = df.select(*by, hashing.key64(key, kind=kind).alias("_key"), *extra).where("_key is not null")
     rows = hashing.mix64(rows, "_key", "h", F.col("_seed") if extra else seed)
-    return hashing.with_rank(rows.withColumn("bucket", hashing.bucket(F.col("h"), registers))).select(*by, "h", "bucket", "z")
+    ranked = hashing.with_rank(rows.withColumn("bucket", hashing.bucket(F.col("h"), registers)))
+    return ranked.select(*by, "h", "bucket", (F.col("z") + hashing.barrier("int")).alias("z"))
 
 
 def register_bitmaps(df: DataFrame, key: str | Column, by: Sequence[str] = (), registers: int = 1408, seed: int | Column = 0, kind: str = "long") -> DataFrame:
