@@ -67,6 +67,13 @@ def rows(schema: T.StructType, **columns) -> pa.RecordBatch:
 _KINDS = {"long": T.LongType(), "int": T.IntegerType(), "string": T.StringType(), "double": T.DoubleType(), "boolean": T.BooleanType(), "binary": T.BinaryType()}
 
 
+def each_row(batches):
+    """Rows as dicts, one at a time, so that large cells are not held twice."""
+    for batch in batches:
+        for i in range(batch.num_rows):
+            yield batch.slice(i, 1).to_pylist()[0]
+
+
 def schema(text: str, **nested: T.DataType) -> T.StructType:
     """``"a long, b string"`` as a schema, without a session; nested types by keyword."""
     plain = [T.StructField(*(lambda n, k: (n, _KINDS[k]))(*x.split())) for x in text.split(",")]

@@ -46,7 +46,7 @@ class TreeSpec:
     strength: float = 4.0  # of the parent's distribution, in counts
     folds: int = 5
     held_fold: int = 1
-    flush: int = 3_000_000  # distinct grams a task holds before it sends them
+    flush: int = 2_000_000  # distinct grams a task holds before it sends them
 
 
 END = 0  # byte 0 stands for the end of a text (and for what precedes its start)
@@ -66,7 +66,7 @@ def packs(docs: DataFrame, spec: TreeSpec) -> DataFrame:
 
     def run(batches):
         base = TaskContext.get().partitionId() << 32
-        for k, (batch, data, offsets) in enumerate(textops.blocks(batches, 8 << 20)):
+        for k, (batch, data, offsets) in enumerate(textops.blocks(batches, (2 << 20) - 4096)):
             ids = batch.column(0).to_pylist()
             known = np.array([x is not None for x in ids])
             number = np.array([x or 0 for x in ids], np.int64)
@@ -143,21 +143,20 @@ def gram_counts(blocks: DataFrame, spec: TreeSpec, buckets: int) -> DataFrame:
 
     def run(batches):
         keys, counts = [], []
-        for batch in batches:
-            for row in batch.to_pylist():
-                b = Block(row)
-                symbols, offsets, _ = b.symbols()
-                train = np.repeat(~b.held, np.diff(offsets))
-                key = np.sort(grams(symbols, offsets, spec.depth)[train])
-                begin = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
-                keys.append(key[begin])
-                counts.append(np.diff(np.append(begin, len(key))))
-                if sum(map(len, keys)) > spec.flush:
-                    key, count = _merge(keys, counts)
-                    keys, counts = [key], [count]
-                    if len(key) > spec.flush:
-                        yield from send(key, count)
-                        keys, counts = [], []
+        for row in store.each_row(batches):
+            b = Block(row)
+            symbols, offsets, _ = b.symbols()
+            train = np.repeat(~b.held, np.diff(offsets))
+            key = np.sort(grams(symbols, offsets, spec.depth)[train])
+            begin = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
+            keys.append(key[begin])
+            counts.append(np.diff(np.append(begin, len(key))))
+            if sum(map(len, keys)) > spec.flush:
+                key, count = _merge(keys, counts)
+                keys, counts = [key], [count]
+                if len(key) > spec.flush:
+                    yield from send(key, count)
+                    keys, counts = [], []
         if keys:
             yield from send(*_merge(keys, counts))
 
@@ -288,22 +287,21 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
     shared = spark.sparkContext.broadcast(tree)
 
     def ask(batches):
-        for batch in batches:
-            for row in batch.to_pylist():
-                b = Block(row)
-                word, each = np.unique(b.words, return_inverse=True)
-                train = ~b.held[textops.doc_of(b.ptr)]
-                count = np.bincount(each[train], minlength=len(word))
-                bucket = _deal(word, buckets)
-                order = np.argsort(bucket, kind="stable")
-                here, begin = np.unique(bucket[order], return_index=True)
-                head = (int((~b.held).sum()), int(train.sum()))
-                for k, x, y in zip(here.tolist(), begin, np.append(begin[1:], len(word))):
-                    part = order[x:y]
-                    yield store.rows(_ASK, bucket=[k], block=[row["block"]], words=[store.pack(word[part])], counts=[store.pack(count[part].astype(np.int32))], docs=[head[0]], tokens=[head[1]])
-                    head = (0, 0)
-                if not len(word):
-                    yield store.rows(_ASK, bucket=[0], block=[row["block"]], words=[store.pack(word)], counts=[store.pack(np.zeros(0, np.int32))], docs=[head[0]], tokens=[0])
+        for row in store.each_row(batches):
+            b = Block(row)
+            word, each = np.unique(b.words, return_inverse=True)
+            train = ~b.held[textops.doc_of(b.ptr)]
+            count = np.bincount(each[train], minlength=len(word))
+            bucket = _deal(word, buckets)
+            order = np.argsort(bucket, kind="stable")
+            here, begin = np.unique(bucket[order], return_index=True)
+            head = (int((~b.held).sum()), int(train.sum()))
+            for k, x, y in zip(here.tolist(), begin, np.append(begin[1:], len(word))):
+                part = order[x:y]
+                yield store.rows(_ASK, bucket=[k], block=[row["block"]], words=[store.pack(word[part])], counts=[store.pack(count[part].astype(np.int32))], docs=[head[0]], tokens=[head[1]])
+                head = (0, 0)
+            if not len(word):
+                yield store.rows(_ASK, bucket=[0], block=[row["block"]], words=[store.pack(word)], counts=[store.pack(np.zeros(0, np.int32))], docs=[head[0]], tokens=[0])
 
     def answer(table: pa.Table) -> pa.Table:
         asked = [store.unpack(x, np.uint64) for x in table["words"].to_pylist()]
@@ -328,33 +326,32 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
     def finish(batches):
         tree = shared.value
         low = total + 0.5 * (kinds + 1)
-        for batch in batches:
-            for row in batch.to_pylist():
-                b = Block(row)
-                word, each = np.unique(b.words, return_inverse=True)
-                order = np.argsort(_deal(word, buckets), kind="stable")
-                count = np.zeros(len(word), np.int64)
-                count[order] = np.concatenate([np.zeros(0, np.int32), *[store.unpack(x["counts"], np.int32) for x in sorted(row["answers"], key=lambda x: x["bucket"])]])
-                c = count[each]
-                n_docs = len(b.offsets) - 1
-                doc = textops.doc_of(b.ptr)
-                base = np.bincount(doc, np.log10((c + 0.5) / low), minlength=n_docs) + np.log10((train_docs + 0.5) / low)
-                known = np.bincount(doc, c > 0, minlength=n_docs).astype(np.int64) + (train_docs > 0)
-                symbols, offsets, tokens = b.symbols()
-                gram, which = np.unique(grams(symbols, offsets, tree.depth), return_inverse=True)
-                spelled = np.add.reduceat(np.log10(tree.probability(gram))[which], tokens) if n_docs else np.zeros(0)
-                # a token seen in training: its share of the tokens mixed with its spelling
-                count = np.empty(len(tokens))
-                is_end = symbols[tokens] == END
-                is_end[:-1] &= tokens[1:] == tokens[:-1] + 1
-                count[is_end], count[~is_end] = train_docs, c
-                share = (1 - spec.tree_share) * count / max(total, 1) + spec.tree_share * 10.0**spelled
-                logs = np.where(count > 0, np.log10(np.maximum(share, 1e-300)) + np.log10(1 - unknown), np.log10(unknown))
-                scored = np.bincount(np.repeat(np.arange(n_docs), np.diff(b.ptr) + 1), logs, minlength=n_docs)
-                ids, has_id = store.unpack(row["ids"], np.int64), store.unpack(row["known"], bool)
-                yield store.rows(
-                    _OUT, doc_id=pa.array(ids, pa.int64(), mask=~has_id), held_out=pa.array(b.held), n_tokens=pa.array(np.diff(b.ptr) + 1), n_known=pa.array(known),
-                    train_tokens=pa.array(np.full(n_docs, total)), base_score=pa.array(base), score=pa.array(scored),
-                )
+        for row in store.each_row(batches):
+            b = Block(row)
+            word, each = np.unique(b.words, return_inverse=True)
+            order = np.argsort(_deal(word, buckets), kind="stable")
+            count = np.zeros(len(word), np.int64)
+            count[order] = np.concatenate([np.zeros(0, np.int32), *[store.unpack(x["counts"], np.int32) for x in sorted(row["answers"], key=lambda x: x["bucket"])]])
+            c = count[each]
+            n_docs = len(b.offsets) - 1
+            doc = textops.doc_of(b.ptr)
+            base = np.bincount(doc, np.log10((c + 0.5) / low), minlength=n_docs) + np.log10((train_docs + 0.5) / low)
+            known = np.bincount(doc, c > 0, minlength=n_docs).astype(np.int64) + (train_docs > 0)
+            symbols, offsets, tokens = b.symbols()
+            gram, which = np.unique(grams(symbols, offsets, tree.depth), return_inverse=True)
+            spelled = np.add.reduceat(np.log10(tree.probability(gram))[which], tokens) if n_docs else np.zeros(0)
+            # a token seen in training: its share of the tokens mixed with its spelling
+            count = np.empty(len(tokens))
+            is_end = symbols[tokens] == END
+            is_end[:-1] &= tokens[1:] == tokens[:-1] + 1
+            count[is_end], count[~is_end] = train_docs, c
+            share = (1 - spec.tree_share) * count / max(total, 1) + spec.tree_share * 10.0**spelled
+            logs = np.where(count > 0, np.log10(np.maximum(share, 1e-300)) + np.log10(1 - unknown), np.log10(unknown))
+            scored = np.bincount(np.repeat(np.arange(n_docs), np.diff(b.ptr) + 1), logs, minlength=n_docs)
+            ids, has_id = store.unpack(row["ids"], np.int64), store.unpack(row["known"], bool)
+            yield store.rows(
+                _OUT, doc_id=pa.array(ids, pa.int64(), mask=~has_id), held_out=pa.array(b.held), n_tokens=pa.array(np.diff(b.ptr) + 1), n_known=pa.array(known),
+                train_tokens=pa.array(np.full(n_docs, total)), base_score=pa.array(base), score=pa.array(scored),
+            )
 
     return blocks.join(back, "block").mapInArrow(finish, _OUT)
