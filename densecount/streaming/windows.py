@@ -16,7 +16,8 @@ from ..operators import build
 
 def read_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     schema = spark.read.parquet(f"{sf_dir}/events.parquet").schema
-    return spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    events = spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    return events.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks need an instant
 
 
 def windowed_bitmaps(events: DataFrame, key: str, width: str, registers: int, slide: str | None = None, late: str = "1 hour", by: tuple[str, ...] = ()) -> DataFrame:

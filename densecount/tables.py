@@ -208,7 +208,7 @@ def q_interval_join(spark, sf):
     bins, and an event looks into its own bin and the next, so the range join is an equi-join
     with a residual."""
     e = _t(spark, sf, "events").select("event_id", "event_type", "user_id", "ts")
-    bins = F.floor(F.unix_micros("ts") / 3_600_000_000)
+    bins = F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 3_600_000_000)
     bought = e.where("event_type = 'purchase'").select(bins.alias("bin"), F.col("ts").alias("at")).groupBy("bin").agg(F.sort_array(F.collect_set("at")).alias("at"))
     looks = e.select("*", F.explode(F.array(bins, bins + 1)).alias("bin"))
     hit = looks.join(bought, "bin").where(F.exists("at", lambda p: (p > F.col("ts")) & (p <= F.col("ts") + F.expr("INTERVAL 1 HOUR"))))
@@ -264,7 +264,7 @@ _STREAM_DAY = "(SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS g, user_id AS
 @query(f"SELECT g AS day, round(estimate, 3) AS users FROM {_est_sql(_STREAM_DAY)} q")
 def stream_daily_users(spark, sf):
     bitmaps = windows.run_available(windows.windowed_bitmaps(windows.read_events(spark, sf), "user_id", "1 day", SMALL), "complete")
-    hist = build.state_histogram(bitmaps.select(F.col("window.start").alias("g"), "bucket", "bitmap"), ["g"])
+    hist = build.state_histogram(bitmaps.select(F.col("window.start").cast("timestamp_ntz").alias("g"), "bucket", "bitmap"), ["g"])
     return estimators.hybrid(hist, SMALL).select(F.col("g").alias("day"), F.round("estimate", 3).alias("users"))
 
 
@@ -273,9 +273,9 @@ def stream_redelivery(spark, sf):
     """A stream that gets every event twice ends with the same bitmaps."""
     events = windows.read_events(spark, sf)
     twice = events.withColumn("_", F.explode(F.array(F.lit(1), F.lit(2)))).drop("_")
-    a = windows.run_available(windows.windowed_bitmaps(twice, "user_id", "1 day", SMALL), "complete").select(F.col("window.start").alias("s"), "bucket", "bitmap")
+    a = windows.run_available(windows.windowed_bitmaps(twice, "user_id", "1 day", SMALL), "complete").select(F.col("window.start").cast("timestamp_ntz").alias("s"), "bucket", "bitmap")
     e = _t(spark, sf, "events").select(F.window("ts", "1 day").alias("w"), "user_id")
-    b = build.register_bitmaps(e.select(F.col("w.start").alias("s"), "user_id"), "user_id", ["s"], SMALL)
+    b = build.register_bitmaps(e.select(F.col("w.start").cast("timestamp_ntz").alias("s"), "user_id"), "user_id", ["s"], SMALL)
     return a.exceptAll(b).unionAll(b.exceptAll(a)).agg((F.count(F.lit(1)) == 0).alias("same"))
 
 
