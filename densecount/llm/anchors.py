@@ -171,7 +171,7 @@ def row_hashes(matrix: np.ndarray, real: np.ndarray) -> np.ndarray:
     return h
 
 
-def resolve(shape: Shape, dtype, repeated: Callable):
+def resolve(shape: Shape, dtype, repeated: Callable, parts: int):
     """The reducer of a bucket: ``repeated(matrix, real, doc, place)`` gives (doc_id, start,
     end) of what to cover; what blocks have covered already is added."""
     width = 2 * shape.side + shape.gram
@@ -184,11 +184,27 @@ def resolve(shape: Shape, dtype, repeated: Callable):
         real = all_of(table, "real", np.uint8).reshape(-1, 2).astype(np.int64)
         doc, start, end = repeated(matrix, real, all_of(table, "docs", np.int64), all_of(table, "places", np.int32))
         gone = all_of(table, "gone_spans", np.int32).reshape(-1, 2)
-        return covers(np.concatenate([doc, all_of(table, "gone_docs", np.int64)]), np.concatenate([start, gone[:, 0]]), np.concatenate([end, gone[:, 1]]))
+        doc, start, end = np.concatenate([doc, all_of(table, "gone_docs", np.int64)]), np.concatenate([start, gone[:, 0]]), np.concatenate([end, gone[:, 1]])
+        order, here, begin, stop = split((textops.mix(doc.view(np.uint64)) % _U(parts)).astype(np.int32))
+        packed = {n: pa.array([store.pack(x[order][a:b]) for a, b in zip(begin, stop)], pa.binary()) for n, x in (("docs", doc), ("starts", start.astype(np.int32)), ("ends", end.astype(np.int32)))}
+        return pa.table({"part": pa.array(here), **packed})
 
     return run
 
 
+SPANS = store.schema("part int, docs binary, starts binary, ends binary")
+
+
+def by_document(spans: DataFrame) -> DataFrame:
+    """(doc_id, spans) from packed spans: a row per (bucket, part of the documents) came in."""
+
+    def run(table: pa.Table) -> pa.Table:
+        columns = [np.concatenate([store.unpack(x, kind) for x in table[n].to_pylist()]) for n, kind in (("docs", np.int64), ("starts", np.int32), ("ends", np.int32))]
+        return covers(*columns)
+
+    return spans.groupBy("part").applyInArrow(run, COVER).select("doc_id", F.array("spans").alias("spans"))
+
+
 class Reach:
     """First and last covered window of each context. All windows of a context overlap, so
     together they are one span."""

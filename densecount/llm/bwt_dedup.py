@@ -25,7 +25,6 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from . import anchors, store, textops
 
@@ -123,8 +122,8 @@ def covered(docs: DataFrame, spec: BwtSpec = BwtSpec()) -> DataFrame:
     def merge(matrix, real, doc, place):
         return repeated_windows(matrix, real, doc, place, spec)
 
-    spans = anchors.contexts(joined, shape, buckets, encode).groupBy("bucket").applyInArrow(anchors.resolve(shape, np.uint8, merge), anchors.COVER)
-    return spans.groupBy("doc_id").agg(F.collect_list("spans").alias("spans"))
+    spans = anchors.contexts(joined, shape, buckets, encode).groupBy("bucket").applyInArrow(anchors.resolve(shape, np.uint8, merge, max(8, total >> 25)), anchors.SPANS)
+    return anchors.by_document(spans)
 
 
 def dedup(docs: DataFrame, spec: BwtSpec = BwtSpec(), digest: bool = True) -> DataFrame:

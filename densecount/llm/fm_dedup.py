@@ -20,7 +20,6 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from . import anchors, store, textops
 
@@ -99,8 +98,8 @@ def covered(docs: DataFrame, spec: FmSpec = FmSpec()) -> DataFrame:
     def search(matrix, real, doc, place):
         return repeated_windows(matrix, real, doc, place, spec)
 
-    spans = anchors.contexts(joined, shape, shards, encode).groupBy("bucket").applyInArrow(anchors.resolve(shape, np.uint64, search), anchors.COVER)
-    return spans.groupBy("doc_id").agg(F.collect_list("spans").alias("spans"))
+    spans = anchors.contexts(joined, shape, shards, encode).groupBy("bucket").applyInArrow(anchors.resolve(shape, np.uint64, search, max(8, total >> 25)), anchors.SPANS)
+    return anchors.by_document(spans)
 
 
 def dedup(docs: DataFrame, spec: FmSpec = FmSpec(), digest: bool = True) -> DataFrame:
