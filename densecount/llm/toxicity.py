@@ -33,7 +33,7 @@ _U = np.uint64
 
 @dataclass(frozen=True)
 class ToxicSpec:
-    sample: int = 3000  # labelled training documents of either label
+    sample: int = 1000  # labelled training documents of either label
     bits: int = 18  # of the feature table
     evidence: float = 14.0  # nats by which a marking feature must favour toxic documents
     most_clean: float = 0.02  # its share of clean documents to that of toxic ones
