@@ -10,12 +10,14 @@ both, so no pair is lost.) Tokens that no other set holds fill prefixes but need
 
 How frequent a token is, is counted over all documents: blocks of documents ask for their
 distinct tokens, a row of packed arrays per (block, bucket), and get a frequency class for
-each back in the same order. Index entries travel the same way. Small buckets yield all
-their pairs of fitting sizes. A large bucket first yields a chain and a star; once those
-are verified and joined to components, it yields the pairs whose ends are still in
-different components. For verification sets meet by their least token, each sent once to
-where most of its pairs are; what comes out is complete as to components: no link between
-different texts is lost.
+each back in the same order. Index entries travel the same way. Of a key in few sets all
+pairs of fitting sizes are candidates; for verification their sets meet by their least
+token, each sent once to where most of its pairs are. Sets under a key that many hold
+(*hot*) are dealt into chunks, those of one most common key together; every two chunks with
+a hot key in common meet in one cell of a grid, where all pairs of the two are verified at
+once. A pair is verified in one place only, and every pair of classes that is similar is
+found. Cells return the number of links of each set and who is joined to whom, not pairs,
+so rows don't grow with the square of a group.
 
 Edge cases: null and empty texts have empty sets and link with nothing; texts with fewer
 words than n have one shingle, their whole sequence; a null doc_id links with nothing and
@@ -45,9 +47,10 @@ class JoinSpec:
     percent: int = 80
     frequent: int = 10_000  # sets that hold a token of the frequent class
     combine_below: int = 600  # set size from which frequent tokens are indexed alone
-    all_pairs: int = 24  # bucket size up to which all its pairs are candidates
+    all_pairs: int = 24  # sets under a key up to which its pairs are listed; beyond, they meet in a grid
     bucket_bytes: int = 8 << 20
-    meet: int = 400  # sets that meet in one place
+    meet: int = 400  # sets that meet in one place, or in a chunk of the grid
+    slice: int = 4096  # tokens looked at together in a cell
 
 
 class Sets:
@@ -206,8 +209,8 @@ def _index(joined: DataFrame, asks: int, buckets: int, spec: JoinSpec) -> DataFr
     return joined.mapInArrow(run, _INDEX)
 
 
-#: key is null for a pair (a, b); else the row says that set a (size n) is in a large bucket
-_PAIRS = store.schema("key long, a long, b long, n int")
+#: key is null for a pair (a, b); else the row says that set a is under that hot key
+_PAIRS = store.schema("key long, a long, b long")
 
 
 def _fits(na, nb, percent: int):
@@ -234,10 +237,7 @@ def _bucket_pairs(spec: JoinSpec):
             a.append((at[:, None] + i).ravel())
             b.append((at[:, None] + j).ravel())
         large = textops.ranges(begin[~small], count[~small])
-        head = np.repeat(begin[~small], count[~small])
-        a += [head[large != head], large[large != head] - 1]
-        b += [large[large != head], large[large != head]]
-        a, b = (np.concatenate(x).astype(np.int64) for x in (a, b))
+        a, b = (np.concatenate([np.zeros(0, np.int64), *x]).astype(np.int64) for x in (a, b))
         ok = _fits(size[a], size[b], spec.percent) & (sets[a] != sets[b])
         pair = np.unique(np.stack([np.minimum(sets[a[ok]], sets[b[ok]]), np.maximum(sets[a[ok]], sets[b[ok]])], 1), axis=0)
         k = len(pair)
@@ -246,7 +246,6 @@ def _bucket_pairs(spec: JoinSpec):
                 "key": pa.chunked_array([pa.nulls(k, pa.int64()), pa.array(key[large].view(np.int64))]),
                 "a": pa.chunked_array([pa.array(pair[:, 0]), pa.array(sets[large])]),
                 "b": pa.chunked_array([pa.array(pair[:, 1]), pa.nulls(len(large), pa.int64())]),
-                "n": pa.chunked_array([pa.nulls(k, pa.int32()), pa.array(size[large])]),
             }
         )
 
@@ -302,9 +301,84 @@ def _verify(pairs: DataFrame, sets: DataFrame, places: int, spec: JoinSpec) -> D
     return met.groupBy("place").cogroup(sent.groupBy("spot")).applyInArrow(run, _LINK)
 
 
+_CELL = store.schema("a long, b long, links long")
+
+
+def _chunks(hot: DataFrame, spec: JoinSpec) -> DataFrame:
+    """(sig, chunk) of every set under a hot key: those with the same most common key are
+    together, dealt into chunks of about ``meet``."""
+    many = hot.groupBy("key").agg(F.count(F.lit(1)).alias("m"))
+    home = hot.join(many, "key").groupBy("sig").agg(F.max(F.struct("m", "key")).alias("h")).select("sig", F.col("h.key").alias("home"))
+    parts = home.groupBy("home").agg(F.ceil(F.count(F.lit(1)) / spec.meet).alias("parts"))
+    return home.join(parts, "home").select("sig", F.xxhash64("home", F.pmod(F.xxhash64("sig"), F.col("parts"))).alias("chunk"))
+
+
+def _cells(hot: DataFrame, chunks: DataFrame) -> DataFrame:
+    """(c, d), c <= d: chunks that have a hot key in common."""
+    held = hot.join(chunks, "sig").select("key", F.col("chunk").alias("c")).distinct()
+    other = held.select(F.col("key").alias("k"), F.col("c").alias("d"))
+    return held.join(other, (F.col("key") == F.col("k")) & (F.col("c") <= F.col("d"))).select("c", "d").distinct()
+
+
+def _shared(token: np.ndarray, ptr: np.ndarray, left: np.ndarray, right: np.ndarray, width: int) -> np.ndarray:
+    """Tokens that each left set shares with each right one, a slice of tokens at a time."""
+    owner = textops.doc_of(ptr)
+    _, each, count = np.unique(token, return_inverse=True, return_counts=True)
+    rank = np.cumsum(count > 1) - 1
+    some = count[each] > 1  # others are shared by none
+    column, owner = rank[each][some], owner[some]
+    order = np.argsort(column, kind="stable")
+    column, owner = column[order], owner[order]
+    out = np.zeros((len(left), len(right)), np.float32)
+    for at in range(0, int(column[-1]) + 1 if len(column) else 0, width):
+        i, j = np.searchsorted(column, [at, at + width])
+        held = np.zeros((len(ptr) - 1, width), np.float32)
+        held[owner[i:j], column[i:j] - at] = 1
+        out += held[left] @ held[right].T
+    return out.astype(np.int64)
+
+
+def _joined(similar: np.ndarray) -> np.ndarray:
+    """The least row that each row of a symmetric matrix reaches."""
+    label = np.arange(len(similar))
+    while True:
+        low = np.minimum(label, np.where(similar, label, len(label)).min(1, initial=len(label)))
+        low = np.minimum(low, low[low])
+        if (low == label).all():
+            return label
+        label = low
+
+
+def _cell_links(spec: JoinSpec):
+    """Of a cell, (a, b, links): the links of set a in it, and a set b that they join it to."""
+
+    def run(table: pa.Table) -> pa.Table:
+        sig, (token, ptr) = table["sig"].to_numpy(), _eight(table["tokens"].to_pylist())
+        size, chunk = np.diff(ptr), table["chunk"].to_numpy()
+        left = np.flatnonzero(chunk == table["c"].to_numpy())
+        right = np.flatnonzero(chunk == table["d"].to_numpy())
+        shared = _shared(token, ptr, left, right, spec.slice)
+        good = (100 * shared >= spec.percent * (size[left][:, None] + size[right] - shared)) & (sig[left][:, None] != sig[right])
+        similar = np.zeros((len(sig), len(sig)), bool)
+        similar[np.ix_(left, right)] = good
+        similar |= similar.T
+        links = similar.sum(1)
+        some = links > 0
+        return pa.table({"a": pa.array(sig[some]), "b": pa.array(sig[_joined(similar)][some]), "links": pa.array(links[some].astype(np.int64))})
+
+    return run
+
+
+def _meet(cells: DataFrame, chunks: DataFrame, sets: DataFrame, spec: JoinSpec) -> DataFrame:
+    need = cells.select("c", "d", F.explode(F.array_distinct(F.array("c", "d"))).alias("chunk"))
+    sent = need.join(sets.join(chunks, "sig").select("sig", "chunk", "tokens"), "chunk")
+    return sent.groupBy("c", "d").applyInArrow(_cell_links(spec), _CELL)
+
+
 def join(docs: DataFrame, spec: JoinSpec = JoinSpec()) -> DataFrame:
-    """(doc_id, n_shingles, class_id, component_id): the least doc_id with the same set, and
-    the least doc_id reachable over links between sets that are similar enough."""
+    """(doc_id, n_shingles, class_id, component_id, n_links): the least doc_id with the same
+    set, the least doc_id reachable over links between sets that are similar enough, and with
+    how many other classes the document's class has such a link."""
     blocks = store.settle(packs.packs(store.documents(docs, "doc_id", "text")), "packs")
     size = blocks.agg(F.sum("bytes")).first()[0] or 0
     asks = max(8, size // (24 << 20))
@@ -317,49 +391,38 @@ def join(docs: DataFrame, spec: JoinSpec = JoinSpec()) -> DataFrame:
     index = store.settle(_index(blocks.join(answers, "block"), asks, buckets, spec), "index")
     raw = store.settle(index.where("bucket is not null").select("bucket", "keys", "sets", "sizes").groupBy("bucket").applyInArrow(_bucket_pairs(spec), _PAIRS), "candidates")
     pairs = raw.where("key is null").select("a", "b").distinct()
-    large = raw.where("key is not null").select("key", F.col("a").alias("sig"), "n")
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("sig")).unionByName(large.select("sig")).distinct()
+    hot = raw.where("key is not null").select("key", F.col("a").alias("sig"))
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("sig")).unionByName(hot.select("sig")).distinct()
     sets = index.where("bucket is null").select("sig", "n", "least", "tokens").dropDuplicates(["sig"]).join(wanted, "sig", "left_semi")
     sets = store.settle(sets, "tokens")
     places = max(8, (sets.agg(F.sum("n")).first()[0] or 0) * 12 // spec.bucket_bytes)
 
+    crowded = hot.limit(1).count() > 0
+    if crowded:
+        chunks = store.settle(_chunks(hot, spec), "chunks")
+        cells = store.settle(_cells(hot, chunks), "cells")
+        first, second = (chunks.select(F.col("sig").alias(x), F.col("chunk").alias(f"c{x}")) for x in ("a", "b"))
+        placed = pairs.join(first, "a", "left").join(second, "b", "left").select("a", "b", F.least("ca", "cb").alias("x"), F.greatest("ca", "cb").alias("y"), (F.col("ca").isNotNull() & F.col("cb").isNotNull()).alias("both"))
+        # a pair whose chunks meet is verified there
+        pairs = placed.join(cells, F.col("both") & (F.col("x") == F.col("c")) & (F.col("y") == F.col("d")), "left_anti").select("a", "b")
     links = store.settle(_verify(pairs, sets, places, spec), "verified")
-    if large.limit(1).count():
-        label = store.settle(components(links), "labels")
-        named = large.join(label, F.col("sig") == label["node"], "left").select("key", F.col("sig").alias("id"), "n", F.coalesce("least", "sig").alias("least"))
-        mixed = named.groupBy("key").agg(F.min("least").alias("x"), F.max("least").alias("y")).where("x <> y").select("key")
-        cross = named.join(mixed, "key").groupBy("key").applyInArrow(_cross_pairs(spec), _LINK).distinct()
-        rest = store.settle(cross.join(pairs, ["a", "b"], "left_anti"), "rest")
-        links = links.unionByName(_verify(rest, sets, places, spec))
+    ends = links.select(F.explode(F.array("a", "b")).alias("sig"), F.lit(1).cast("long").alias("links"))
+    if crowded:
+        met = store.settle(_meet(cells, chunks, sets, spec), "met")
+        links = links.unionByName(met.select("a", "b"))
+        ends = ends.unionByName(met.select(F.col("a").alias("sig"), "links"))
+    degree = ends.groupBy("sig").agg(F.sum("links").alias("n_links"))
     label = store.settle(components(links), "labels").select(F.col("node").alias("sig"), F.col("least").alias("label"))
 
     # from classes to documents: the least document of each class and component
     classes = sized.where("doc_id is not null and n > 0").groupBy("sig", "n").agg(F.min("doc_id").alias("class_id"))
-    classes = store.settle(classes.join(label, "sig", "left").withColumn("label", F.coalesce("label", "sig")), "classes")
+    classes = classes.join(label, "sig", "left").join(degree, "sig", "left").withColumns({"label": F.coalesce("label", "sig"), "n_links": F.coalesce("n_links", F.lit(0).cast("long"))})
+    classes = store.settle(classes, "classes")
     low = classes.groupBy("label").agg(F.min("class_id").alias("component_id"))
-    ids = classes.join(low, "label").select("sig", "n", "class_id", "component_id")
+    ids = classes.join(low, "label").select("sig", "n", "class_id", "component_id", "n_links")
     each = sized.join(ids, ["sig", "n"], "left")
     alone = F.col("n") == 0
-    return each.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.coalesce("class_id", "doc_id")).alias("class_id"), F.when(alone, F.col("doc_id")).otherwise(F.coalesce("component_id", "doc_id")).alias("component_id"))
-
-
-def _cross_pairs(spec: JoinSpec):
-    """Of a large bucket, the pairs of fitting sizes whose components differ."""
-
-    def run(table: pa.Table) -> pa.Table:
-        ids, n, label = (table[c].to_numpy() for c in ("id", "n", "least"))
-        kinds, kind, many = np.unique(label, return_inverse=True, return_counts=True)
-        a, b = [], []
-        if len(kinds) > 1:
-            largest = int(many.argmax())
-            for i in np.flatnonzero(kind != largest):
-                other = np.flatnonzero((kind != kind[i]) & _fits(n[i], n, spec.percent) & ((kind == largest) | (ids > ids[i])))
-                a.append(np.minimum(ids[i], ids[other]))
-                b.append(np.maximum(ids[i], ids[other]))
-        none = np.zeros(0, np.int64)
-        return pa.table({"a": np.concatenate([none, *a]), "b": np.concatenate([none, *b])})
-
-    return run
+    return each.select("doc_id", F.col("n").alias("n_shingles"), F.when(alone, F.col("doc_id")).otherwise(F.coalesce("class_id", "doc_id")).alias("class_id"), F.when(alone, F.col("doc_id")).otherwise(F.coalesce("component_id", "doc_id")).alias("component_id"), F.when(F.col("doc_id").isNull(), 0).otherwise(F.coalesce("n_links", F.lit(0))).cast("long").alias("n_links"))
 
 
 def one_of_each(docs: DataFrame, spec: JoinSpec = JoinSpec()) -> DataFrame:

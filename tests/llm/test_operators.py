@@ -94,6 +94,26 @@ def test_ngram_join(spark, texts, n, percent, options):
     assert got == {i: (len(s), find(i)) for i, s in sets.items()}
 
 
+@pytest.mark.parametrize("options", [{}, {"all_pairs": 2, "meet": 7, "slice": 16}, {"all_pairs": 12, "meet": 20}, {"all_pairs": 2, "meet": 5, "frequent": 3, "combine_below": 60}])
+def test_ngram_join_counts_every_link(spark, options):
+    r = random.Random(3)
+    docs = []
+    for g in range(3):  # groups whose members are similar or just not
+        base = [f"w{g}x{k}" for k in range(90)]
+        for k in range(40):
+            w = list(base)
+            for at in r.sample(range(len(w)), r.choice([0, 1, 2, 4, 6])):
+                w[at] = f"edit{r.randrange(4)}"
+            docs.append((100 * g + k, " ".join(w)))
+    docs += [(900, None), (901, ""), (902, docs[5][1])]
+    sets = {i: frozenset(zip(*[WORD.findall(t or "")[k:] for k in range(3)])) for i, t in docs}
+    kinds = set(sets.values()) - {frozenset()}
+    want = {i: sum(a != b and 100 * len(a & b) >= 80 * len(a | b) for b in kinds) if a else 0 for i, a in sets.items()}
+    got = {x["doc_id"]: x["n_links"] for x in ngram_join.join(table(spark, docs).unionByName(table(spark, [(None, docs[5][1])])), ngram_join.JoinSpec(n=3, percent=80, **options)).collect()}
+    assert got.pop(None) == 0
+    assert got == want and 0 < sum(want.values()) < len(kinds) ** 2 / 3
+
+
 def test_line_dedup(spark):
     rows = [(1, "a\nb\nc\nd"), (2, "x\na\n\nb\nc\ny"), (3, "a\nb"), (4, None), (5, "z\nz\nz\nz"), (6, "a\nb\nc\nd")]
     got = {r["doc_id"]: r["text"] for r in line_dedup.dedup(table(spark, rows)).collect()}
