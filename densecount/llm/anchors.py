@@ -108,6 +108,9 @@ def anchors(docs: DataFrame, shape: Shape, buckets: int, parts: int) -> DataFram
         place = np.concatenate([store.unpack(x, np.int32) for x in table["places"].to_pylist()])
         order = np.lexsort((place, doc))
         doc, place = doc[order], place[order]
+        new = np.ones(len(doc), bool)  # rows that repeat a document give its places again
+        new[1:] = (doc[1:] != doc[:-1]) | (place[1:] != place[:-1])
+        doc, place = doc[new], place[new]
         ids, begin = np.unique(doc, return_index=True)
         return pa.table({"doc_id": pa.array(ids), "places": pa.array([place[a:b].tobytes() for a, b in zip(begin, np.append(begin[1:], len(doc)))], pa.binary())})
 
@@ -123,7 +126,8 @@ def contexts(joined: DataFrame, shape: Shape, buckets: int, encode: Callable) ->
 
     ``joined`` has doc_id, text and the anchors' places; ``encode(Symbols, places, valid)``
     gives the matrix of symbols that travels. Equal contexts of a block are merged before
-    they are sent: the least document's stays, and what the others' hold is covered."""
+    they are sent: the first one's (doc_id, place) stays, as often as rows repeat it, and what
+    the others hold is covered."""
     width = 2 * shape.side + shape.gram
 
     def run(batches):
@@ -134,7 +138,7 @@ def contexts(joined: DataFrame, shape: Shape, buckets: int, encode: Callable) ->
             doc = np.repeat(np.arange(len(at)), np.array([len(x) for x in at], np.int64))
             place = s.ptr[doc] + np.concatenate([*at, np.zeros(0, np.int32)])
             ids = np.asarray(batch.column(0))
-            order = np.lexsort((place, ids[doc]))
+            order = np.lexsort((place - s.ptr[doc], ids[doc]))
             doc, place = doc[order], place[order]
             bucket = ((s.grams[place] >> _U(40)) % _U(buckets)).astype(np.int32)
             order, here, begin, end = split(bucket)
@@ -147,8 +151,10 @@ def contexts(joined: DataFrame, shape: Shape, buckets: int, encode: Callable) ->
                 real = np.stack([valid.argmax(1), width - valid[:, ::-1].argmax(1)], 1).astype(np.uint8)
                 _, first, each = np.unique(row_hashes(matrix, real), return_index=True, return_inverse=True)
                 least = ids[d[first]][each]
-                stays = ids[d] == least if shape.across else first[each] == np.arange(b - a)
                 start = (start - s.ptr[d]).astype(np.int32)
+                stays = ids[d] == least
+                if not shape.across:
+                    stays &= start == start[first][each]
                 long = ~stays & (real[:, 1].astype(int) - real[:, 0] >= shape.window)
                 gone = start[long, None] + real[long].astype(np.int32)
                 yield store.rows(

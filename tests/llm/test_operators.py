@@ -224,6 +224,15 @@ def test_fm_dedup(spark, texts):
     assert got == brute_words(texts)
 
 
+def test_fm_dedup_repeated_rows(spark):
+    text = lambda k, n: " ".join(f"w{k}x{i}" for i in range(n))
+    docs = [(1, text(1, 60)), (2, text(2, 40) + " " + text(1, 30)), (3, text(3, 25) + " stop " + text(3, 25)), (4, text(4, 10))]
+    rows = spark.createDataFrame([*docs, docs[0], docs[1], docs[2], docs[2]], "doc_id long, text string").coalesce(1)  # in one block
+    got = [(r["doc_id"], (r["n_words"], r["n_removed"], r["kept_sha256"])) for r in fm_dedup.dedup(rows).collect()]
+    want = brute_words(docs)
+    assert sorted(got) == sorted((i, want[i]) for i in [1, 2, 3, 4, 1, 2, 3, 3])
+
+
 def test_bwt_dedup(spark, texts):
     first = {}
     for i, t in sorted(texts, key=lambda x: x[0]):
