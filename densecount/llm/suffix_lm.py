@@ -2,16 +2,18 @@
 
 Symbols are the bytes of the lower-cased words, joined by single spaces, and a text's end.
 Every context of up to ``depth`` bytes is counted over all training texts. A context is
-retained if its share of all symbols is at least ``p_min`` and if its next-symbol counts
-diverge enough from its parent's (the context without its farthest byte), or if a longer
+retained if it stands at least ``least`` times and if its next-symbol counts diverge enough from its parent's (the context without its farthest byte), or if a longer
 retained context needs it. Next-symbol distributions are smoothed towards the parent's, down
 to a root with half a count per symbol. A token is spelled with the longest retained suffix
 of what precedes each symbol, across word borders; the probability of a token seen in
 training mixes that with its share of the training tokens. All unseen tokens are one symbol,
 as in the unigram base, with the probability mass of tokens seen once.
 
-``p_min`` bounds the retained contexts to depth / p_min at any corpus size; that is what is
-sent to all tasks. Counts travel as sorted packed arrays, one row per task and bucket.
+The retained contexts grow with the corpus, so the tree is nowhere as a whole. It is dealt
+out by the two nearest bytes: blocks of documents send their distinct grams with training
+counts, a row per (block, bucket); a bucket builds its part of the tree from them and sends
+their probabilities back in the same order. Only contexts of one byte or none, at most
+65,792 counts at any size, go to all tasks.
 
 The unigram base needs the count of every word. Blocks of documents ask for their distinct
 words by hash, a row per (block, bucket), and get the counts back in the same order, so
@@ -40,13 +42,12 @@ _U = np.uint64
 @dataclass(frozen=True)
 class TreeSpec:
     depth: int = 6  # at most 6: contexts and symbol share a 64-bit key
-    p_min: float = 4e-6  # least share of all symbols of a retained context
+    least: int = 8  # occurrences of a retained context, at any corpus size
     gain: float = 30.0  # least log-likelihood ratio (nats) against the parent context
     tree_share: float = 0.5  # of the tree in a known token's probability
     strength: float = 4.0  # of the parent's distribution, in counts
     folds: int = 5
     held_fold: int = 1
-    flush: int = 2_000_000  # distinct grams a task holds before it sends them
 
 
 END = 0  # byte 0 stands for the end of a text (and for what precedes its start)
@@ -127,103 +128,109 @@ def _merge(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray
     return key[begin], np.add.reduceat(count, begin) if len(key) else count
 
 
-_GRAM = store.schema("bucket int, keys binary, counts binary")
+_GRAM = store.schema("bucket int, block long, keys binary, counts binary")
+_SHORT = store.schema("level int, context long, symbol int, n long")
 
 
-def gram_counts(blocks: DataFrame, spec: TreeSpec, buckets: int) -> DataFrame:
-    """Counts of all grams of training texts, dealt out by their two nearest bytes."""
+def _gram_bucket(key: np.ndarray, spec: TreeSpec, buckets: int) -> np.ndarray:
+    return (textops.mix(key >> _U(8 * (spec.depth - 1))) % _U(buckets)).astype(np.int32)
+
 
-    def send(key, count):
-        bucket = (textops.mix(key >> _U(8 * (spec.depth - 1))) % _U(buckets)).astype(np.int32)
-        order = np.argsort(bucket, kind="stable")
-        here, begin = np.unique(bucket[order], return_index=True)
-        for k, a, b in zip(here.tolist(), begin, np.append(begin[1:], len(bucket))):
-            part = order[a:b]
-            yield store.rows(_GRAM, bucket=[k], keys=[store.pack(key[part])], counts=[store.pack(count[part])])
+def gram_counts(blocks: DataFrame, spec: TreeSpec, buckets: int) -> DataFrame:
+    """The distinct grams of each block with their counts in its training texts, dealt out
+    by their two nearest bytes."""
 
     def run(batches):
-        keys, counts = [], []
         for row in store.each_row(batches):
             b = Block(row)
             symbols, offsets, _ = b.symbols()
+            key = grams(symbols, offsets, spec.depth)
             train = np.repeat(~b.held, np.diff(offsets))
-            key = np.sort(grams(symbols, offsets, spec.depth)[train])
+            order = np.argsort(key, kind="stable")
+            key, train = key[order], train[order].astype(np.int64)
             begin = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
-            keys.append(key[begin])
-            counts.append(np.diff(np.append(begin, len(key))))
-            if sum(map(len, keys)) > spec.flush:
-                key, count = _merge(keys, counts)
-                keys, counts = [key], [count]
-                if len(key) > spec.flush:
-                    yield from send(key, count)
-                    keys, counts = [], []
-        if keys:
-            yield from send(*_merge(keys, counts))
+            key, count = key[begin], np.add.reduceat(train, begin).astype(np.int32) if len(begin) else np.zeros(0, np.int32)
+            bucket = _gram_bucket(key, spec, buckets)
+            order = np.argsort(bucket, kind="stable")
+            here, first = np.unique(bucket[order], return_index=True)
+            for k, x, y in zip(here.tolist(), first, np.append(first[1:], len(order))):
+                part = order[x:y]
+                yield store.rows(_GRAM, bucket=[k], block=[row["block"]], keys=[store.pack(np.diff(key[part], prepend=_U(0)))], counts=[store.pack(count[part])])
 
     return blocks.mapInArrow(run, _GRAM)
 
 
-_STATE = store.schema("level int, context long, symbol int, n long")
-
-
-def states(counted: DataFrame, spec: TreeSpec) -> DataFrame:
-    """(level, context, symbol, n): next-symbol counts of all retained contexts of two or
-    more bytes, and of every context of fewer."""
-
-    def total_of(key, count):
-        order = np.argsort(key, kind="stable")
-        key, count = key[order], count[order]
-        begin = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
-        return key[begin], np.add.reduceat(count, begin) if len(begin) else count
-
-    def run(least: float):
-        def inner(table: pa.Table) -> pa.Table:
-            key, count = _merge([store.unpack(x, np.uint64) for x in table["keys"].to_pylist()], [store.unpack(x, np.int64) for x in table["counts"].to_pylist()])
-            symbol = key & _U(255)
-            level: dict[int, tuple] = {}
-            for n in range(spec.depth + 1):
-                context = key >> _U(8 * (spec.depth - n + 1))
-                pair, c = total_of((context << _U(8)) | symbol, count)
-                owner = pair >> _U(8)
-                begin = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]])) if len(owner) else np.zeros(0, np.int64)
-                each = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(owner))))
-                level[n] = (owner[begin], pair, c, each, np.add.reduceat(c, begin) if len(begin) else c)
-            out = []
-            wanted = np.zeros(0, np.uint64)  # contexts that longer retained ones need
-            for n in range(spec.depth, -1, -1):
-                owner, pair, c, each, total = level[n]
-                if n >= 3:  # shorter parents are not complete in one bucket; level 2 stays whole
-                    p_owner, p_pair, p_c, _, p_total = level[n - 1]
-                    up = (pair >> _U(16) << _U(8)) | (pair & _U(255))
-                    at = np.searchsorted(p_pair, up)
-                    parent = p_c[at] / p_total[np.searchsorted(p_owner, up >> _U(8))]
-                    gain = np.bincount(each, c * np.log(c / total[each] / parent), minlength=len(owner))
-                    keep = ((total >= least) & (gain >= spec.gain)) | np.isin(owner, wanted)
-                    wanted = np.unique(owner[keep] >> _U(8))
-                elif n == 2:
-                    keep = (total >= least) | np.isin(owner, wanted)
-                else:
-                    keep = np.ones(len(owner), bool)
-                some = keep[each]
-                out.append((np.full(int(some.sum()), n, np.int32), (pair[some] >> _U(8)).view(np.int64), (pair[some] & _U(255)).astype(np.int32), c[some]))
-            return pa.table(dict(zip(("level", "context", "symbol", "n"), (np.concatenate(x) for x in zip(*out)), strict=True)))
-
-        return inner
-
-    found = counted.groupBy("bucket").applyInArrow(run(spec.p_min * _size(counted)), _STATE)
-    return found.groupBy("level", "context", "symbol").agg(F.sum("n").alias("n"))
-
-
-def _size(counted: DataFrame) -> int:
-    """Symbols counted; a sum of sums."""
-    kind = store.schema("n long")
+def _keys(blob: bytes) -> np.ndarray:
+    return np.cumsum(store.unpack(blob, np.uint64))
 
-    def run(batches):
-        for batch in batches:
-            for x in batch.column(0).to_pylist():
-                yield store.rows(kind, n=[int(store.unpack(x, np.int64).sum())])
 
-    return counted.select("counts").mapInArrow(run, kind).agg(F.sum("n")).first()[0] or 0
+def short_states(counted: DataFrame, spec: TreeSpec) -> DataFrame:
+    """(level, context, symbol, n) of the contexts of at most one byte; a sum of sums."""
+
+    def run(batches):
+        total = np.zeros((SYMBOLS, SYMBOLS), np.int64)
+        for row in store.each_row(batches):
+            key = _keys(row["keys"])
+            np.add.at(total, ((key >> _U(8 * spec.depth)).astype(np.int64), (key & _U(255)).astype(np.int64)), store.unpack(row["counts"], np.int32))
+        context, symbol = np.nonzero(total)
+        root = np.flatnonzero(total.sum(0))
+        yield store.rows(
+            _SHORT, level=[0] * len(root) + [1] * len(context), context=pa.array(np.concatenate([np.zeros(len(root), np.int64), context])),
+            symbol=pa.array(np.concatenate([root, symbol]).astype(np.int32)), n=pa.array(np.concatenate([total.sum(0)[root], total[context, symbol]])),
+        )
+
+    return counted.select("keys", "counts").mapInArrow(run, _SHORT).groupBy("level", "context", "symbol").agg(F.sum("n").alias("n"))
+
+
+def states(key: np.ndarray, count: np.ndarray, spec: TreeSpec) -> pa.Table:
+    """(level, context, symbol, n): next-symbol counts of the retained contexts of two or
+    more bytes, from all grams of a bucket, sorted."""
+    symbol = key & _U(255)
+    level: dict[int, tuple] = {}
+    for n in range(2, spec.depth + 1):
+        context = key >> _U(8 * (spec.depth - n + 1))
+        pair, c = _merge([(context << _U(8)) | symbol], [count])
+        owner = pair >> _U(8)
+        begin = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]])) if len(owner) else np.zeros(0, np.int64)
+        each = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(owner))))
+        level[n] = (owner[begin], pair, c, each, np.add.reduceat(c, begin) if len(begin) else c)
+    out = []
+    wanted = np.zeros(0, np.uint64)  # contexts that longer retained ones need
+    for n in range(spec.depth, 1, -1):
+        owner, pair, c, each, total = level[n]
+        keep = total >= spec.least
+        if n >= 3:  # shorter parents are not complete in one bucket
+            p_owner, p_pair, p_c, _, p_total = level[n - 1]
+            up = (pair >> _U(16) << _U(8)) | (pair & _U(255))
+            at = np.searchsorted(p_pair, up)
+            parent = p_c[at] / p_total[np.searchsorted(p_owner, up >> _U(8))]
+            keep &= np.bincount(each, c * np.log(c / total[each] / parent), minlength=len(owner)) >= spec.gain
+        keep |= np.isin(owner, wanted)
+        wanted = np.unique(owner[keep] >> _U(8))
+        some = keep[each]
+        out.append((np.full(int(some.sum()), n, np.int32), (pair[some] >> _U(8)).view(np.int64), (pair[some] & _U(255)).astype(np.int32), c[some]))
+    return pa.table(dict(zip(("level", "context", "symbol", "n"), (np.concatenate(x) for x in zip(*out)), strict=True)))
+
+
+_SPELLED = store.schema("block long, bucket int, logs binary")
+
+
+def spell(counted: DataFrame, short: pa.Table, spec: TreeSpec) -> DataFrame:
+    """(block, bucket, logs): log10 P(symbol | longest retained suffix) of the grams that a
+    block sent to a bucket, in their order."""
+
+    def run(table: pa.Table) -> pa.Table:
+        asked = [_keys(x) for x in table["keys"].to_pylist()]
+        key, count = _merge(asked, [store.unpack(x, np.int32).astype(np.int64) for x in table["counts"].to_pylist()])
+        tree = Tree(pa.concat_tables([short, states(key[count > 0], count[count > 0], spec)]), spec)
+        logs = np.log10(tree.probability(key)).astype(np.float32)
+        back = [store.pack(logs[np.searchsorted(key, x)]) for x in asked]
+        return pa.table({"block": table["block"], "bucket": table["bucket"], "logs": pa.array(back, pa.binary())})
+
+    return counted.groupBy("bucket").applyInArrow(run, _SPELLED)
+
+
+SHORT = pa.schema([("level", pa.int32()), ("context", pa.int64()), ("symbol", pa.int32()), ("n", pa.int64())])
 
 
 class Tree:
@@ -277,14 +284,13 @@ def _deal(words: np.ndarray, buckets: int) -> np.ndarray:
 
 def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
     """Unigram base and suffix-tree log10 probabilities of every text."""
-    spark = docs.sparkSession
     blocks = store.settle(packs(docs, spec), "packs")
     size = blocks.agg(F.sum("bytes")).first()[0] or 0
     buckets = max(8, size // (24 << 20))
 
     counted = store.settle(gram_counts(blocks, spec, buckets), "grams")
-    tree = Tree(states(counted, spec).toArrow(), spec)  # bounded by depth / p_min contexts
-    shared = spark.sparkContext.broadcast(tree)
+    short = pa.Table.from_pylist([r.asDict() for r in short_states(counted, spec).collect()], SHORT)  # at most 65,792 rows
+    spelt = store.settle(spell(counted, short, spec), "spelt").groupBy("block").agg(F.collect_list(F.struct("bucket", "logs")).alias("spelt"))  # as many as a block asked
 
     def ask(batches):
         for row in store.each_row(batches):
@@ -324,7 +330,6 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
     back = answers.groupBy("block").agg(F.collect_list(F.struct("bucket", "counts")).alias("answers"))  # as many as a block asked
 
     def finish(batches):
-        tree = shared.value
         low = total + 0.5 * (kinds + 1)
         for row in store.each_row(batches):
             b = Block(row)
@@ -338,8 +343,10 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
             base = np.bincount(doc, np.log10((c + 0.5) / low), minlength=n_docs) + np.log10((train_docs + 0.5) / low)
             known = np.bincount(doc, c > 0, minlength=n_docs).astype(np.int64) + (train_docs > 0)
             symbols, offsets, tokens = b.symbols()
-            gram, which = np.unique(grams(symbols, offsets, tree.depth), return_inverse=True)
-            spelled = np.add.reduceat(np.log10(tree.probability(gram))[which], tokens) if n_docs else np.zeros(0)
+            gram, which = np.unique(grams(symbols, offsets, spec.depth), return_inverse=True)
+            logs = np.zeros(len(gram))
+            logs[np.argsort(_gram_bucket(gram, spec, buckets), kind="stable")] = np.concatenate([np.zeros(0, np.float32), *[store.unpack(x["logs"], np.float32) for x in sorted(row["spelt"], key=lambda x: x["bucket"])]])
+            spelled = np.add.reduceat(logs[which], tokens) if n_docs else np.zeros(0)
             # a token seen in training: its share of the tokens mixed with its spelling
             count = np.empty(len(tokens))
             is_end = symbols[tokens] == END
@@ -354,4 +361,4 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
                 train_tokens=pa.array(np.full(n_docs, total)), base_score=pa.array(base), score=pa.array(scored),
             )
 
-    return blocks.join(back, "block").mapInArrow(finish, _OUT)
+    return blocks.join(back, "block").join(spelt, "block").mapInArrow(finish, _OUT)

@@ -162,6 +162,22 @@ def test_suffix_lm(spark, texts):
     assert sum(got[i]["score"] for i in got if held[i]) > sum(got[i]["base_score"] for i in got if held[i])
 
 
+def test_suffix_states_do_not_depend_on_the_corpus_size():
+    """A context that diverges is retained however much else there is."""
+    r = np.random.default_rng(4)
+    one = np.frombuffer(b"aqux bquy " * 60, np.uint8)
+    other = r.integers(97, 123, 400_000).astype(np.uint8)
+    spec = suffix_lm.TreeSpec(least=8)
+
+    def kept(symbols):
+        key, count = np.unique(suffix_lm.grams(symbols, np.array([0, len(symbols)]), spec.depth), return_counts=True)
+        rows = suffix_lm.states(key, count.astype(np.int64), spec).to_pylist()
+        return {(x["level"], x["context"]) for x in rows}
+
+    near = int.from_bytes(b"uqa", "big")  # "aqu", nearest byte on top
+    assert (3, near) in kept(one) and (3, near) in kept(np.concatenate([one, np.tile(np.where(other == 113, 97, other), 60)]))
+
+
 def test_quality_features(spark, texts):
     rows = [*texts, (70, "a#b $$ c\nc\nc\n \n"), (71, "r s t r s t u")]
     got = {r["doc_id"]: r for r in quality_rules.judge(table(spark, rows)).collect()}
