@@ -28,11 +28,11 @@ def _to_least(pairs: DataFrame, larger: bool) -> DataFrame:
     return out.where("x <> m").select(F.col("x").alias("a"), F.col("m").alias("b")).distinct()
 
 
-def components(links: DataFrame, limit: int = 60) -> DataFrame:
+def components(links: DataFrame) -> DataFrame:
     """(node, least) for every node of ``links`` (columns a, b): the least id it reaches."""
     pairs = store.settle(links.select("a", "b").where("a <> b").distinct(), "links")
     mark = None
-    for _ in range(limit):
+    while True:  # each step that changes anything makes some node's least neighbour smaller, so this ends
         pairs = store.settle(_to_least(_to_least(pairs, True), False), "links")
         now = pairs.agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("a", "b")).alias("x")).first()
         if mark == now:

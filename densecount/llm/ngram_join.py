@@ -3,10 +3,13 @@
 A document is its set of word n-grams (48-bit hashes). Equal sets form one class. Tokens
 are ordered rare before frequent; two sets that are similar enough share at least two
 tokens within prefixes that are two tokens longer than the unavoidable loss. So in an
-extended prefix every rarer token is indexed alone, and frequent tokens are indexed as
-combinations of two: a similar pair shares a rarer one, or two frequent ones. (Sets so large
-that combinations would explode index frequent tokens alone; sizes near that border do
-both, so no pair is lost.) Tokens that no other set holds fill prefixes but need no index.
+extended prefix every rarer token is indexed alone, and frequent tokens, those in more sets
+than one key's pairs are listed for (``all_pairs``), are indexed as combinations of two: a
+similar pair shares a rarer one, or two frequent ones. A combination goes to the bucket of
+its first token, so splitting a crowded token by its combinations needs no further exchange.
+(A prefix of p tokens has p * p / 2 combinations. Sets with longer prefixes than
+``combined`` index frequent tokens alone; sizes near that border do both, so no pair is
+lost.) Tokens that no other set holds fill prefixes but need no index.
 
 How frequent a token is, is counted over all documents: blocks of documents ask for their
 distinct tokens, a row of packed arrays per (block, bucket), and get a frequency class for
@@ -45,13 +48,17 @@ _LOW = _U((1 << 48) - 1)
 class JoinSpec:
     n: int = 5
     percent: int = 80
-    frequent: int = 10_000  # sets that hold a token of the frequent class
-    combine_below: int = 600  # set size from which frequent tokens are indexed alone
-    all_pairs: int = 24  # sets under a key up to which its pairs are listed; beyond, they meet in a grid
+    all_pairs: int = 24  # sets under a key up to which its pairs are listed; a token in more is frequent
+    combined: int = 64  # longest prefix whose frequent tokens are combined
     bucket_bytes: int = 8 << 20
     meet: int = 400  # sets that meet in one place, or in a chunk of the grid
     slice: int = 4096  # tokens looked at together in a cell
 
+    @property
+    def combine_below(self) -> int:
+        """Set size up to which prefixes are no longer than ``combined``."""
+        return self.combined * 100 // max(100 - self.percent, 1)
+
 
 class Sets:
     """Shingle sets of a block: tokens of document i are tokens[ptr[i]:ptr[i+1]], sorted."""
@@ -146,18 +153,19 @@ def _classes(spec: JoinSpec):
         counts = [store.unpack(x, np.int32) for x in table["counts"].to_pylist()]
         token, each = np.unique(np.concatenate(asked), return_inverse=True)
         total = np.bincount(each, np.concatenate(counts))
-        level = np.searchsorted([2, 16, spec.frequent], total, "right").astype(np.uint8)[each]
+        level = np.searchsorted([2, min(8, spec.all_pairs), spec.all_pairs + 1], total, "right").astype(np.uint8)[each]
         cut = np.cumsum([len(x) for x in asked])[:-1]
         return pa.table({"block": table["block"], "bucket": table["bucket"], "classes": pa.array([store.pack(x) for x in np.split(level, cut)], pa.binary())})
 
     return run
 
 
-_INDEX = store.schema("bucket int, keys binary, sets binary, sizes binary, sig long, n int, least long, tokens binary")
+_INDEX = store.schema("bucket int, firsts binary, keys binary, sets binary, sizes binary, sig long, n int, least long, tokens binary")
 
 
 def _prefix(x: Asked, level: np.ndarray, spec: JoinSpec):
-    """Index keys of a block: (key, document) arrays."""
+    """Index keys of a block: (first token, key, document) arrays. The key is the token
+    itself or the hash of a combination."""
     sets, size = x.sets, x.sets.size
     length = np.where(x.one & (size > 1), np.minimum(size - _need(size, spec.percent) + 2, size), 0)
     order = np.argsort((sets.doc << 2) | level, kind="stable")  # tokens of a set are in order already
@@ -165,16 +173,14 @@ def _prefix(x: Asked, level: np.ndarray, spec: JoinSpec):
     doc, token, rank = sets.doc[take], sets.tokens[take], level[take]
     common = rank == 3
     alone = ((rank > 0) & ~common) | (common & (size[doc] >= spec.combine_below * spec.percent // 100))
-    keys, owner = [token[alone]], [doc[alone]]
     pairable = common & (size[doc] <= spec.combine_below * 100 // spec.percent)
-    token, doc = token[pairable], doc[pairable]
-    here, begin = np.unique(doc, return_index=True)
-    for d, a, b in zip(here, begin, np.append(begin[1:], len(doc))):
-        t = np.sort(token[a:b])
-        i, j = np.triu_indices(len(t), 1)
-        keys.append(textops.mix(t[i] * _U(0x9E3779B97F4A7C15) + t[j]) & _LOW)
-        owner.append(np.full(len(i), d))
-    return np.concatenate(keys), np.concatenate(owner)
+    one, owner = token[alone], doc[alone]
+    token, doc = token[pairable], doc[pairable]  # in order within a document
+    after = np.searchsorted(doc, doc, "right") - np.arange(len(doc)) - 1  # tokens of the same set that follow
+    first = np.repeat(np.arange(len(doc)), after)
+    second = textops.ranges(np.arange(len(doc)) + 1, after)
+    both = textops.mix(token[first] * _U(0x9E3779B97F4A7C15) + token[second]) | ~_LOW  # never a token
+    return np.concatenate([one, token[first]]), np.concatenate([one, both]), np.concatenate([owner, doc[first]])
 
 
 def _index(joined: DataFrame, asks: int, buckets: int, spec: JoinSpec) -> DataFrame:
@@ -187,29 +193,30 @@ def _index(joined: DataFrame, asks: int, buckets: int, spec: JoinSpec) -> DataFr
             level = np.concatenate([*found, np.zeros(0, np.uint8)])
             if len(x.token):
                 at = np.minimum(np.searchsorted(x.token, x.sets.tokens), len(x.token) - 1)
-                key, doc = _prefix(x, np.where(x.one[x.sets.doc], level[at], 0), spec)
+                first, key, doc = _prefix(x, np.where(x.one[x.sets.doc], level[at], 0), spec)
             else:
-                key, doc = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-            bucket = (textops.mix(key) % _U(buckets)).astype(np.int32)
-            order = np.argsort(bucket, kind="stable")
-            key, owner, bucket = key[order], doc[order], bucket[order]
+                first, key, doc = np.zeros(0, np.uint64), np.zeros(0, np.uint64), np.zeros(0, np.int64)
+            bucket = (textops.mix(first) % _U(buckets)).astype(np.int32)
+            order = np.lexsort((first, bucket))
+            first, key, owner, bucket = first[order], key[order], doc[order], bucket[order]
             here, begin = np.unique(bucket, return_index=True)
             nothing = dict(sig=[None], n=[None], least=[None], tokens=[None])
             for k, a, b in zip(here.tolist(), begin, np.append(begin[1:], len(bucket))):
-                yield store.rows(_INDEX, bucket=[k], keys=[store.pack(key[a:b])], sets=[store.pack(x.sig[owner[a:b]])], sizes=[store.pack(x.sets.size[owner[a:b]].astype(np.int32))], **nothing)
+                yield store.rows(_INDEX, bucket=[k], firsts=[store.pack(first[a:b])], keys=[store.pack(key[a:b])], sets=[store.pack(x.sig[owner[a:b]])], sizes=[store.pack(x.sets.size[owner[a:b]].astype(np.int32))], **nothing)
             some = np.unique(doc)
             if len(some):
                 a, b = x.sets.ptr[some], x.sets.ptr[some + 1]
                 none = pa.nulls(len(some), pa.binary())
                 yield store.rows(
-                    _INDEX, bucket=pa.nulls(len(some), pa.int32()), keys=none, sets=none, sizes=none, sig=pa.array(x.sig[some]), n=pa.array(x.sets.size[some].astype(np.int32)),
+                    _INDEX, bucket=pa.nulls(len(some), pa.int32()), firsts=none, keys=none, sets=none, sizes=none, sig=pa.array(x.sig[some]), n=pa.array(x.sets.size[some].astype(np.int32)),
                     least=pa.array(x.sets.tokens[a].view(np.int64)), tokens=[_six(x.sets.tokens[i:j]) for i, j in zip(a, b, strict=True)],
                 )
 
     return joined.mapInArrow(run, _INDEX)
 
 
-#: key is null for a pair (a, b); else the row says that set a is under that hot key
+#: key is null for a pair (a, b); else the row says that set a is under a hot key that is
+#: this token or a combination with it
 _PAIRS = store.schema("key long, a long, b long")
 
 
@@ -219,14 +226,15 @@ def _fits(na, nb, percent: int):
 
 def _bucket_pairs(spec: JoinSpec):
     def run(table: pa.Table) -> pa.Table:
+        first = np.concatenate([store.unpack(x, np.uint64) for x in table["firsts"].to_pylist()])
         key = np.concatenate([store.unpack(x, np.uint64) for x in table["keys"].to_pylist()])
         sets = np.concatenate([store.unpack(x, np.int64) for x in table["sets"].to_pylist()])
         size = np.concatenate([store.unpack(x, np.int32) for x in table["sizes"].to_pylist()])
         order = np.lexsort((sets, size, key))
-        key, sets, size = key[order], sets[order], size[order]
+        key, sets, size, first = key[order], sets[order], size[order], first[order]
         keep = np.ones(len(key), bool)
         keep[1:] = (key[1:] != key[:-1]) | (sets[1:] != sets[:-1])
-        key, sets, size = key[keep], sets[keep], size[keep]
+        key, sets, size, first = key[keep], sets[keep], size[keep], first[keep]
         begin = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
         count = np.diff(np.append(begin, len(key)))
         a, b = [], []
@@ -237,15 +245,16 @@ def _bucket_pairs(spec: JoinSpec):
             a.append((at[:, None] + i).ravel())
             b.append((at[:, None] + j).ravel())
         large = textops.ranges(begin[~small], count[~small])
+        hot = np.unique(np.stack([first[large].view(np.int64), sets[large]], 1), axis=0)  # a row per token, whatever its combinations
         a, b = (np.concatenate([np.zeros(0, np.int64), *x]).astype(np.int64) for x in (a, b))
         ok = _fits(size[a], size[b], spec.percent) & (sets[a] != sets[b])
         pair = np.unique(np.stack([np.minimum(sets[a[ok]], sets[b[ok]]), np.maximum(sets[a[ok]], sets[b[ok]])], 1), axis=0)
         k = len(pair)
         return pa.table(
             {
-                "key": pa.chunked_array([pa.nulls(k, pa.int64()), pa.array(key[large].view(np.int64))]),
-                "a": pa.chunked_array([pa.array(pair[:, 0]), pa.array(sets[large])]),
-                "b": pa.chunked_array([pa.array(pair[:, 1]), pa.nulls(len(large), pa.int64())]),
+                "key": pa.chunked_array([pa.nulls(k, pa.int64()), pa.array(hot[:, 0])]),
+                "a": pa.chunked_array([pa.array(pair[:, 0]), pa.array(hot[:, 1])]),
+                "b": pa.chunked_array([pa.array(pair[:, 1]), pa.nulls(len(hot), pa.int64())]),
             }
         )
 
@@ -389,7 +398,7 @@ def join(docs: DataFrame, spec: JoinSpec = JoinSpec()) -> DataFrame:
 
     buckets = max(8, size // (spec.bucket_bytes * 4))
     index = store.settle(_index(blocks.join(answers, "block"), asks, buckets, spec), "index")
-    raw = store.settle(index.where("bucket is not null").select("bucket", "keys", "sets", "sizes").groupBy("bucket").applyInArrow(_bucket_pairs(spec), _PAIRS), "candidates")
+    raw = store.settle(index.where("bucket is not null").select("bucket", "firsts", "keys", "sets", "sizes").groupBy("bucket").applyInArrow(_bucket_pairs(spec), _PAIRS), "candidates")
     pairs = raw.where("key is null").select("a", "b").distinct()
     hot = raw.where("key is not null").select("key", F.col("a").alias("sig"))
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("sig")).unionByName(hot.select("sig")).distinct()

@@ -71,7 +71,7 @@ def test_decontamination(spark, texts):
     assert {(r["doc_id"], r["item_id"]) for r in blocks.collect()} == set(got)
 
 
-@pytest.mark.parametrize("n,percent,options", [(3, 90, {}), (5, 80, {"all_pairs": 2, "frequent": 3, "combine_below": 60, "meet": 2}), (2, 70, {"frequent": 2})])
+@pytest.mark.parametrize("n,percent,options", [(3, 90, {}), (5, 80, {"all_pairs": 2, "combined": 12, "meet": 2}), (2, 70, {"all_pairs": 1})])
 def test_ngram_join(spark, texts, n, percent, options):
     sets = {}
     for i, t in texts:
@@ -94,7 +94,7 @@ def test_ngram_join(spark, texts, n, percent, options):
     assert got == {i: (len(s), find(i)) for i, s in sets.items()}
 
 
-@pytest.mark.parametrize("options", [{}, {"all_pairs": 2, "meet": 7, "slice": 16}, {"all_pairs": 12, "meet": 20}, {"all_pairs": 2, "meet": 5, "frequent": 3, "combine_below": 60}])
+@pytest.mark.parametrize("options", [{}, {"all_pairs": 2, "meet": 7, "slice": 16}, {"all_pairs": 12, "meet": 20}, {"all_pairs": 2, "meet": 5, "combined": 6}])
 def test_ngram_join_counts_every_link(spark, options):
     r = random.Random(3)
     docs = []
