@@ -33,7 +33,8 @@ def components(links: DataFrame) -> DataFrame:
     pairs = store.settle(links.select("a", "b").where("a <> b").distinct(), "links")
     mark = None
     while True:  # each step that changes anything makes some node's least neighbour smaller, so this ends
-        pairs = store.settle(_to_least(_to_least(pairs, True), False), "links")
+        before, pairs = pairs, store.settle(_to_least(_to_least(pairs, True), False), "links")
+        store.drop(before)
         now = pairs.agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("a", "b")).alias("x")).first()
         if mark == now:
             break

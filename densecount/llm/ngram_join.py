@@ -394,16 +394,18 @@ def join(docs: DataFrame, spec: JoinSpec = JoinSpec()) -> DataFrame:
     asked = store.settle(_asks(blocks, spec, asks), "asks")
     answers = asked.where(F.col("bucket") != _FACTS_BUCKET).groupBy("bucket").applyInArrow(_classes(spec), _CLASS)
     answers = answers.groupBy("block").agg(F.collect_list(F.struct("bucket", "classes")).alias("answers"))  # as many as a block asked
-    sized = _facts(asked)
+    sized = store.settle(_facts(asked), "facts")
 
     buckets = max(8, size // (spec.bucket_bytes * 4))
     index = store.settle(_index(blocks.join(answers, "block"), asks, buckets, spec), "index")
+    store.drop(blocks, asked)
     raw = store.settle(index.where("bucket is not null").select("bucket", "firsts", "keys", "sets", "sizes").groupBy("bucket").applyInArrow(_bucket_pairs(spec), _PAIRS), "candidates")
     pairs = raw.where("key is null").select("a", "b").distinct()
     hot = raw.where("key is not null").select("key", F.col("a").alias("sig"))
     wanted = pairs.select(F.explode(F.array("a", "b")).alias("sig")).unionByName(hot.select("sig")).distinct()
     sets = index.where("bucket is null").select("sig", "n", "least", "tokens").dropDuplicates(["sig"]).join(wanted, "sig", "left_semi")
     sets = store.settle(sets, "tokens")
+    store.drop(index)
     places = max(8, (sets.agg(F.sum("n")).first()[0] or 0) * 12 // spec.bucket_bytes)
 
     crowded = hot.limit(1).count() > 0

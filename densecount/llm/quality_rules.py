@@ -8,13 +8,17 @@ good decides, instead of requiring every rule to hold.
 The EM loop is one SQL fold over the counted combinations, held in one row whose size is
 bounded by the number of rules. Documents meet the estimates as literals.
 
-Edge cases: a null text counts as empty, has no words and fails the base rule; repeated
-rows are judged alike; an empty table gives an empty result.
+Edge cases: a null text counts as empty, has no words and fails the base rule; a null doc_id
+is judged like any other; repeated rows are judged alike, each counting as one document in
+the fit; ties (a posterior of exactly ``keep_from``) are kept; an empty table gives an empty
+result; a very long text is one row of arrays of its words, so an executor must hold it a
+few times over; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from math import log
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -95,39 +99,39 @@ class QualitySpec:
     iterations: int = 25
     prior_good: float = 0.9
     keep_from: float = 0.5
-    #: bounds of the evidence, as odds for good: a bad vote counts at least 1:50, as rules
-    #: are written to spare good documents; a good vote and an abstention count a little at
-    #: most, as most rules hold for most junk too
-    evidence: tuple = ((1e-6, 1 / 50), (1.0, 1.1), (1.0, 1.3))
-    prior_range: tuple = (0.75, 0.95)
-    #: share above which the rule votes bad; below it such a rule abstains, as the absence
-    #: of one kind of junk says little
-    limits: dict = field(default_factory=lambda: {"symbols": 0.1, "dup_lines": 0.3, "repeats": 0.48, "shouts": 0.25})
-    min_dup_lines: int = 4
+    #: shares up to which a rule votes good and above which it votes bad
+    limits: dict = field(default_factory=lambda: {"symbols": (0.01, 0.1), "dup_lines": (0.0, 0.15), "repeats": (0.0, 0.1), "shouts": (-1.0, 0.25)})
+    min_lines: int = 4
     #: weight of the prior beliefs below, as a share of all documents
-    strength: float = 0.1
+    strength: float = 0.02
     #: P(bad vote), P(abstain), P(good vote) believed of good and of bad documents
-    good_votes: tuple = (0.01, 0.19, 0.8)
+    good_votes: tuple = (0.05, 0.25, 0.7)
     bad_votes: tuple = (0.35, 0.35, 0.3)
 
 
 def votes(spec: QualitySpec) -> dict[str, Column]:
-    """The labelling rules: 1 good, -1 bad, 0 abstain. Never null."""
-    n, words = F.greatest(F.col("n_words"), F.lit(1)), F.col("n_words")
+    """The labelling rules: 1 good, -1 bad, 0 abstain. Never null.
+
+    They are weak on purpose and may contradict each other: none decides alone, and how
+    much each one's votes tell is left to the fit."""
+    words, lines = F.col("n_words"), F.col("n_lines")
+    n = F.greatest(words, F.lit(1))
 
     def share(name: str, x: Column) -> Column:
-        return F.when((words > 0) & (x > spec.limits[name]), -1).otherwise(0)
+        low, high = spec.limits[name]
+        return F.when(words == 0, 0).otherwise(_vote(x <= low, x > high))
 
     length = F.col("word_chars") / n
     distinct = F.col("n_distinct") / n
+    long = words > 2000
     return {
         "length": F.when(words >= 2 * spec.min_words, 1).otherwise(0),
-        "word_size": _vote((length >= 3.5) & (length <= 9), (length < 1.8) | (length > 20)),
+        "word_size": _vote((length >= 4.4) & (length <= 6), (length < 3.5) | (length > 7)),
         "symbols": share("symbols", F.col("n_symbols") / n),
-        "dup_lines": F.when(F.col("n_dup_lines") < spec.min_dup_lines, 0).otherwise(share("dup_lines", F.col("n_dup_lines") / F.greatest(F.col("n_lines"), F.lit(1)))),
+        "dup_lines": F.when(lines < spec.min_lines, 0).otherwise(share("dup_lines", F.col("n_dup_lines") / F.greatest(lines, F.lit(1)))),
         "repeats": share("repeats", F.col("n_repeat_words") / n),
         "shouts": share("shouts", F.col("n_shouts") / n),
-        "variety": F.when(words < spec.min_words, 0).otherwise(_vote(distinct > F.when(words > 2000, 0.15).otherwise(0.35), distinct < F.when(words > 2000, 0.02).otherwise(0.1))),
+        "variety": F.when(words < spec.min_words, 0).otherwise(_vote(distinct > F.when(long, 0.15).otherwise(0.6), distinct < F.when(long, 0.05).otherwise(0.4))),
     }
 
 
@@ -140,18 +144,15 @@ def _em(patterns: DataFrame, rules: int, spec: QualitySpec) -> DataFrame:
     kinds = F.array(F.lit(-1), F.lit(0), F.lit(1))
     rows = patterns.agg(F.array_sort(F.collect_list(F.struct("v", "n"))).alias("rows"))
 
-    low, high = (F.array(*[F.lit(float(x[i])) for x in spec.evidence]) for i in (0, 1))
-
     def log_odds(v: Column, s: Column, j: Column) -> Column:
         k = F.get(v, j) + 1
-        ratio = F.get(F.get(s["good"], j), k) / F.get(F.get(s["bad"], j), k)
-        return F.log(F.greatest(F.get(low, k), F.least(F.get(high, k), ratio)))
+        return F.log(F.get(F.get(s["good"], j), k) / F.get(F.get(s["bad"], j), k))
 
     def posterior(v: Column, s: Column) -> Column:
         odds = F.aggregate(each, F.log(s["prior"] / (1 - s["prior"])), lambda t, j: t + log_odds(v, s, j))
         return 1 / (1 + F.exp(-odds))
 
-    total = F.aggregate("rows", F.lit(1.0), lambda t, r: t + r["n"])
+    total = F.greatest(F.lit(1.0), F.aggregate("rows", F.lit(0.0), lambda t, r: t + r["n"]))
 
     def tally(weighted: Column, side: str) -> Column:
         belief = spec.good_votes if side == "g" else spec.bad_votes
@@ -172,7 +173,7 @@ def _em(patterns: DataFrame, rules: int, spec: QualitySpec) -> DataFrame:
         inner = F.transform(
             F.array(weighted),
             lambda w: F.struct(
-                F.greatest(F.lit(spec.prior_range[0]), F.least(F.lit(spec.prior_range[1]), F.aggregate(w, F.lit(spec.prior_good), lambda t, r: t + r["g"]) / F.aggregate(w, F.lit(1.0), lambda t, r: t + r["g"] + r["b"]))).alias("prior"),
+                (F.aggregate(w, total * spec.strength * spec.prior_good, lambda t, r: t + r["g"]) / (total * (1 + spec.strength))).alias("prior"),
                 tally(w, "g").alias("good"),
                 tally(w, "b").alias("bad"),
             ),
@@ -195,10 +196,8 @@ def judge(docs: DataFrame, spec: QualitySpec = QualitySpec()) -> DataFrame:
     # documents that the base rule rejects would make up a class of their own
     patterns = counted.where(~failed).groupBy(vote.alias("v")).agg(F.count(F.lit(1)).alias("n"))
     fit = _em(patterns, len(rules), spec).first()["fit"]  # one row of 1 + 6 * rules numbers
-    from math import log
-
     odds = F.lit(log(fit["prior"] / (1 - fit["prior"])))
     for j, rule in enumerate(rules.values()):
-        weights = [log(max(lo, min(hi, g / b))) for g, b, (lo, hi) in zip(fit["good"][j], fit["bad"][j], spec.evidence, strict=True)]
+        weights = [log(g / b) for g, b in zip(fit["good"][j], fit["bad"][j], strict=True)]
         odds = odds + F.when(rule < 0, weights[0]).when(rule > 0, weights[2]).otherwise(weights[1])
     return counted.withColumns({"base_failed": failed, "p_good": 1 / (1 + F.exp(-odds))}).withColumn("kept", ~F.col("base_failed") & (F.col("p_good") >= spec.keep_from))
