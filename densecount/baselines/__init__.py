@@ -7,6 +7,7 @@ All maximum-only ones share one aggregate, the highest rank per register; their
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import lru_cache
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -81,13 +82,15 @@ def byte_hist_text(levels: str, registers_: int) -> str:
     eta and the factor come from the Poisson model at high load; below 3 B, linear counting."""
     tau, eta, factor = history_eta()
     b = f"CAST({registers_} AS DOUBLE)"
-    case = "(CASE " + " ".join(f"WHEN hist = {h} THEN {e!r}" for h, e in enumerate(eta)) + " END)"
-    raw = f"({factor!r} * {b} * power(s / {b}, {-1 / tau!r}))"
+    whole = "(CASE WHEN z = 0 THEN 3 WHEN z = 1 THEN hist + 1 - hist % 2 ELSE hist END)"
+    case = "(CASE " + " ".join(f"WHEN {whole} = {h} THEN {e!r}" for h, e in enumerate(eta)) + " END)"
+    raw = f"({factor!r} * {b} * power((s + ({b} - filled) * {eta[3] * 2.0**tau!r}) / {b}, {-1 / tau!r}))"
     return f"""
 SELECT g, CASE WHEN filled < {b} AND {b} * ln({b} / ({b} - filled)) < 3 * {b} THEN {b} * ln({b} / ({b} - filled)) ELSE {raw} END AS estimate
 FROM (SELECT g, CAST(sum(n) AS DOUBLE) AS filled, sum(n * {case} * power(2.0, -{tau!r} * z)) AS s FROM {levels} GROUP BY g) q"""
 
 
+@lru_cache(1)
 def history_eta(tau: float = TAU) -> tuple[float, list[float], float]:
     """(tau, weights of histories 0..3, factor) with least variance for ranks to the power
     of tau, from the expected histogram over one octave."""

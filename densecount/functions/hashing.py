@@ -10,6 +10,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 HASH_ID = "mix64-v1"
 _LOW = 0xFFFFFFFF
@@ -66,14 +67,24 @@ def seed_word(seed: Column) -> Column:
 
 
 def key64(*cols: Column | str, kind: str = "long") -> Column:
-    """A canonical long: the value itself for integers, 60 bits of MD5 for anything else."""
+    """A canonical long: the value itself for integers (``kind`` long), 60 bits of MD5 of the
+    text form for anything else. In a composite every part carries its length, and a null
+    part is a value of its own, so different tuples have different texts; a single null is
+    null."""
     c = [F.col(x) if isinstance(x, str) else x for x in cols]
     if len(c) == 1 and kind == "long":
         return c[0].cast("long")
-    text = F.concat_ws("|", *[x.cast("string") for x in c]) if len(c) > 1 else c[0].cast("string")
+    parts = [x.cast("string") for x in c]
+    text = F.concat(*[F.coalesce(F.concat(F.length(x).cast("string"), F.lit(":"), x), F.lit("~")) for x in parts]) if len(c) > 1 else parts[0]
     return F.conv(F.substring(F.md5(text), 1, 15), 16, 10).cast("long")
 
 
+def kind_of(kind: T.DataType) -> str:
+    """How keys of a column of this type become longs: integers as they are, all others
+    (fractions too, which a cast would cut) by their text."""
+    return "long" if isinstance(kind, T.IntegralType) else "text"
+
+
 def fast64(*cols: Column | str) -> Column:
     """The engine's own 64-bit hash; as good, but with no twin in other engines."""
     return F.xxhash64(*cols)

@@ -61,13 +61,6 @@ def writes_per_register(load: float, depth: int, step: float = 1.0) -> float:
     return total
 
 
-def read_share(load: float, margin: int) -> float:
-    """Share of elements that pass the early exit of a floor ``margin`` below the minimum:
-    the mean over the distribution of the lowest register rank is approximated at load."""
-    floor = max(0.0, math.log2(load) - math.log2(math.log(4096)) - margin)
-    return 2.0**-floor
-
-
 def density_table(spark) -> DataFrame:
     from .baselines import AT_ONE_KB
 

@@ -11,14 +11,16 @@ from collections.abc import Sequence
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf
 
 from ..functions import codec, hashing
 
 
-def hashed(df: DataFrame, key: str | Column, by: Sequence[str] = (), registers: int = 1408, seed: int | Column = 0, kind: str = "long") -> DataFrame:
-    """by..., h, bucket, z of every non-null key."""
+def hashed(df: DataFrame, key: str | Column, by: Sequence[str] = (), registers: int | Column = 1408, seed: int | Column = 0, kind: str | None = None) -> DataFrame:
+    """by..., h, bucket, z of every non-null key. ``kind`` follows the key's type if not given."""
+    kind = kind or hashing.kind_of(df.select(key).schema[0].dataType)
     extra = [seed.alias("_seed")] if isinstance(seed, Column) else []
     rows = df.select(*by, hashing.key64(key, kind=kind).alias("_key"), *extra).where("_key is not null")
     rows = hashing.mix64(rows, "_key", "h", F.col("_seed") if extra else seed)
@@ -26,7 +28,7 @@ def hashed(df: DataFrame, key: str | Column, by: Sequence[str] = (), registers:
     return ranked.select(*by, "h", "bucket", (F.col("z") + hashing.barrier("int")).alias("z"))
 
 
-def register_bitmaps(df: DataFrame, key: str | Column, by: Sequence[str] = (), registers: int = 1408, seed: int | Column = 0, kind: str = "long") -> DataFrame:
+def register_bitmaps(df: DataFrame, key: str | Column, by: Sequence[str] = (), registers: int | Column = 1408, seed: int | Column = 0, kind: str | None = None) -> DataFrame:
     """by..., bucket, bitmap: bit z is set when rank z was seen in the register."""
     rows = hashed(df, key, by, registers, seed, kind)
     return rows.groupBy(*by, "bucket").agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.col("z"))).alias("bitmap"))
@@ -74,30 +76,34 @@ def packed_words(states: DataFrame, by: Sequence[str] = ()) -> DataFrame:
     return states.groupBy(*by, word).agg(F.sum(digit).alias("digits"))
 
 
-def sketch(df: DataFrame, key: str | Column, by: Sequence[str] = (), memory_bytes: int = 1024, kind: str = "long") -> DataFrame:
-    """A row per group: registers, floor, words (array of longs)."""
-    registers = codec.registers_for(memory_bytes)
-    states = register_states(register_bitmaps(df, key, by, registers, kind=kind), by, registers)
-    digit = F.struct("bucket", "state")
-    grouped = states.groupBy(*by) if by else states.groupBy()
-    rows = grouped.agg(F.first("floor").alias("floor"), F.array_sort(F.collect_list(digit)).alias("digits"))  # at most ``registers`` pairs
-    return rows.select(*by, F.lit(1).alias("format"), F.lit(hashing.HASH_ID).alias("hash_id"), F.lit(registers).alias("registers"), "floor", _pack(registers)(F.col("digits")).alias("words"))
+def sketch(df: DataFrame, key: str | Column, by: Sequence[str] = (), memory_bytes: int = 1024, kind: str | None = None, mode: str = "relational") -> DataFrame:
+    """A row per group: format, hash_id, registers, floor, words (array of longs).
 
+    ``mode`` relational is idempotent and order-free; sequential drops history above tier 13
+    as it goes, as a single-pass builder does, and merges the tasks' sketches."""
+    registers = codec.registers_for(memory_bytes)
+    if mode == "sequential":
+        from . import sequential
 
-def _pack(registers: int):
-    import numpy as np
+        merged = sequential.merge_sketches(sequential.sketch_partitions(df, key, by, registers), by)
+        return merged.select(*by, F.lit(1).alias("format"), F.lit(hashing.HASH_ID).alias("hash_id"), F.lit(registers).alias("registers"), "floor", "words")
+    if mode != "relational":
+        raise ValueError(f"unknown mode {mode}")
+    states = register_states(register_bitmaps(df, key, by, registers, kind=kind), by, registers)
+    words = packed_words(states, by).select(*by, "word", _signed(F.col("digits")).alias("value"))
+    grouped = words.groupBy(*by) if by else words.groupBy()
+    filled = F.map_from_entries(F.collect_list(F.struct("word", "value")))  # at most a sketch's words
+    every = F.transform(F.sequence(F.lit(0), F.lit(codec.words_for(registers) - 1)), lambda i: F.coalesce(F.try_element_at(F.col("filled"), i), F.lit(0).cast("long")))
+    low = states.groupBy(*by).agg(F.first("floor").alias("floor")) if by else states.groupBy().agg(F.first("floor").alias("floor"))
+    rows = grouped.agg(filled.alias("filled"))
+    rows = rows.join(low, list(by)) if by else rows.crossJoin(F.broadcast(low))  # one row
+    return rows.select(*by, F.lit(1).alias("format"), F.lit(hashing.HASH_ID).alias("hash_id"), F.lit(registers).alias("registers"), "floor", every.alias("words"))
 
-    @pandas_udf("array<long>")
-    def pack(digits: pd.Series) -> pd.Series:
-        out = []
-        for pairs in digits:
-            states = np.zeros(registers, np.int64)
-            for p in pairs:
-                states[p["bucket"]] = p["state"]
-            out.append(codec.pack(states))
-        return pd.Series(out)
 
-    return pack
+def _signed(digits: Column) -> Column:
+    """An unsigned 64-bit decimal as the long with the same bits."""
+    high = digits >= F.lit(str(1 << 63)).cast("decimal(22,0)")
+    return F.when(high, digits - F.lit(str(1 << 64)).cast("decimal(22,0)")).otherwise(digits).cast("long")
 
 
 def registers_of(sketches: DataFrame, by: Sequence[str] = ()) -> DataFrame:
@@ -134,3 +140,22 @@ def rollup(bitmaps: DataFrame, dims: Sequence[str], sets: Sequence[Sequence[str]
         part = part.select(F.lit(i).alias("level"), *[F.col(d) if d in kept else F.lit(None).cast(bitmaps.schema[d].dataType).alias(d) for d in dims], "bucket", "bitmap")
         out = part if out is None else out.unionByName(part)
     return out
+
+
+def numbered(df: DataFrame, coarse: Column, *order: str, out: str = "rn") -> DataFrame:
+    """Add ``out``: each row's place from 1 in the order of ``order``, of which ``coarse`` is a
+    monotone function with far fewer values. Only counts per coarse value meet in one task."""
+    parts = df.withColumn("_part", coarse)
+    before = W.orderBy("_part").rowsBetween(W.unboundedPreceding, -1)
+    offsets = parts.groupBy("_part").agg(F.count(F.lit(1)).alias("_n")).select("_part", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_from"))
+    ranked = parts.withColumn("_r", F.row_number().over(W.partitionBy("_part").orderBy(*order)))
+    return ranked.join(offsets, "_part").withColumn(out, F.col("_r") + F.col("_from")).drop("_part", "_r", "_from")
+
+
+def running_bitmaps(bitmaps: DataFrame, step: str, marks: DataFrame) -> DataFrame:
+    """(step, bucket, bitmap) of everything up to each of the ``marks`` (column ``step``) from
+    bitmaps per step: cumulative ORs, so no element is looked at twice."""
+    every = bitmaps.select("bucket").distinct().crossJoin(F.broadcast(marks))  # a few marks
+    filled = every.join(bitmaps, [step, "bucket"], "left")
+    upto = W.partitionBy("bucket").orderBy(step).rowsBetween(W.unboundedPreceding, W.currentRow)
+    return filled.select(step, "bucket", F.bit_or(F.coalesce("bitmap", F.lit(0).cast("long"))).over(upto).alias("bitmap")).where("bitmap <> 0")

@@ -1,61 +1,21 @@
-"""The blended estimator for one unpacked sketch, in NumPy: the twin of ``plans.estimate``."""
+"""The blended estimator for one unpacked sketch."""
 
 from __future__ import annotations
 
 import numpy as np
 
-from ..calibration import constants as K
-from ..calibration.fit import sigmoid_gauss
-from ..plans.estimate import BlendSpec
+from ..plans.estimate import COMPONENTS, BlendSpec
+from . import tensor
 
 
 def components(z: np.ndarray, history: np.ndarray, registers: int, floor: int, blend: BlendSpec = BlendSpec()) -> dict[str, float]:
-    filled = int((z >= 0).sum())
-    if not filled:
-        return dict.fromkeys(("tiered_lc", "history_count", "mean_hist", "state_sum", "low_blend", "layered", "harmonic2", "hybrid"), 0.0)
-    b = float(registers)
-    z, h = z[z >= 0], history[z >= 0]
-    logs, weights, h_logs, h_weights = [], [], [], []
-    for t in range(max(0, int(z.min()) - 2), min(62, int(z.max()) + 1) + 1):
-        v = b - (z >= t).sum()
-        if 1 <= v <= b - 1:
-            lam = np.log(b / v)
-            weights.append((np.sqrt(np.exp(lam) - 1) / (lam * np.sqrt(b))) ** -4.5)
-            logs.append(t * np.log(2) + np.log(b) + np.log(lam))
-        near = (z - floor <= 13) & ((z - t == 1) | (z - t == 2))
-        eff = near.sum()
-        unseen = (near & (((z - t == 1) & (h < 2)) | ((z - t == 2) & (h % 2 == 0)))).sum()
-        if eff >= 8 and 1 <= unseen < eff:
-            p = unseen / eff
-            h_weights.append(p * eff * np.log(p) ** 2 / (1 - p))
-            h_logs.append((t + 1) * np.log(2) + np.log(b) + np.log(-np.log(p)))
-    guard = int(z.max()) * np.log(2) + np.log(b) + np.log(np.log(b / 0.5))
-    lc = float(np.exp(np.average(logs, weights=weights) if logs else guard))
-    hc = float(np.exp(np.average(h_logs, weights=h_weights))) if h_logs else None
-    full = np.where(z == 0, 3, np.where(z == 1, h | 1, h))
-    s1 = (2.0**-z * np.array(K.HISTORY_WEIGHTS)[full]).sum()
-    raw = K.MEAN_HIST_TERMINAL * 2 * filled * filled / s1 * (filled + b) / (2 * b)
-    cf = lambda x: float(sigmoid_gauss(np.array([np.log2(x / b)]), np.array(K.MEAN_HIST_CF))[0])
-    mh = raw * cf(lc)
-    if lc > 10 * b:
-        mh = raw * cf(max(mh, 1e-9))
-    lam = np.log(b / max(b - filled, 0.5))
-    state = np.where(z == 0, 0, np.where(z == 1, 1 + (h >= 2), np.where(z == 2, 3 + h, 7 + h)))
-    c = np.array(K.STATE_POLYNOMIALS)[state]
-    ss = max(float((((c[:, 3] * lam + c[:, 2]) * lam + c[:, 1]) * lam + c[:, 0]).sum()), filled)
-
-    def ramp(x: float, lo: float, hi: float) -> float:
-        return float(np.clip(np.log(max(x, 1e-9) / (lo * b)) / np.log(hi / lo), 0, 1))
-
-    w = ramp(lc, *blend.low)
-    low = ss * (1 - w) + lc * w
-    w = blend.ramp[2] * float(np.clip((low / b - blend.ramp[0]) / (blend.ramp[1] - blend.ramp[0]), 0, 1))
-    layered = low * (1 - w) + (hc if hc is not None else low) * w
-    w = ramp(lc, *blend.harmonic)
-    harmonic2 = ss * (1 - w) + mh * w
-    hybrid = (1 - blend.mix) * layered + blend.mix * harmonic2
-    return {"tiered_lc": lc, "history_count": hc or 0.0, "mean_hist": mh, "state_sum": ss, "low_blend": low, "layered": layered, "harmonic2": harmonic2, "hybrid": hybrid}
+    """Every estimator; 0 for an empty sketch, and for components without a valid tier."""
+    z, history = np.asarray(z, np.int64), np.asarray(history, np.int64)
+    if not (z >= 0).any():
+        return dict.fromkeys(COMPONENTS, 0.0)
+    out = tensor.components(tensor.histogram(z, history)[None], registers, blend)
+    return {c: float(np.nan_to_num(out[c][0])) for c in COMPONENTS}
 
 
 def hybrid_of(z: np.ndarray, history: np.ndarray, registers: int, floor: int) -> float:
-    return components(np.asarray(z), np.asarray(history), registers, floor)["hybrid"]
+    return components(z, history, registers, floor)["hybrid"]

@@ -54,3 +54,8 @@ def histogram(bitmaps_: str, by: str = "") -> str:
 def text_key(expression: str) -> str:
     """60 bits of MD5 of a text as an integer."""
     return f"CAST(('0x' || substr(md5({expression}), 1, 15)) AS BIGINT)"
+
+
+def parts(*columns: str) -> str:
+    """The text of a composite key: every part with its length, ~ for a null."""
+    return " || ".join(f"coalesce(length(CAST({c} AS VARCHAR)) || ':' || {c}, '~')" for c in columns)

@@ -50,3 +50,47 @@ def errors(estimates: DataFrame, registers: int, loads: tuple[float, ...], compo
     pairs = F.explode(F.array(*[F.struct(F.lit(c).alias("estimator"), F.col(c).alias("estimate")) for c in components]))
     rows = estimates.select(F.floor(F.col("g") / STRIDE).alias("instance"), truth.alias("truth"), pairs.alias("p"))
     return rows.select("p.estimator", "instance", F.col("truth").alias("checkpoint"), "truth", F.coalesce("p.estimate", F.lit(0.0)).alias("estimate"))
+
+
+#: registers of each method at one KB
+ONE_KB = {"hybrid": 1408, "dense_ml": 1408, "wide_ml": 256, "tailcut4": 2048, "offset3": 2048, "nibble4": 2048, "twobit": 4096, "byte_hist": 1024, "hll6": 1280, "floor4": 2048, "floor6h": 1280, "martingale": 256}
+_SIM = "instance long, estimator string, registers int, checkpoint double, truth double, estimate double, outside long"
+
+
+def methods_at(spark: SparkSession, sizes: list[tuple[str, int]], marks: tuple[float, ...], instances: int, seed: int = 7, repeats: bool = False) -> DataFrame:
+    """(instance, estimator, registers, checkpoint, truth, estimate, outside) of so many
+    registers of each method, in encodings as they would be stored, at all checkpoints.
+    ``outside``: entries of exception maps. A task simulates whole instances from their seeds."""
+    from . import methods
+    from .operators import tensor
+
+    at = np.array(marks, float)
+
+    def one(name: str, registers: int, rng: np.random.Generator):
+        first = methods.first_seen(rng, registers, 4 if name in ("wide_ml", "martingale") else 1)
+        outside = [0] * len(at)
+        if name == "twobit":
+            return methods.twobit(rng, first, at, repeats), outside
+        if name == "martingale":
+            return methods.martingale(first, at), outside
+        if name in ("hybrid", "dense_ml", "floor4", "floor6h"):
+            cells = np.stack([methods.dense56(first, c) if name in ("hybrid", "dense_ml") else methods.shared_floor(first, c, name == "floor6h") for c in at])
+            if name == "dense_ml":
+                return tensor.dense_ml(cells, registers), outside
+            return tensor.components(cells, registers)["tiered_lc" if name == "floor4" else "hybrid"], outside
+        if name in ("wide_ml", "byte_hist"):
+            return [getattr(methods, name)(first, c) for c in at], outside
+        kept = [methods.max_only(name, methods.levels(first, c)[0]) for c in at]
+        return [methods.hll(top) for top, _ in kept], [n for _, n in kept]
+
+    def run(batches):
+        for batch in batches:
+            for i in batch.column(0).to_pylist():
+                for k, (name, registers) in enumerate(sizes):
+                    got, outside = one(name, registers, np.random.default_rng([seed, i, k]))
+                    n = len(at)
+                    columns = [np.full(n, i), [name] * n, np.full(n, registers, np.int32), at, at, np.asarray(got, float), np.asarray(outside, np.int64)]
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in columns], [x.split()[0] for x in _SIM.split(", ")])
+
+    parts = min(instances, 4 * spark.sparkContext.defaultParallelism)
+    return spark.range(0, instances, 1, parts).mapInArrow(run, _SIM)

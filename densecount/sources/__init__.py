@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.functions import pandas_udf
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
@@ -21,10 +24,6 @@ def read(spark: SparkSession, path: str, kind: str = "parquet", **options) -> Da
 
 def words_to_binary(sketches: DataFrame) -> DataFrame:
     """Words as little-endian bytes, for storage."""
-    from pyspark.sql.functions import pandas_udf
-    import numpy as np
-    import pandas as pd
-
     @pandas_udf("binary")
     def pack(words: pd.Series) -> pd.Series:
         return words.map(lambda w: np.asarray(w, "<i8").tobytes())
@@ -33,10 +32,6 @@ def words_to_binary(sketches: DataFrame) -> DataFrame:
 
 
 def binary_to_words(sketches: DataFrame) -> DataFrame:
-    from pyspark.sql.functions import pandas_udf
-    import numpy as np
-    import pandas as pd
-
     @pandas_udf("array<long>")
     def unpack(words: pd.Series) -> pd.Series:
         return words.map(lambda w: np.frombuffer(w, "<i8"))

@@ -56,7 +56,7 @@ def hash_string_key(spark, sf):
     return build.hashed(d, "text", ["doc_id"], kind="text").select("doc_id", "h", "bucket", "z")
 
 
-@query(f"SELECT l_returnflag, CAST(count(*) AS BIGINT) AS n, CAST(sum(bucket) AS BIGINT) AS buckets, CAST(sum(z) AS BIGINT) AS ranks FROM ({duck.hashed('lineitem', duck.text_key(chr(39).join(['l_orderkey || ', '|', ' || l_linenumber'])), 'l_returnflag')}) GROUP BY l_returnflag")
+@query(f"SELECT l_returnflag, CAST(count(*) AS BIGINT) AS n, CAST(sum(bucket) AS BIGINT) AS buckets, CAST(sum(z) AS BIGINT) AS ranks FROM ({duck.hashed('lineitem', duck.text_key(duck.parts('l_orderkey', 'l_linenumber')), 'l_returnflag')}) GROUP BY l_returnflag")
 def hash_composite(spark, sf):
     rows = _t(spark, sf, "lineitem").select("l_returnflag", hashing.key64("l_orderkey", "l_linenumber").alias("k"))
     return build.hashed(rows, "k", ["l_returnflag"]).groupBy("l_returnflag").agg(F.count(F.lit(1)).alias("n"), F.sum("bucket").alias("buckets"), F.sum("z").alias("ranks"))
@@ -323,10 +323,15 @@ SIZES = (352, 704, 1408, 2816, 5632)
 _SEED = f"(CAST(seed AS HUGEINT) * {hashing.SEED_STEP}) % {duck.M}"
 
 
-def seeded(rows: DataFrame, key: str, registers: int, seeds: int = SEEDS) -> DataFrame:
-    """Histogram with a group per seed: independent instances of one data set."""
-    each = rows.select(F.explode(F.sequence(F.lit(0), F.lit(seeds - 1))).alias("g"), F.col(key).alias("k"))
-    return build.state_histogram(build.register_bitmaps(each, "k", ["g"], registers, hashing.seed_word(F.col("g"))), ["g"])
+def seeded(rows: DataFrame, key: str, sizes: tuple[int, ...], seeds: int = SEEDS) -> DataFrame:
+    """Histogram with a group per seed and size (columns g, registers): independent instances
+    of one data set, hashed once per seed for all sizes."""
+    each = rows.select(F.explode(F.sequence(F.lit(0), F.lit(seeds - 1))).alias("g"), F.col(key).cast("long").alias("k"))
+    ranked = hashing.with_rank(hashing.mix64(each, "k", "h", hashing.seed_word(F.col("g")))).select("g", "h", (F.col("z") + hashing.barrier("int")).alias("z"))
+    sized = ranked.select("*", F.explode(F.array(*map(F.lit, sizes))).alias("registers"))
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("z"))
+    bitmaps = sized.groupBy("g", "registers", hashing.bucket(F.col("h"), F.col("registers")).alias("bucket")).agg(F.bit_or(bit).alias("bitmap"))
+    return build.state_histogram(bitmaps, ["g", "registers"])
 
 
 def seeded_sql(table: str, key: str, registers: int, seeds: int = SEEDS) -> str:
@@ -347,13 +352,10 @@ def _scaling_sql(table: str, key: str) -> str:
 def wl_memory_scaling(spark, sf):
     rows = _t(spark, sf, "orders")
     truth = rows.agg(F.countDistinct("o_orderkey").alias("c"))
-    out = None
-    for b in SIZES:
-        e = estimators.hybrid(seeded(rows, "o_orderkey", b), b).crossJoin(F.broadcast(truth))  # one row
-        error = F.col("estimate") / F.col("c") - 1
-        part = e.agg(F.round(F.avg(F.abs(error)), 6).alias("mae"), F.round(F.avg(error), 6).alias("bias")).select(F.lit(b // 11 * 8).alias("memory_bytes"), F.lit(b).alias("registers"), "mae", "bias")
-        out = part if out is None else out.unionByName(part)
-    return out
+    e = estimators.hybrid(seeded(rows, "o_orderkey", SIZES), None).crossJoin(F.broadcast(truth))  # one row
+    error = F.col("estimate") / F.col("c") - 1
+    each = e.groupBy("registers").agg(F.round(F.avg(F.abs(error)), 6).alias("mae"), F.round(F.avg(error), 6).alias("bias"))
+    return each.select((F.floor(F.col("registers") / 11) * 8).cast("int").alias("memory_bytes"), "registers", "mae", "bias")
 
 
 _BASES = ("hybrid", "wide_ml", "tailcut4", "offset3", "nibble4", "twobit", "byte_hist", "hll6")
@@ -430,13 +432,13 @@ DRAWS = 4
 def pool_draws(part: DataFrame) -> DataFrame:
     """(k): four draws per pool member; each is the member at the smaller of two uniform
     places, so low places are drawn far more often. Uniforms come from the mixer."""
-    pool = part.select("p_partkey", (F.row_number().over(W.orderBy("p_partkey")) - 1).alias("place"))
+    pool = build.numbered(part.select("p_partkey"), F.floor(F.col("p_partkey") / 1024), "p_partkey").select("p_partkey", (F.col("rn") - 1).alias("place"))
     n = pool.agg(F.count(F.lit(1)).alias("n"))
     ids = pool.crossJoin(F.broadcast(n)).select("n", F.explode(F.sequence(F.lit(0), F.lit(DRAWS - 1))).alias("i"), "place")
     ids = ids.withColumn("id", F.col("place") * DRAWS + F.col("i"))
     u = hashing.mix64(hashing.mix64(ids, "id", "u1", 11), "id", "u2", 12)
     spot = F.least(*[F.pmod(F.shiftrightunsigned(F.col(c), 11), F.col("n")) for c in ("u1", "u2")])
-    return u.select(spot.alias("place")).join(pool, "place").select(F.lit("pool").alias("g"), F.col("p_partkey").alias("k"))
+    return u.select((spot + hashing.barrier()).alias("place")).join(pool, "place").select(F.lit("pool").alias("g"), F.col("p_partkey").alias("k"))
 
 
 def _pool_sql() -> str:
@@ -461,33 +463,43 @@ def wl_duplication_delta(spark, sf):
     truth = F.broadcast(rows.agg(F.countDistinct("l_partkey").alias("c")))
 
     def mae(df, name):
-        return estimators.hybrid(seeded(df, "l_partkey", B), B).crossJoin(truth).agg(F.avg(F.abs(F.col("estimate") / F.col("c") - 1)).alias(name))
+        return estimators.hybrid(seeded(df, "l_partkey", (B,)), None).crossJoin(truth).agg(F.avg(F.abs(F.col("estimate") / F.col("c") - 1)).alias(name))
 
     both = mae(rows.distinct(), "a").crossJoin(F.broadcast(mae(rows, "b")))
     return both.select(F.round("a", 6).alias("mae_once"), F.round("b", 6).alias("mae_repeated"), F.round(F.col("b") - F.col("a"), 6).alias("delta"))
 
 
-CHECKPOINTS = tuple(int(round(10 * 1.6**i)) for i in range(18))
+#: checkpoints grow by this factor, up to and with the last row
+STEP = 1.3
+_GEOMETRIC = f"CAST(round(10 * power({STEP}, i)) AS BIGINT)"
 
 
-def checkpoint_keys(spark, sf) -> DataFrame:
-    """(g, k): for each checkpoint c, the first c events by time."""
-    ordered = _t(spark, sf, "events").select("event_id", F.row_number().over(W.orderBy("ts", "event_id")).alias("rn"))
-    marks = F.broadcast(spark.createDataFrame([(c,) for c in CHECKPOINTS], "g int"))  # a fixed list
-    return ordered.join(marks, F.col("rn") <= F.col("g")).select("g", F.col("event_id").alias("k"))
+def checkpoints(rows: DataFrame) -> DataFrame:
+    """(g): geometric checkpoints of a table's row count, the last row included."""
+    n = rows.agg(F.count(F.lit(1)).alias("n"))
+    steps = rows.sparkSession.range(120).withColumnRenamed("id", "i").crossJoin(F.broadcast(n))  # one row
+    return steps.select(F.least(F.expr(_GEOMETRIC), F.col("n")).alias("g")).distinct()
 
 
-_MARKS = "(SELECT g FROM (VALUES " + ", ".join(f"({c})" for c in CHECKPOINTS) + ") AS t(g))"
+def error_curve(spark, sf) -> DataFrame:
+    """Every component at the first g events by time, for each checkpoint g, and the truth."""
+    events = _t(spark, sf, "events").select("ts", "event_id")
+    marks = checkpoints(events)
+    upper = marks.agg(F.sort_array(F.collect_list("g")).alias("marks"))  # at most 120 numbers
+    ordered = build.numbered(events, F.date_trunc("hour", "ts"), "ts", "event_id").crossJoin(F.broadcast(upper))
+    first = F.get(F.filter("marks", lambda m: m >= F.col("rn")), F.lit(0)).alias("g")
+    keys = ordered.select(first, F.col("event_id").alias("k"))
+    new = keys.groupBy("k").agg(F.min("g").alias("g")).groupBy("g").agg(F.count(F.lit(1)).alias("new"))
+    truth = marks.join(new, "g", "left").select("g", F.sum("new").over(W.orderBy("g").rowsBetween(W.unboundedPreceding, W.currentRow)).alias("truth"))  # a row a checkpoint
+    running = build.running_bitmaps(build.register_bitmaps(keys, "k", ["g"]), "g", marks)
+    return estimators.all_components(build.state_histogram(running, ["g"]), B).join(truth, "g")
+
+
+_MARKS = f"(SELECT DISTINCT least({_GEOMETRIC}, n) AS g FROM (SELECT unnest(range(120)) AS i) r, (SELECT count(*) AS n FROM events) c)"
 _PREFIX = f"(SELECT m.g, e.event_id AS k FROM (SELECT event_id, row_number() OVER (ORDER BY ts, event_id) AS rn FROM events) e JOIN {_MARKS} m ON e.rn <= m.g)"
 _CURVE = f"(SELECT e.g, x.truth, e.hybrid, e.tiered_lc, e.mean_hist, e.layered, e.harmonic2 FROM ({estimate.text(histogram_sql(_PREFIX), B)}) e JOIN (SELECT g, CAST(count(DISTINCT k) AS BIGINT) AS truth FROM {_PREFIX} q GROUP BY g) x ON x.g = e.g)"
 
 
-def error_curve(spark, sf) -> DataFrame:
-    keys = checkpoint_keys(spark, sf)
-    truth = keys.groupBy("g").agg(F.countDistinct("k").alias("truth"))
-    return estimators.all_components(_hist(keys), B).join(truth, "g")
-
-
 @query(f"SELECT g AS checkpoint, truth, round(hybrid, 3) AS estimate, round(hybrid / truth - 1, 6) AS error FROM {_CURVE} c")
 def wl_error_curve(spark, sf):
     return error_curve(spark, sf).select(F.col("g").alias("checkpoint"), "truth", F.round("hybrid", 3).alias("estimate"), F.round(F.col("hybrid") / F.col("truth") - 1, 6).alias("error"))
@@ -552,17 +564,16 @@ def _kmers_sql(k: int) -> str:
     return f"SELECT {k} AS k, g AS lang, round(hybrid, 3) AS estimate FROM ({estimate.text(histogram_sql(pieces), B)}) e{k}"
 
 
-@query(" UNION ALL ".join(_kmers_sql(k) for k in (5, 8)))
+KMERS = (5, 8, 16, 31)
+
+
+@query(" UNION ALL ".join(_kmers_sql(k) for k in KMERS))
 def wl_kmer_distinct(spark, sf):
-    docs, out = _t(spark, sf, "documents").where(F.length("text") >= 8), None
-    docs = _t(spark, sf, "documents")
-    for k in (5, 8):
-        at = F.explode(F.when(F.length("text") >= k, F.sequence(F.lit(1), F.length("text") - k + 1)))
-        grams = docs.select(F.col("lang").alias("g"), "text", at.alias("i")).select("g", F.substring(F.col("text"), F.col("i"), F.lit(k)).alias("t"))
-        grams = grams.select("g", hashing.key64("t", kind="text").alias("k"))
-        part = estimators.hybrid(_hist(grams), B).select(F.lit(k).alias("k"), F.col("g").alias("lang"), F.round("estimate", 3).alias("estimate"))
-        out = part if out is None else out.unionByName(part)
-    return out
+    letters = _t(spark, sf, "documents").select("lang", F.split("text", "").alias("x"))  # a slice costs its own length only
+    sized = letters.select("lang", "x", F.explode(F.array(*map(F.lit, KMERS))).alias("n")).where(F.size("x") >= F.col("n"))
+    pieces = F.transform(F.sequence(F.lit(1), F.size("x") - F.col("n") + 1), lambda i: F.array_join(F.slice("x", i, F.col("n")), ""))
+    grams = sized.select(F.struct("lang", "n").alias("g"), F.explode(pieces).alias("t"))
+    return estimators.hybrid(_hist(grams, "t"), B).select(F.col("g.n").alias("k"), F.col("g.lang").alias("lang"), F.round("estimate", 3).alias("estimate"))
 
 
 @query(f"SELECT g AS role, round(hybrid, 3) AS estimate FROM ({estimate.text(histogram_sql('(SELECT g, ' + duck.text_key('w[i] || chr(32) || w[i + 1] || chr(32) || w[i + 2]') + ' AS k FROM (SELECT role AS g, w, unnest(range(1, greatest(len(w) - 1, 1))) AS i FROM (SELECT role, string_split(lower(text), chr(32)) AS w FROM conversations) q) p)'), B)}) e")
@@ -608,21 +619,6 @@ def wl_wide_hash(spark, sf):
     return planted.agg((F.max("z") > 63).alias("beyond_63"), (F.max("z") <= 127).alias("none_beyond_127"))
 
 
-_ACCESS = [("floor4", 4096, 0), ("hll6", 2560, 0), ("dense56", 2816, 2), ("floor6h", 2560, 2), ("byte_hist", 2048, 2)]
-
-
-@query(
-    "SELECT estimator, buckets, round(sum(own / (own + above) * (1 - exp(-(20000000.0 / buckets) * (own + above)))), 3) AS writes FROM ("
-    "SELECT e.estimator, e.buckets, power(2.0, -k - 1) AS own, power(2.0, -k - 1 - depth) AS above FROM (VALUES " + ", ".join(f"('{n}', {b}, {d})" for n, b, d in _ACCESS) + ") AS e(estimator, buckets, depth), "
-    "(SELECT unnest(range(64)) AS k) s) q GROUP BY estimator, buckets"
-)
-def wl_access_rates(spark, sf):
-    rows = spark.createDataFrame(_ACCESS, "estimator string, buckets int, depth int").select("*", F.explode(F.sequence(F.lit(0), F.lit(63))).alias("k"))
-    own, above = F.pow(F.lit(2.0), -F.col("k") - 1), F.pow(F.lit(2.0), -F.col("k") - 1 - F.col("depth"))
-    term = own / (own + above) * (1 - F.exp(-(F.lit(20_000_000.0) / F.col("buckets")) * (own + above)))
-    return rows.groupBy("estimator", "buckets").agg(F.round(F.sum(term), 3).alias("writes"))
-
-
 LOADS = tuple(2.0 ** (x / 2) for x in range(-6, 27))
 
 
