@@ -118,16 +118,17 @@ def anchors(docs: DataFrame, shape: Shape, buckets: int, parts: int) -> DataFram
     return found.groupBy("part").applyInArrow(by_document, _FOUND)
 
 
-_CONTEXTS = store.schema("bucket int, symbols binary, real binary, docs binary, places binary, gone_docs binary, gone_spans binary")
+_CONTEXTS = store.schema("bucket int, symbols binary, real binary, docs binary, places binary, left binary, gone_docs binary, gone_spans binary")
 
 
-def contexts(joined: DataFrame, shape: Shape, buckets: int, encode: Callable) -> DataFrame:
+def contexts(joined: DataFrame, shape: Shape, buckets: int, encode: Callable, shard: Callable | None = None) -> DataFrame:
     """Contexts of all anchors, dealt out by the anchor's hash, as packed arrays.
 
     ``joined`` has doc_id, text and the anchors' places; ``encode(Symbols, places, valid)``
     gives the matrix of symbols that travels. Equal contexts of a block are merged before
     they are sent: the first one's (doc_id, place) stays, as often as rows repeat it, and what
-    the others hold is covered."""
+    the others hold is covered. ``shard(matrix)`` gives two orders of a block's contexts; they
+    are sent in the first, with the second as places in it."""
     width = 2 * shape.side + shape.gram
 
     def run(batches):
@@ -157,9 +158,15 @@ def contexts(joined: DataFrame, shape: Shape, buckets: int, encode: Callable) ->
                     stays &= start == start[first][each]
                 long = ~stays & (real[:, 1].astype(int) - real[:, 0] >= shape.window)
                 gone = start[long, None] + real[long].astype(np.int32)
+                some, left = np.flatnonzero(stays), np.zeros(0, np.int32)
+                if shard:
+                    first, second = shard(matrix[some])
+                    at = np.empty(len(some), np.int32)
+                    at[first] = np.arange(len(some))
+                    some, left = some[first], at[second]
                 yield store.rows(
-                    _CONTEXTS, bucket=pa.array([k], pa.int32()), symbols=[store.pack(matrix[stays].ravel())], real=[store.pack(real[stays].ravel())], docs=[store.pack(ids[d[stays]])],
-                    places=[store.pack(start[stays])], gone_docs=[store.pack(ids[d[long]])], gone_spans=[store.pack(gone.ravel())],
+                    _CONTEXTS, bucket=pa.array([k], pa.int32()), symbols=[store.pack(matrix[some].ravel())], real=[store.pack(real[some].ravel())], docs=[store.pack(ids[d[some]])],
+                    places=[store.pack(start[some])], left=[store.pack(left)], gone_docs=[store.pack(ids[d[long]])], gone_spans=[store.pack(gone.ravel())],
                 )
 
     return joined.mapInArrow(run, _CONTEXTS)
@@ -178,8 +185,9 @@ def row_hashes(matrix: np.ndarray, real: np.ndarray) -> np.ndarray:
 
 
 def resolve(shape: Shape, dtype, repeated: Callable, parts: int):
-    """The reducer of a bucket: ``repeated(matrix, real, doc, place)`` gives (doc_id, start,
-    end) of what to cover; what blocks have covered already is added."""
+    """The reducer of a bucket: ``repeated(matrix, real, doc, place, left)`` gives (doc_id, start,
+    end) of what to cover; what blocks have covered already is added. ``left``: the shards'
+    second orders, one after the other, as rows."""
     width = 2 * shape.side + shape.gram
 
     def all_of(table: pa.Table, name: str, kind) -> np.ndarray:
@@ -188,7 +196,10 @@ def resolve(shape: Shape, dtype, repeated: Callable, parts: int):
     def run(table: pa.Table) -> pa.Table:
         matrix = all_of(table, "symbols", dtype).reshape(-1, width)
         real = all_of(table, "real", np.uint8).reshape(-1, 2).astype(np.int64)
-        doc, start, end = repeated(matrix, real, all_of(table, "docs", np.int64), all_of(table, "places", np.int32))
+        orders = [store.unpack(x, np.int32).astype(np.int64) for x in table["left"].to_pylist()]
+        from_ = np.cumsum([0, *map(len, orders)])
+        left = np.concatenate([x + a for x, a in zip(orders, from_)])
+        doc, start, end = repeated(matrix, real, all_of(table, "docs", np.int64), all_of(table, "places", np.int32), left)
         gone = all_of(table, "gone_spans", np.int32).reshape(-1, 2)
         doc, start, end = np.concatenate([doc, all_of(table, "gone_docs", np.int64)]), np.concatenate([start, gone[:, 0]]), np.concatenate([end, gone[:, 1]])
         order, here, begin, stop = split((textops.mix(doc.view(np.uint64)) % _U(parts)).astype(np.int32))

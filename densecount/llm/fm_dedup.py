@@ -95,7 +95,7 @@ def covered(docs: DataFrame, spec: FmSpec = FmSpec()) -> DataFrame:
     def encode(s: anchors.Symbols, spot: np.ndarray, valid: np.ndarray) -> np.ndarray:
         return np.where(valid, s.hash[spot] & np.uint64((1 << 40) - 1), np.uint64(0))
 
-    def search(matrix, real, doc, place):
+    def search(matrix, real, doc, place, _):
         return repeated_windows(matrix, real, doc, place, spec)
 
     spans = anchors.contexts(joined, shape, shards, encode).groupBy("bucket").applyInArrow(anchors.resolve(shape, np.uint64, search, max(8, total >> 25)), anchors.SPANS)
