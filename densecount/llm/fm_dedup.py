@@ -2,13 +2,15 @@
 
 Contexts of repeated minimisers are dealt out to shards by the minimiser's hash, so equal
 windows meet in one shard. There the distinct contexts form a text over words, with the
-minimiser itself as one symbol, and a compressed FM-index is built over it. Each context is
-streamed through the index backwards; matching statistics give the longest pattern from
-each word on that stands elsewhere too, and intervals as long as a window are reported.
-Of an interval's places, all but the first in (doc_id, place) order are covered.
+minimiser itself as one symbol, and a compressed FM-index is built over it. The documents'
+contexts are streamed through the index backwards, a batch at a time; matching statistics
+give the longest pattern from each word on that stands elsewhere too, and intervals as long
+as a window are reported. Of an interval's places, all but the first in (doc_id, place)
+order are covered. (Only what surrounds a repeated minimiser is streamed, and only through
+the one shard that can hold it, as the rest can't be in a repeat.)
 
 Edge cases: null and empty texts have no words; texts shorter than a window keep all words;
-a null doc_id can't be ordered, so such rows stay whole; rows that repeat a doc_id count as
+a very long text is one block of its own; ties (equal windows) go by doc_id, then place; a null doc_id can't be ordered, so such rows stay whole; rows that repeat a doc_id count as
 one document, each keeping its own row; extra columns are ignored.
 """
 
@@ -29,6 +31,7 @@ class FmSpec:
     window: int = 20
     gram: int = 8
     per_bucket: int = 100_000  # minimisers of all documents to a shard
+    stream: int = 1 << 15  # contexts that go through an index together
 
     @property
     def shape(self) -> anchors.Shape:
@@ -66,15 +69,21 @@ def repeated_windows(matrix: np.ndarray, real: np.ndarray, doc: np.ndarray, plac
     block = np.concatenate([[0], np.cumsum(index.lcp[1 : index.n] < depth)])
     owner = first[index.order // (2 * side + 2)]  # contexts are in (doc_id, place) order
     least = np.minimum.reduceat(owner, np.flatnonzero(np.concatenate([[True], index.lcp[1 : index.n] < depth])))
+    del index.order
     reach = anchors.Reach(len(doc))
-    for c, size, lo, _ in index.matching(queries, 2):
-        if c > side:
-            continue
-        # for copies of a whole context, its window counts even if it stands nowhere else
-        earliest = np.where(size == depth, least[block[np.minimum(lo, index.n - 1)]], first)
-        fits = (spans[:, 0] <= c) & (spans[:, 1] >= c + spec.window)
-        hit = np.flatnonzero(fits[each] & (earliest[each] < np.arange(len(doc))))
-        reach.add(hit, c)
+    members = np.argsort(each, kind="stable")
+    for a in range(0, m, spec.stream):
+        here = slice(a, a + spec.stream)
+        lowest, inner = first[here], spans[here]
+        these = members[np.searchsorted(each[members], a) : np.searchsorted(each[members], a + spec.stream)]
+        local = each[these] - a
+        for c, size, lo, _ in index.matching(queries[here], 2):
+            if c > side:
+                continue
+            # for copies of a whole context, its window counts even if it stands nowhere else
+            earliest = np.where(size == depth, least[block[np.minimum(lo, index.n - 1)]], lowest)
+            fits = (inner[:, 0] <= c) & (inner[:, 1] >= c + spec.window)
+            reach.add(these[fits[local] & (earliest[local] < these)], c)
     return reach.spans(doc, place, spec.window)
 
 

@@ -2,7 +2,9 @@
 
 The text is sorted by its first ``depth`` symbols only, which is all that patterns of up to
 ``depth`` symbols need. The Burrows-Wheeler transform is held in a wavelet matrix of packed
-bits with block counts; backward search runs for many patterns at once.
+bits with block counts, and the intervals of shorter patterns as one bit a row and length
+with a directory of filled words: about log2(symbols) + 2 * depth bits a symbol in all, and
+neither the text nor a suffix array is kept. Backward search runs for many patterns at once.
 """
 
 from __future__ import annotations
@@ -29,6 +31,44 @@ class Bits:
         return self.before[w] + np.bitwise_count(self.words[w] & mask)
 
 
+class Runs:
+    """Rows in runs, for each of several lengths: where the run of a row begins and ends.
+
+    ``new[d]`` marks rows that begin a run of length d; row 0 begins one of every length."""
+
+    def __init__(self, new: np.ndarray) -> None:
+        self.n = new.shape[1]
+        size = self.n // 64 + 1
+        packed = np.packbits(new, axis=1, bitorder="little")
+        raw = np.zeros((len(new), size * 8), np.uint8)
+        raw[:, : packed.shape[1]] = packed
+        self.words = raw.view(np.uint64)
+        some, at = self.words != 0, np.arange(size, dtype=np.int32)
+        #: nearest word with a mark, at or before and at or after each word
+        self.back = np.maximum.accumulate(np.where(some, at, 0), 1)
+        self.ahead = np.minimum.accumulate(np.where(some, at, size)[:, ::-1], 1)[:, ::-1]
+
+    def begin(self, d: np.ndarray, row: np.ndarray) -> np.ndarray:
+        """Last mark of length d at or before the row."""
+        w = row >> 6
+        here = self.words[d, w] & (~_U(0) >> (63 - (row & 63)).astype(np.uint64))
+        w = np.where(here != 0, w, self.back[d, np.maximum(w - 1, 0)])
+        here = np.where(here != 0, here, self.words[d, w])
+        for shift in (1, 2, 4, 8, 16, 32):
+            here = here | (here >> _U(shift))
+        return (w << 6) + np.bitwise_count(here).astype(np.int64) - 1
+
+    def end(self, d: np.ndarray, row: np.ndarray) -> np.ndarray:
+        """First mark of length d after the row, or the number of rows."""
+        w, last = row >> 6, self.words.shape[1]
+        here = self.words[d, w] & ~(~_U(0) >> (63 - (row & 63)).astype(np.uint64))
+        after = np.where(w + 1 < last, self.ahead[d, np.minimum(w + 1, last - 1)], last)
+        w = np.where(here != 0, w, after)
+        here = np.where(here != 0, here, self.words[d, np.minimum(w, last - 1)])
+        low = np.bitwise_count((here & (~here + _U(1))) - _U(1)).astype(np.int64)
+        return np.where(w >= last, self.n, (w << 6) + low)
+
+
 class WaveletMatrix:
     def __init__(self, x: np.ndarray, n_symbols: int) -> None:
         self.levels = []
@@ -56,24 +96,22 @@ class FMIndex:
     def __init__(self, text: np.ndarray, n_symbols: int, depth: int) -> None:
         n = len(text)
         self.n, self.depth = n, depth
-        self.order = self._sort(text, depth)
-        self.wavelet = WaveletMatrix(text[self.order - 1], n_symbols)
+        order = self._sort(text, depth)
+        self.wavelet = WaveletMatrix(text[order - 1], n_symbols)
         self.first = np.concatenate([[0], np.cumsum(np.bincount(text, minlength=n_symbols))])
         padded = np.concatenate([text, np.zeros(depth, text.dtype)])
         self.lcp = np.zeros(n + 1, np.int8)
         alive = np.ones(max(n - 1, 0), bool)
+        new = np.zeros((depth + 1, n), bool)
+        new[:, :1] = True
         for k in range(depth):
-            x = padded[self.order + k]
+            x = padded[order + k]
             alive &= x[1:] == x[:-1]
             self.lcp[1:n] += alive
-        place = np.arange(n, dtype=np.int32)
-        #: by depth: where the run of rows that share so many leading symbols starts and ends
-        self.starts = np.zeros((depth + 1, n), np.int32)
-        self.ends = np.full((depth + 1, n), n, np.int32)
-        for d in range(1, depth + 1):
-            new = self.lcp[:n] < d
-            self.starts[d] = np.maximum.accumulate(np.where(new, place, 0))
-            self.ends[d] = np.minimum.accumulate(np.where(np.append(new[1:], True), place + 1, n)[::-1])[::-1]
+            new[k + 1, 1:] = ~alive
+        self.runs = Runs(new)
+        #: by row, once: where in the text it starts; callers take what they need and drop it
+        self.order = order.astype(np.int32 if n < 2**31 else np.int64)
 
     @staticmethod
     def _sort(text: np.ndarray, depth: int) -> np.ndarray:
@@ -102,7 +140,7 @@ class FMIndex:
 
         def shorten(which: np.ndarray, to: np.ndarray) -> None:
             row = lo[which]
-            lo[which], hi[which], size[which] = self.starts[to, row], self.ends[to, row], to
+            lo[which], hi[which], size[which] = self.runs.begin(to, row), self.runs.end(to, row), to
 
         for c in range(queries.shape[1] - 1, -1, -1):
             symbol = queries[:, c]
