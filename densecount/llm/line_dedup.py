@@ -65,11 +65,15 @@ def dedup(docs: DataFrame, size: int = WINDOW) -> DataFrame:
     gone = covered(docs, size).withColumnRenamed("doc_id", "_gone_id")
     lines = _lines(F.col("text"))
     joined = docs.join(gone, docs["doc_id"] == gone["_gone_id"], "left").drop("_gone_id")
-    kept = F.concat_ws("\n", F.filter(F.transform(lines, lambda x, i: F.struct(x.alias("x"), i.alias("i"))), lambda y: ~F.array_contains("_gone_lines", y["i"]))["x"])
+    # the lines as a column of their own: inlined below, they would be split once per line
+    joined = joined.withColumn("_all_lines", F.when(F.spark_partition_id() < 0, None).otherwise(lines))
+    lines = F.col("_all_lines")
+    stay = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), "_gone_lines")  # by hashing
+    kept = F.concat_ws("\n", F.transform(stay, lambda i: F.get(lines, i)))
     return joined.withColumns(
         {
             "n_lines": F.size(F.filter(lines, lambda x: ~_blank(x))).cast("long"),
             "n_removed": F.coalesce(F.size("_gone_lines"), F.lit(0)).cast("long"),
             "text": F.when(F.col("_gone_lines").isNull(), F.col("text")).otherwise(kept),
         }
-    ).drop("_gone_lines")
+    ).drop("_gone_lines", "_all_lines")

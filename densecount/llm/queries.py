@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bwt_dedup, decontaminate, fm_dedup, license_scan, line_dedup, ngram_join, packing, quality_rules, suffix_lm, toxicity
+from . import bwt_dedup, decontaminate, fm_dedup, license_scan, line_dedup, ngram_join, packing, quality_rules, stages, suffix_lm, toxicity
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -28,7 +28,7 @@ def op3_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     done = line_dedup.dedup(_docs(spark, sf_dir).select("doc_id", "text"))
-    return done.select("doc_id", "n_lines", "n_removed", F.md5("text").alias("kept_md5"))
+    return done.select("doc_id", "n_lines", "n_removed", F.md5(F.coalesce("text", F.lit(""))).alias("kept_md5"))
 
 
 def op5_toxicity_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -58,9 +58,7 @@ def op10_bwt_merge_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
-    import corpus_pipeline
-
-    return corpus_pipeline.run(spark, sf_dir)
+    return stages.run(spark, sf_dir)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
