@@ -2,8 +2,9 @@
 
 Symbols are the bytes of the lower-cased words, joined by single spaces, and a text's end.
 Every context of up to ``depth`` bytes is counted over all training texts. A context is
-retained if it stands at least ``least`` times and if its next-symbol counts diverge enough from its parent's (the context without its farthest byte), or if a longer
-retained context needs it. Next-symbol distributions are smoothed towards the parent's, down
+retained if it stands at least ``least`` times and if its next-symbol counts diverge enough
+from its parent's (the context without its farthest byte), or if a longer retained context
+needs it. Next-symbol distributions are smoothed towards the parent's, down
 to a root with half a count per symbol. A token is spelled with the longest retained suffix
 of what precedes each symbol, across word borders; the probability of a token seen in
 training mixes that with its share of the training tokens. All unseen tokens are one symbol,
@@ -20,7 +21,9 @@ words by hash, a row per (block, bucket), and get the counts back in the same or
 neither the vocabulary nor the texts are gathered anywhere.
 
 Edge cases: null and empty texts are their end alone; a null doc_id counts as the text "";
-repeated rows are separate documents; without any training text all counts are zero.
+repeated rows are separate documents; a very long text is a block of its own; without any
+training text all counts are zero; an empty table gives an empty result; extra columns are
+ignored.
 """
 
 from __future__ import annotations
@@ -45,6 +48,7 @@ class TreeSpec:
     least: int = 8  # occurrences of a retained context, at any corpus size
     gain: float = 30.0  # least log-likelihood ratio (nats) against the parent context
     tree_share: float = 0.5  # of the tree in a known token's probability
+    bucket_bytes: int = 8 << 20  # of texts for each bucket
     strength: float = 4.0  # of the parent's distribution, in counts
     folds: int = 5
     held_fold: int = 1
@@ -186,21 +190,23 @@ def states(key: np.ndarray, count: np.ndarray, spec: TreeSpec) -> pa.Table:
     """(level, context, symbol, n): next-symbol counts of the retained contexts of two or
     more bytes, from all grams of a bucket, sorted."""
     symbol = key & _U(255)
-    level: dict[int, tuple] = {}
-    for n in range(2, spec.depth + 1):
+
+    def level(n: int) -> tuple:
         context = key >> _U(8 * (spec.depth - n + 1))
         pair, c = _merge([(context << _U(8)) | symbol], [count])
         owner = pair >> _U(8)
         begin = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]])) if len(owner) else np.zeros(0, np.int64)
-        each = np.repeat(np.arange(len(begin)), np.diff(np.append(begin, len(owner))))
-        level[n] = (owner[begin], pair, c, each, np.add.reduceat(c, begin) if len(begin) else c)
+        each = np.repeat(np.arange(len(begin), dtype=np.int32), np.diff(np.append(begin, len(owner))))
+        return owner[begin], pair, c, each, np.add.reduceat(c, begin) if len(begin) else c
+
     out = []
     wanted = np.zeros(0, np.uint64)  # contexts that longer retained ones need
+    parents = level(spec.depth)
     for n in range(spec.depth, 1, -1):
-        owner, pair, c, each, total = level[n]
+        (owner, pair, c, each, total), parents = parents, level(n - 1) if n >= 3 else None  # two levels at a time
         keep = total >= spec.least
         if n >= 3:  # shorter parents are not complete in one bucket
-            p_owner, p_pair, p_c, _, p_total = level[n - 1]
+            p_owner, p_pair, p_c, _, p_total = parents
             up = (pair >> _U(16) << _U(8)) | (pair & _U(255))
             at = np.searchsorted(p_pair, up)
             parent = p_c[at] / p_total[np.searchsorted(p_owner, up >> _U(8))]
@@ -286,7 +292,7 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
     """Unigram base and suffix-tree log10 probabilities of every text."""
     blocks = store.settle(packs(docs, spec), "packs")
     size = blocks.agg(F.sum("bytes")).first()[0] or 0
-    buckets = max(8, size // (24 << 20))
+    buckets = max(8, size // spec.bucket_bytes)
 
     counted = store.settle(gram_counts(blocks, spec, buckets), "grams")
     short = pa.Table.from_pylist([r.asDict() for r in short_states(counted, spec).collect()], SHORT)  # at most 65,792 rows
