@@ -168,14 +168,17 @@ def _keys(blob: bytes) -> np.ndarray:
     return np.cumsum(store.unpack(blob, np.uint64))
 
 
-def short_states(counted: DataFrame, spec: TreeSpec) -> DataFrame:
-    """(level, context, symbol, n) of the contexts of at most one byte; a sum of sums."""
+def short_states(blocks: DataFrame, spec: TreeSpec) -> DataFrame:
+    """(level, context, symbol, n) of the contexts of at most one byte in the training texts;
+    a sum of sums."""
 
     def run(batches):
         total = np.zeros((SYMBOLS, SYMBOLS), np.int64)
         for row in store.each_row(batches):
-            key = _keys(row["keys"])
-            np.add.at(total, ((key >> _U(8 * spec.depth)).astype(np.int64), (key & _U(255)).astype(np.int64)), store.unpack(row["counts"], np.int32))
+            b = Block(row)
+            symbols, offsets, _ = b.symbols()
+            pair = grams(symbols, offsets, 1)[np.repeat(~b.held, np.diff(offsets))]
+            total += np.bincount(pair.astype(np.int64), minlength=SYMBOLS * SYMBOLS).reshape(SYMBOLS, SYMBOLS)
         context, symbol = np.nonzero(total)
         root = np.flatnonzero(total.sum(0))
         yield store.rows(
@@ -183,7 +186,7 @@ def short_states(counted: DataFrame, spec: TreeSpec) -> DataFrame:
             symbol=pa.array(np.concatenate([root, symbol]).astype(np.int32)), n=pa.array(np.concatenate([total.sum(0)[root], total[context, symbol]])),
         )
 
-    return counted.select("keys", "counts").mapInArrow(run, _SHORT).groupBy("level", "context", "symbol").agg(F.sum("n").alias("n"))
+    return blocks.mapInArrow(run, _SHORT).groupBy("level", "context", "symbol").agg(F.sum("n").alias("n"))
 
 
 def states(key: np.ndarray, count: np.ndarray, spec: TreeSpec) -> pa.Table:
@@ -294,9 +297,8 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
     size = blocks.agg(F.sum("bytes")).first()[0] or 0
     buckets = max(8, size // spec.bucket_bytes)
 
-    counted = store.settle(gram_counts(blocks, spec, buckets), "grams")
-    short = pa.Table.from_pylist([r.asDict() for r in short_states(counted, spec).collect()], SHORT)  # at most 65,792 rows
-    spelt = store.settle(spell(counted, short, spec), "spelt").groupBy("block").agg(F.collect_list(F.struct("bucket", "logs")).alias("spelt"))  # as many as a block asked
+    short = pa.Table.from_pylist([r.asDict() for r in short_states(blocks, spec).collect()], SHORT)  # at most 65,792 rows
+    spelt = spell(gram_counts(blocks, spec, buckets), short, spec).groupBy("block").agg(F.collect_list(F.struct("bucket", "logs")).alias("spelt"))  # as many as a block asked
 
     def ask(batches):
         for row in store.each_row(batches):
@@ -328,6 +330,7 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
     asked = store.settle(blocks.mapInArrow(ask, _ASK), "words")
     answers = store.settle(asked.groupBy("bucket").applyInArrow(answer, _ANSWER), "counts")
     sums = asked.agg(F.sum("docs").alias("docs"), F.sum("tokens").alias("tokens")).first()
+    store.drop(asked)
     train_docs, n_words = sums["docs"] or 0, sums["tokens"] or 0
     total = n_words + train_docs
     found = answers.agg(F.sum("known").alias("known"), F.sum("once").alias("once")).first()
