@@ -48,7 +48,7 @@ class TreeSpec:
     least: int = 8  # occurrences of a retained context, at any corpus size
     gain: float = 30.0  # least log-likelihood ratio (nats) against the parent context
     tree_share: float = 0.5  # of the tree in a known token's probability
-    bucket_bytes: int = 8 << 20  # of texts for each bucket
+    bucket_bytes: int = 4 << 20  # of texts for each bucket
     strength: float = 4.0  # of the parent's distribution, in counts
     folds: int = 5
     held_fold: int = 1
@@ -128,8 +128,9 @@ def _merge(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray
     key, count = np.concatenate(keys), np.concatenate(counts)
     order = np.argsort(key, kind="stable")
     key, count = key[order], count[order]
+    del order
     begin = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
-    return key[begin], np.add.reduceat(count, begin) if len(key) else count
+    return key[begin], np.add.reduceat(count, begin, dtype=np.int64) if len(key) else count.astype(np.int64)
 
 
 _GRAM = store.schema("bucket int, block long, keys binary, counts binary")
@@ -229,11 +230,11 @@ def spell(counted: DataFrame, short: pa.Table, spec: TreeSpec) -> DataFrame:
     block sent to a bucket, in their order."""
 
     def run(table: pa.Table) -> pa.Table:
-        asked = [_keys(x) for x in table["keys"].to_pylist()]
-        key, count = _merge(asked, [store.unpack(x, np.int32).astype(np.int64) for x in table["counts"].to_pylist()])
+        asked = table["keys"].to_pylist()  # unpacked twice rather than held
+        key, count = _merge([_keys(x) for x in asked], [store.unpack(x, np.int32) for x in table["counts"].to_pylist()])
         tree = Tree(pa.concat_tables([short, states(key[count > 0], count[count > 0], spec)]), spec)
         logs = np.log10(tree.probability(key)).astype(np.float32)
-        back = [store.pack(logs[np.searchsorted(key, x)]) for x in asked]
+        back = [store.pack(logs[np.searchsorted(key, _keys(x))]) for x in asked]
         return pa.table({"block": table["block"], "bucket": table["bucket"], "logs": pa.array(back, pa.binary())})
 
     return counted.groupBy("bucket").applyInArrow(run, _SPELLED)
