@@ -11,10 +11,10 @@ training mixes that with its share of the training tokens. All unseen tokens are
 as in the unigram base, with the probability mass of tokens seen once.
 
 The retained contexts grow with the corpus, so the tree is nowhere as a whole. It is dealt
-out by the two nearest bytes: blocks of documents send their distinct grams with training
+out by the three nearest bytes: blocks of documents send their distinct grams with training
 counts, a row per (block, bucket); a bucket builds its part of the tree from them and sends
-their probabilities back in the same order. Only contexts of one byte or none, at most
-65,792 counts at any size, go to all tasks.
+their probabilities back in the same order. Only the counts of contexts of up to two bytes,
+at most 256 ** 3 at any size, go to all tasks.
 
 The unigram base needs the count of every word. Blocks of documents ask for their distinct
 words by hash, a row per (block, bucket), and get the counts back in the same order, so
@@ -134,16 +134,17 @@ def _merge(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray
 
 
 _GRAM = store.schema("bucket int, block long, keys binary, counts binary")
-_SHORT = store.schema("level int, context long, symbol int, n long")
+_SHORT = store.schema("gram long, n long")
+NEAR = 3  # nearest bytes that deal grams out; shorter contexts are counted apart
 
 
 def _gram_bucket(key: np.ndarray, spec: TreeSpec, buckets: int) -> np.ndarray:
-    return (textops.mix(key >> _U(8 * (spec.depth - 1))) % _U(buckets)).astype(np.int32)
+    return (textops.mix(key >> _U(8 * (spec.depth - NEAR + 1))) % _U(buckets)).astype(np.int32)
 
 
 def gram_counts(blocks: DataFrame, spec: TreeSpec, buckets: int) -> DataFrame:
     """The distinct grams of each block with their counts in its training texts, dealt out
-    by their two nearest bytes."""
+    by their three nearest bytes."""
 
     def run(batches):
         for row in store.each_row(batches):
@@ -169,35 +170,41 @@ def _keys(blob: bytes) -> np.ndarray:
     return np.cumsum(store.unpack(blob, np.uint64))
 
 
-def short_states(blocks: DataFrame, spec: TreeSpec) -> DataFrame:
-    """(level, context, symbol, n) of the contexts of at most one byte in the training texts;
-    a sum of sums."""
+def short_counts(blocks: DataFrame) -> DataFrame:
+    """(gram, n) of contexts of two bytes in the training texts; a sum of sums."""
 
     def run(batches):
-        total = np.zeros((SYMBOLS, SYMBOLS), np.int64)
+        gram, n = np.zeros(0, np.uint64), np.zeros(0, np.int64)
         for row in store.each_row(batches):
             b = Block(row)
             symbols, offsets, _ = b.symbols()
-            pair = grams(symbols, offsets, 1)[np.repeat(~b.held, np.diff(offsets))]
-            total += np.bincount(pair.astype(np.int64), minlength=SYMBOLS * SYMBOLS).reshape(SYMBOLS, SYMBOLS)
-        context, symbol = np.nonzero(total)
-        root = np.flatnonzero(total.sum(0))
-        yield store.rows(
-            _SHORT, level=[0] * len(root) + [1] * len(context), context=pa.array(np.concatenate([np.zeros(len(root), np.int64), context])),
-            symbol=pa.array(np.concatenate([root, symbol]).astype(np.int32)), n=pa.array(np.concatenate([total.sum(0)[root], total[context, symbol]])),
-        )
+            here, count = np.unique(grams(symbols, offsets, 2)[np.repeat(~b.held, np.diff(offsets))], return_counts=True)
+            gram, n = _merge([gram, here], [n, count])
+        yield store.rows(_SHORT, gram=pa.array(gram.view(np.int64)), n=pa.array(n))
 
-    return blocks.mapInArrow(run, _SHORT).groupBy("level", "context", "symbol").agg(F.sum("n").alias("n"))
+    return blocks.mapInArrow(run, _SHORT).groupBy("gram").agg(F.sum("n").alias("n"))
 
 
-def states(key: np.ndarray, count: np.ndarray, spec: TreeSpec) -> pa.Table:
+def short_states(gram: np.ndarray, n: np.ndarray) -> pa.Table:
+    """(level, context, symbol, n) of the contexts of at most one byte, from those of two."""
+    root = np.bincount((gram & _U(255)).astype(np.int64), n, minlength=SYMBOLS).astype(np.int64)
+    symbol = np.flatnonzero(root)
+    pair, c = _merge([(gram >> _U(16) << _U(8)) | (gram & _U(255))], [n])
+    return pa.table(
+        [np.repeat([0, 1], [len(symbol), len(pair)]).astype(np.int32), np.concatenate([np.zeros(len(symbol), np.int64), (pair >> _U(8)).view(np.int64)]),
+         np.concatenate([symbol, (pair & _U(255)).view(np.int64)]).astype(np.int32), np.concatenate([root[symbol], c])], schema=SHORT,
+    )
+
+
+def states(key: np.ndarray, count: np.ndarray, spec: TreeSpec, above: tuple[np.ndarray, np.ndarray] | None = None) -> pa.Table:
     """(level, context, symbol, n): next-symbol counts of the retained contexts of two or
-    more bytes, from all grams of a bucket, sorted."""
+    more bytes, from all grams of a bucket, sorted. ``above`` has the grams of two-byte
+    contexts, sorted, and their counts; without it they are counted here."""
     symbol = key & _U(255)
 
     def level(n: int) -> tuple:
         context = key >> _U(8 * (spec.depth - n + 1))
-        pair, c = _merge([(context << _U(8)) | symbol], [count])
+        pair, c = above if n == 2 and above else _merge([(context << _U(8)) | symbol], [count])
         owner = pair >> _U(8)
         begin = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]])) if len(owner) else np.zeros(0, np.int64)
         each = np.repeat(np.arange(len(begin), dtype=np.int32), np.diff(np.append(begin, len(owner))))
@@ -209,7 +216,7 @@ def states(key: np.ndarray, count: np.ndarray, spec: TreeSpec) -> pa.Table:
     for n in range(spec.depth, 1, -1):
         (owner, pair, c, each, total), parents = parents, level(n - 1) if n >= 3 else None  # two levels at a time
         keep = total >= spec.least
-        if n >= 3:  # shorter parents are not complete in one bucket
+        if n >= 3:  # of two bytes, all are kept that stand often enough
             p_owner, p_pair, p_c, _, p_total = parents
             up = (pair >> _U(16) << _U(8)) | (pair & _U(255))
             at = np.searchsorted(p_pair, up)
@@ -225,14 +232,14 @@ def states(key: np.ndarray, count: np.ndarray, spec: TreeSpec) -> pa.Table:
 _SPELLED = store.schema("block long, bucket int, logs binary")
 
 
-def spell(counted: DataFrame, short: pa.Table, spec: TreeSpec) -> DataFrame:
+def spell(counted: DataFrame, short: pa.Table, above: tuple[np.ndarray, np.ndarray], spec: TreeSpec) -> DataFrame:
     """(block, bucket, logs): log10 P(symbol | longest retained suffix) of the grams that a
     block sent to a bucket, in their order."""
 
     def run(table: pa.Table) -> pa.Table:
         asked = table["keys"].to_pylist()  # unpacked twice rather than held
         key, count = _merge([_keys(x) for x in asked], [store.unpack(x, np.int32) for x in table["counts"].to_pylist()])
-        tree = Tree(pa.concat_tables([short, states(key[count > 0], count[count > 0], spec)]), spec)
+        tree = Tree(pa.concat_tables([short, states(key[count > 0], count[count > 0], spec, above)]), spec)
         logs = np.log10(tree.probability(key)).astype(np.float32)
         back = [store.pack(logs[np.searchsorted(key, _keys(x))]) for x in asked]
         return pa.table({"block": table["block"], "bucket": table["bucket"], "logs": pa.array(back, pa.binary())})
@@ -298,8 +305,9 @@ def score(docs: DataFrame, spec: TreeSpec = TreeSpec()) -> DataFrame:
     size = blocks.agg(F.sum("bytes")).first()[0] or 0
     buckets = max(8, size // spec.bucket_bytes)
 
-    short = pa.Table.from_pylist([r.asDict() for r in short_states(blocks, spec).collect()], SHORT)  # at most 65,792 rows
-    spelt = spell(gram_counts(blocks, spec, buckets), short, spec).groupBy("block").agg(F.collect_list(F.struct("bucket", "logs")).alias("spelt"))  # as many as a block asked
+    counts = short_counts(blocks).toArrow()  # at most 256 ** 3 rows
+    above = _merge([counts["gram"].to_numpy().view(np.uint64)], [counts["n"].to_numpy()])
+    spelt = spell(gram_counts(blocks, spec, buckets), short_states(*above), above, spec).groupBy("block").agg(F.collect_list(F.struct("bucket", "logs")).alias("spelt"))  # as many as a block asked
 
     def ask(batches):
         for row in store.each_row(batches):
