@@ -30,6 +30,7 @@ from __future__ import annotations
 
 import zlib
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -63,6 +64,7 @@ def fold(doc_ids: list, folds: int) -> np.ndarray:
     return np.array([zlib.crc32(b"" if x is None else str(x).encode()) % folds for x in doc_ids], np.int64)
 
 
+BLOCK = 4 << 20  # bytes of texts: a gram is sent once for each block that has it
 _PACK = store.schema("block long, ids binary, known binary, held binary, offsets binary, bytes long, texts binary")
 
 
@@ -71,7 +73,7 @@ def packs(docs: DataFrame, spec: TreeSpec) -> DataFrame:
 
     def run(batches):
         base = TaskContext.get().partitionId() << 32
-        for k, (batch, data, offsets) in enumerate(textops.blocks(batches, (2 << 20) - 4096)):
+        for k, (batch, data, offsets) in enumerate(textops.blocks(batches, BLOCK)):
             ids = batch.column(0).to_pylist()
             known = np.array([x is not None for x in ids])
             number = np.array([x or 0 for x in ids], np.int64)
@@ -94,7 +96,10 @@ class Block:
         data = textops.lower(np.frombuffer(raw, np.uint8))
         self.data = data
         self.starts, self.ends, self.ptr = textops.words(data, self.offsets, textops.SPACED)
-        self.words = textops.word_hashes(data, self.starts, self.ends)
+
+    @cached_property
+    def words(self) -> np.ndarray:
+        return textops.word_hashes(self.data, self.starts, self.ends)
 
     def symbols(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """The texts as bytes (each word with a space, then the end), the documents'
@@ -113,15 +118,12 @@ class Block:
 
 def grams(symbols: np.ndarray, offsets: np.ndarray, depth: int) -> np.ndarray:
     """Per symbol a key: nearest context byte on top, the farthest below, the symbol last."""
-    n = len(symbols)
-    key = np.zeros(n, np.uint64)
-    position = np.arange(n) - np.repeat(offsets[:-1], np.diff(offsets))
-    for back in range(1, depth + 1):
-        prior = np.zeros(n, np.uint64)
-        prior[back:] = symbols[:-back] if back < n else 0
-        prior[position < back] = END
-        key = (key << _U(8)) | prior
-    return (key << _U(8)) | symbols.astype(np.uint64)
+    size = np.diff(offsets)
+    at = np.arange(len(symbols)) + np.repeat(np.arange(1, len(size) + 1) * depth, size)
+    padded = np.full(len(symbols) + len(size) * depth + 8, END, np.uint8)  # each text after its own ends
+    padded[at] = symbols
+    near = np.ndarray(len(padded) - 7, "<u8", padded, strides=(1,))  # eight bytes from each place on
+    return ((near[at - depth] & _U((1 << 8 * depth) - 1)) << _U(8)) | symbols
 
 
 def _merge(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
@@ -150,18 +152,19 @@ def gram_counts(blocks: DataFrame, spec: TreeSpec, buckets: int) -> DataFrame:
         for row in store.each_row(batches):
             b = Block(row)
             symbols, offsets, _ = b.symbols()
-            key = grams(symbols, offsets, spec.depth)
-            train = np.repeat(~b.held, np.diff(offsets))
-            order = np.argsort(key, kind="stable")
-            key, train = key[order], train[order].astype(np.int64)
+            key = (grams(symbols, offsets, spec.depth) << _U(1)) | np.repeat(~b.held, np.diff(offsets))
+            key.sort()  # of 57 bits, the last tells training texts
+            key, train = key >> _U(1), (key & _U(1)).astype(np.int32)
             begin = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
-            key, count = key[begin], np.add.reduceat(train, begin).astype(np.int32) if len(begin) else np.zeros(0, np.int32)
+            key, count = key[begin], np.add.reduceat(train, begin, dtype=np.int32) if len(begin) else train
             bucket = _gram_bucket(key, spec, buckets)
             order = np.argsort(bucket, kind="stable")
             here, first = np.unique(bucket[order], return_index=True)
-            for k, x, y in zip(here.tolist(), first, np.append(first[1:], len(order))):
-                part = order[x:y]
-                yield store.rows(_GRAM, bucket=[k], block=[row["block"]], keys=[store.pack(np.diff(key[part], prepend=_U(0)))], counts=[store.pack(count[part])])
+            parts = np.split(order, first[1:]) if len(here) else []
+            yield store.rows(
+                _GRAM, bucket=pa.array(here, pa.int32()), block=[row["block"]] * len(here), keys=[store.pack(np.diff(key[x], prepend=_U(0))) for x in parts],
+                counts=[store.pack(count[x]) for x in parts],
+            )
 
     return blocks.mapInArrow(run, _GRAM)
 
