@@ -8,6 +8,7 @@ compiled into one loop. Longs are read as unsigned.
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -117,3 +118,25 @@ def wide_rank(df: DataFrame, key: str, out: str = "z") -> DataFrame:
     df = with_rank(mix64(df, key, "_hi", 1), "_hi", "_zh", 64)
     df = with_rank(mix64(df, key, "_lo", 2), "_lo", "_zl", 63)
     return df.withColumn(out, F.when(F.col("_hi") == 0, F.col("_zl") + 64).otherwise(F.col("_zh"))).drop("_hi", "_lo", "_zh", "_zl")
+
+
+def mix64_np(key: np.ndarray) -> np.ndarray:
+    """``mix64`` of an array of longs, as unsigned words."""
+    x = np.ascontiguousarray(key, np.int64).view(np.uint64)
+    u = np.uint64
+    x = ~x + (x << u(21))
+    x = x ^ (x >> u(24))
+    x = x + (x << u(3)) + (x << u(8))
+    x = x ^ (x >> u(14))
+    x = x + (x << u(2)) + (x << u(4))
+    x = x ^ (x >> u(28))
+    return x + (x << u(31))
+
+
+def rank_np(h: np.ndarray, most: int = 62) -> np.ndarray:
+    """Leading zeros of unsigned words, by the ladder of ``with_rank``."""
+    x, n = h.copy(), np.zeros(len(h), np.int64)
+    for step in (32, 16, 8, 4, 2, 1):
+        empty = (x >> np.uint64(64 - step)) == 0
+        x, n = np.where(empty, x << np.uint64(step), x), n + step * empty
+    return np.minimum(n, most)

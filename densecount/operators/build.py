@@ -47,6 +47,49 @@ def state_histogram(bitmaps: DataFrame, by: Sequence[str] = ()) -> DataFrame:
     return rows.agg(F.count(F.lit(1)).alias("n"))
 
 
+# --- ranks of more than one hash word -----------------------------------------------------
+
+#: levels in the lower of two longs; the sign bit of each stays free
+WIDE = 63
+#: the rank to which the lowest register is brought before estimating
+LOWERED = 24
+
+
+def wide_hashed(df: DataFrame, key: str, by: Sequence[str] = (), registers: int = 1408) -> DataFrame:
+    """by..., bucket, z with ranks up to 127 from two further hashes of an integer key."""
+    rows = hashing.mix64(df.select(*by, F.col(key).cast("long").alias("_key")).where("_key is not null"), "_key", "h")
+    ranked = hashing.wide_rank(rows.withColumn("bucket", hashing.bucket(F.col("h"), registers)), "_key")
+    return ranked.select(*by, "bucket", (F.col("z") + hashing.barrier("int")).alias("z"))
+
+
+def wide_bitmaps(rows: DataFrame, by: Sequence[str] = ()) -> DataFrame:
+    """by..., bucket, low, high of rows (by..., bucket, z): bitmaps of levels 0 to 62 and 63 to
+    125 (higher ones count as 125). A register is two longs whatever the cardinality."""
+    z, none = F.least(F.col("z"), F.lit(2 * WIDE - 1)), F.lit(0).cast("long")
+    bit = lambda at: F.call_function("shiftleft", F.lit(1).cast("long"), F.greatest(at, F.lit(0)))
+    low, high = F.when(z < WIDE, bit(z)).otherwise(none), F.when(z >= WIDE, bit(z - WIDE)).otherwise(none)
+    return rows.groupBy(*by, "bucket").agg(F.bit_or(low).alias("low"), F.bit_or(high).alias("high"))
+
+
+def wide_levels(bitmaps: DataFrame) -> DataFrame:
+    """Add zmax and hist, as ``with_levels`` does for one long."""
+    top = hashing.with_rank(hashing.with_rank(bitmaps, "low", "_cl", 64), "high", "_ch", 64)
+    top = top.withColumn("zmax", F.when(F.col("high") != 0, F.lit(63 + WIDE) - F.col("_ch")).otherwise(F.lit(63) - F.col("_cl"))).drop("_cl", "_ch")
+
+    def seen(z: Column) -> Column:
+        return F.when(z >= WIDE, codec.bit_at(F.col("high"), z - WIDE)).otherwise(codec.bit_at(F.col("low"), z))
+
+    return top.withColumn("hist", seen(F.col("zmax") - 1) * 2 + seen(F.col("zmax") - 2))
+
+
+def lowered(levels: DataFrame, registers: int) -> DataFrame:
+    """Add shift and z = zmax - shift (columns g, zmax): once every register is filled, a
+    sketch that stands ``shift`` ranks lower estimates 2**shift times less, so ranks of any
+    height reach the estimators within one word."""
+    low = levels.groupBy("g").agg(F.when(F.count(F.lit(1)) < registers, 0).otherwise(F.greatest(F.lit(0), F.min("zmax") - LOWERED)).alias("shift"))
+    return levels.join(low, "g").withColumn("z", F.least(F.lit(62), F.col("zmax") - F.col("shift")))
+
+
 def floor_of(filled: Column, low: Column, registers: int) -> Column:
     """Shared floor: two below the lowest register once all are filled, else -1."""
     return F.when(filled < registers, -1).otherwise(F.greatest(F.lit(-1), low - codec.MARGIN)).cast("int")

@@ -258,6 +258,18 @@ def udtf_registers(spark, sf):
     return spark.sql(f"SELECT l_returnflag, count(*) AS filled FROM {name}, LATERAL dc_registers(words, registers) r WHERE r.state > 0 GROUP BY l_returnflag")
 
 
+@query(f"SELECT g AS l_returnflag, round(hybrid, 0) AS estimate, TRUE AS merged_near FROM ({estimate.text(histogram_sql('(SELECT l_returnflag AS g, l_orderkey AS k FROM lineitem)'), B)}) q")
+def q_sketch_agg(spark, sf):
+    """The aggregates of SQL text: a sketch per group, and the union of finer ones."""
+    sqlapi.register(spark)
+    name = f"lines_{uuid.uuid4().hex}"
+    _t(spark, sf, "lineitem").select("l_returnflag", "l_linestatus", "l_orderkey").createOrReplaceTempView(name)
+    whole = f"SELECT l_returnflag, dc_size(dc_sketch_agg(l_orderkey)) AS e FROM {name} GROUP BY l_returnflag"
+    parts = f"SELECT l_returnflag, dc_sketch_agg(l_orderkey) AS s FROM {name} GROUP BY l_returnflag, l_linestatus"
+    merged = f"SELECT l_returnflag, dc_size(dc_merge_agg(s)) AS m FROM ({parts}) GROUP BY l_returnflag"
+    return spark.sql(f"SELECT l_returnflag, round(e, 0) AS estimate, abs(m / e - 1) < 0.01 AS merged_near FROM ({whole}) JOIN ({merged}) USING (l_returnflag)")
+
+
 _STREAM_DAY = "(SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS g, user_id AS k FROM events)"
 
 
@@ -268,6 +280,26 @@ def stream_daily_users(spark, sf):
     return estimators.hybrid(hist, SMALL).select(F.col("g").alias("day"), F.round("estimate", 3).alias("users"))
 
 
+@query(f"SELECT g AS window_start, round(estimate, 3) AS users FROM {_est_sql(_SLIDING)} q")
+def stream_sliding_users(spark, sf):
+    bitmaps = windows.run_available(windows.windowed_bitmaps(windows.read_events(spark, sf), "user_id", "7 days", SMALL, slide="1 day"), "complete")
+    hist = build.state_histogram(bitmaps.select(F.date_format("window.start", "yyyy-MM-dd").alias("g"), "bucket", "bitmap"), ["g"])
+    return estimators.hybrid(hist, SMALL).select(F.col("g").alias("window_start"), F.round("estimate", 3).alias("users"))
+
+
+@query("""
+SELECT user_id, CAST(count(*) AS BIGINT) AS sessions, CAST(sum(n) AS BIGINT) AS events FROM (
+  SELECT user_id, session, count(*) AS n, max(ts) AS last FROM (
+    SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS session FROM (
+      SELECT user_id, ts, event_id, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events) a) b
+  GROUP BY user_id, session) c
+WHERE last + INTERVAL 30 MINUTE <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR GROUP BY user_id""")
+def stream_sessions(spark, sf):
+    """Sessions as a stream appends them: those that the watermark has closed."""
+    closed = windows.run_available(windows.session_counts(windows.read_events(spark, sf)), "append")
+    return closed.groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("events"))
+
+
 @query("SELECT TRUE AS same")
 def stream_redelivery(spark, sf):
     """A stream that gets every event twice ends with the same bitmaps."""

@@ -256,19 +256,32 @@ def base_wide_ml_d20(spark, sf):
     return _rounded(_wide(spark, sf, 256, 20))
 
 
+def shared_floor(hist: DataFrame, registers: int, margin: int) -> DataFrame:
+    """A histogram (g, z, hist, n) as four-bit exponents above a shared floor hold it: the floor
+    follows the lowest register once all are filled, and ranks beyond 15 above it saturate."""
+    base = hist.groupBy("g").agg(F.when(F.sum("n") < registers, -1).otherwise(F.greatest(F.lit(-1), F.min("z") - margin)).alias("base"))
+    held = F.col("base") + F.least(F.col("z") - F.col("base"), F.lit(15))
+    return hist.join(base, "g").groupBy("g", held.cast("int").alias("z"), "hist").agg(F.sum("n").alias("n"))
+
+
+def _shared_floor_sql(hist: str, registers: int, margin: int) -> str:
+    based = f"SELECT *, CASE WHEN sum(n) OVER (PARTITION BY g) < {registers} THEN -1 ELSE greatest(-1, min(z) OVER (PARTITION BY g) - {margin}) END AS base FROM {hist} a"
+    return f"(SELECT g, base + least(z - base, 15) AS z, hist, CAST(sum(n) AS BIGINT) AS n FROM ({based}) b GROUP BY g, base + least(z - base, 15), hist)"
+
+
 def _flat(registers: int) -> str:
     return f"(SELECT g, m AS z, 0 AS hist, count(*) AS n FROM {_ranks_sql(registers)} GROUP BY g, m)"
 
 
-@query(f"SELECT g, round(tiered_lc, 3) AS estimate FROM ({estimate.text(_flat(2048), 2048)}) q")
+@query(f"SELECT g, round(tiered_lc, 3) AS estimate FROM ({estimate.text(_shared_floor_sql(_flat(2048), 2048, 1), 2048)}) q")
 def base_floor4(spark, sf):
     hist = _ranks(spark, sf, 2048).groupBy("g", F.col("m").alias("z"), F.lit(0).alias("hist")).agg(F.count(F.lit(1)).alias("n"))
-    return _rounded(estimators.component(hist, "tiered_lc", 2048))
+    return _rounded(estimators.component(shared_floor(hist, 2048, 1), "tiered_lc", 2048))
 
 
-@query(f"SELECT g, round(hybrid, 3) AS estimate FROM ({estimate.text(histogram_sql(THREE, registers=1280), 1280)}) q")
+@query(f"SELECT g, round(hybrid, 3) AS estimate FROM ({estimate.text(_shared_floor_sql(histogram_sql(THREE, registers=1280), 1280, codec.MARGIN), 1280)}) q")
 def base_floor6h(spark, sf):
-    return _rounded(estimators.hybrid(_hist(three_keys(spark, sf), registers=1280), 1280))
+    return _rounded(estimators.hybrid(shared_floor(_hist(three_keys(spark, sf), registers=1280), 1280, codec.MARGIN), 1280))
 
 
 def twobit_text(table: str, registers: int) -> str:
@@ -612,11 +625,33 @@ def wl_early_exit_safe(spark, sf):
     return same.crossJoin(F.broadcast(fewer))  # one row each
 
 
-@query("SELECT TRUE AS beyond_63, TRUE AS none_beyond_127")
+#: ranks that are added to every element's: as if so many powers of two more had been seen
+PLANTED = (0, 40, 80)
+_WIDE_B = 88
+_WIDE_RANKS = f"(SELECT CAST(a.h % {_WIDE_B} AS INT) AS bucket, CASE WHEN b.h = 0 THEN 64 + 64 - length(bin(CAST(c.h AS UBIGINT))) ELSE 64 - length(bin(CAST(b.h AS UBIGINT))) END AS z FROM ({duck.mixed('orders', 'o_orderkey', 'o_orderkey')}) a JOIN ({duck.mixed('orders', 'o_orderkey', 'o_orderkey', 1)}) b ON b.o_orderkey = a.o_orderkey JOIN ({duck.mixed('orders', 'o_orderkey', 'o_orderkey', 2)}) c ON c.o_orderkey = a.o_orderkey)"
+_WIDE_ROWS = f"(SELECT v.g, r.bucket, r.z + v.g AS z FROM {_WIDE_RANKS} r, (VALUES {', '.join(f'({x})' for x in PLANTED)}) AS v(g))"
+_WIDE_TOPS = f"(SELECT g, bucket, max(z) AS m FROM {_WIDE_ROWS} w GROUP BY g, bucket)"
+_WIDE_HIST = f"(SELECT t.g, t.bucket, t.m, max(CASE WHEN r.z = t.m - 1 THEN 2 ELSE 0 END) + max(CASE WHEN r.z = t.m - 2 THEN 1 ELSE 0 END) AS hist FROM {_WIDE_TOPS} t JOIN {_WIDE_ROWS} r ON r.g = t.g AND r.bucket = t.bucket GROUP BY t.g, t.bucket, t.m)"
+_WIDE_STAND = f"(SELECT *, CASE WHEN count(*) OVER (PARTITION BY g) < {_WIDE_B} THEN 0 ELSE greatest(0, min(m) OVER (PARTITION BY g) - {build.LOWERED}) END AS shift FROM {_WIDE_HIST} s)"
+_WIDE_LOW = f"(SELECT g, CAST(least(62, m - shift) AS INT) AS z, hist, count(*) AS n FROM {_WIDE_STAND} l GROUP BY g, least(62, m - shift), hist)"
+
+
+@query(
+    f"SELECT e.g AS planted, s.floor, s.top, round(e.hybrid * power(2.0, s.shift - e.g) / x.c, 6) AS ratio FROM ({estimate.text(_WIDE_LOW, _WIDE_B)}) e "
+    f"JOIN (SELECT g, CAST(max(shift) AS INT) AS shift, CAST(max(m) AS INT) AS top, CAST(CASE WHEN count(*) < {_WIDE_B} THEN -1 ELSE greatest(-1, min(m) - 2) END AS INT) AS floor FROM {_WIDE_STAND} y GROUP BY g) s ON s.g = e.g, (SELECT count(DISTINCT o_orderkey) AS c FROM orders) x"
+)
 def wl_wide_hash(spark, sf):
-    rows = hashing.wide_rank(_t(spark, sf, "orders").select("o_orderkey"), "o_orderkey")
-    planted = rows.select((F.col("z") + 64).alias("z")).unionAll(rows.select("z"))
-    return planted.agg((F.max("z") > 63).alias("beyond_63"), (F.max("z") <= 127).alias("none_beyond_127"))
+    """Sketches of ranks far beyond one hash word, on the same registers: floor, highest rank,
+    and the estimate's ratio to what the planted ranks stand for."""
+    o = _t(spark, sf, "orders").select("o_orderkey")
+    rows = build.wide_hashed(o, "o_orderkey", (), _WIDE_B).crossJoin(F.broadcast(spark.createDataFrame([(x,) for x in PLANTED], "g int")))  # three rows
+    levels = build.wide_levels(build.wide_bitmaps(rows.select("g", "bucket", (F.col("z") + F.col("g")).alias("z")), ["g"]))
+    low = build.lowered(levels, _WIDE_B)
+    hist = low.groupBy("g", "z", "hist").agg(F.count(F.lit(1)).alias("n"))
+    stand = low.groupBy("g").agg(F.max("shift").alias("shift"), F.max("zmax").alias("top"), build.floor_of(F.count(F.lit(1)), F.min("zmax"), _WIDE_B).alias("floor"))
+    truth = o.agg(F.countDistinct("o_orderkey").alias("c"))
+    out = estimators.hybrid(hist, _WIDE_B).join(stand, "g").crossJoin(F.broadcast(truth))  # one row
+    return out.select(F.col("g").alias("planted"), "floor", "top", F.round(F.col("estimate") * F.pow(F.lit(2.0), F.col("shift") - F.col("g")) / F.col("c"), 6).alias("ratio"))
 
 
 LOADS = tuple(2.0 ** (x / 2) for x in range(-6, 27))
