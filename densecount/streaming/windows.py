@@ -32,15 +32,36 @@ def session_counts(events: DataFrame, gap: str = "30 minutes", late: str = "1 ho
     return events.withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap)).agg(F.count(F.lit(1)).alias("n"))
 
 
+ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+
+
 def run_available(stream: DataFrame, mode: str) -> DataFrame:
-    """Run a stream over what there is and return its in-memory result."""
+    """Run a stream over what there is and return its result. Rows that are appended grow with
+    the input, so executors write them as Parquet beside the checkpoint; the other modes hold a
+    row per register and window, or per group, and keep them in memory."""
     spark, name = stream.sparkSession, f"stream_{uuid.uuid4().hex}"
     base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="densecount-stream-")
-    run = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{base}/{name}").trigger(availableNow=True).start()
-    run.awaitTermination()
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{base}/{name}").trigger(availableNow=True)
+    if mode == "append":
+        started = _with_state_on_disk(spark, writer.format("parquet").option("path", f"{base}/{name}-out").start)
+        started.awaitTermination()
+        return spark.read.schema(stream.schema).parquet(f"{base}/{name}-out")
+    writer.format("memory").queryName(name).start().awaitTermination()
     return spark.table(name)
 
 
+def _with_state_on_disk(spark: SparkSession, start):
+    """Start a stream, which copies the session's settings, with RocksDB as its state store:
+    all that the watermark has not closed yet need not fit the executors' heaps."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, ROCKSDB)
+    try:
+        return start()
+    finally:
+        spark.conf.set(key, before) if before else spark.conf.unset(key)
+
+
 def stateful_sketch(events: DataFrame, group: str, key: str, registers: int) -> DataFrame:
     """(group, adds, estimate) after each batch: one packed sketch per group is the state, and
     rows below its floor are dropped before any register is touched."""

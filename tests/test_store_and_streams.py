@@ -60,3 +60,16 @@ def test_late_rows_are_dropped_and_repeats_change_nothing(spark, tmp_path):
     got = {(r["day"], r["bucket"]): r["bitmap"] for r in out.select(F.date_format("window.start", "dd").alias("day"), "bucket", "bitmap").collect()}
     want = build.hashed(spark.createDataFrame([("01", 1), ("10", 2)], "day string, k long"), "k", ["day"], 11).collect()
     assert got == {(r["day"], r["bucket"]): 1 << r["z"] for r in want}
+
+
+def test_appended_rows_are_files_not_driver_memory(spark, tmp_path):
+    where = str(tmp_path / "in")
+    at = [(1, "2024-01-01 10:00:00"), (1, "2024-01-01 10:20:00"), (1, "2024-01-01 12:00:00"), (2, "2024-01-02 00:00:00")]
+    spark.createDataFrame(at, "user_id long, at string").select("user_id", F.to_timestamp("at").alias("ts")).coalesce(1).write.parquet(where)
+    stream = spark.readStream.schema("user_id long, ts timestamp").parquet(where)
+    out = windows.run_available(windows.session_counts(stream), "append")
+    assert sorted((r["user_id"], r["n"]) for r in out.collect()) == [(1, 1), (1, 2)]
+    assert out.inputFiles()
+    spark.createDataFrame([], "user_id long, ts timestamp").write.parquet(str(tmp_path / "none"))
+    none = windows.run_available(windows.session_counts(spark.readStream.schema("user_id long, ts timestamp").parquet(str(tmp_path / "none"))), "append")
+    assert none.count() == 0
