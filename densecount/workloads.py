@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -444,14 +446,20 @@ DRAWS = 4
 
 def pool_draws(part: DataFrame) -> DataFrame:
     """(k): four draws per pool member; each is the member at the smaller of two uniform
-    places, so low places are drawn far more often. Uniforms come from the mixer."""
+    places, so low places are drawn far more often. Uniforms come from the mixer, in NumPy:
+    two chained mixes as projections under a join take the optimiser gigabytes."""
     pool = build.numbered(part.select("p_partkey"), F.floor(F.col("p_partkey") / 1024), "p_partkey").select("p_partkey", (F.col("rn") - 1).alias("place"))
     n = pool.agg(F.count(F.lit(1)).alias("n"))
-    ids = pool.crossJoin(F.broadcast(n)).select("n", F.explode(F.sequence(F.lit(0), F.lit(DRAWS - 1))).alias("i"), "place")
-    ids = ids.withColumn("id", F.col("place") * DRAWS + F.col("i"))
-    u = hashing.mix64(hashing.mix64(ids, "id", "u1", 11), "id", "u2", 12)
-    spot = F.least(*[F.pmod(F.shiftrightunsigned(F.col(c), 11), F.col("n")) for c in ("u1", "u2")])
-    return u.select((spot + hashing.barrier()).alias("place")).join(pool, "place").select(F.lit("pool").alias("g"), F.col("p_partkey").alias("k"))
+    spots = pool.select("place").crossJoin(F.broadcast(n)).mapInArrow(_draw, "place long")  # one row
+    return spots.join(pool, "place").select(F.lit("pool").alias("g"), F.col("p_partkey").alias("k"))
+
+
+def _draw(batches):
+    for batch in batches:
+        ids = np.repeat(batch.column(0).to_numpy() * DRAWS, DRAWS) + np.tile(np.arange(DRAWS), batch.num_rows)
+        n = np.repeat(batch.column(1).to_numpy(), DRAWS).astype(np.uint64)
+        u = [hashing.mix64_np(ids ^ hashing.signed(seed * hashing.SEED_STEP)) >> np.uint64(11) for seed in (11, 12)]
+        yield pa.RecordBatch.from_arrays([pa.array(np.minimum(u[0] % n, u[1] % n).astype(np.int64))], ["place"])
 
 
 def _pool_sql() -> str:
