@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from . import baselines, metrics, simulate, sources
 from .functions import codec, hashing
-from .operators import build, estimators, sequential
+from .operators import build, estimators, grams, sequential
 from .plans import duck, estimate
 from .plans.estimate import COMPONENTS, BlendSpec
 from .registry import query
@@ -590,11 +590,8 @@ KMERS = (5, 8, 16, 31)
 
 @query(" UNION ALL ".join(_kmers_sql(k) for k in KMERS))
 def wl_kmer_distinct(spark, sf):
-    letters = _t(spark, sf, "documents").select("lang", F.split("text", "").alias("x"))  # a slice costs its own length only
-    sized = letters.select("lang", "x", F.explode(F.array(*map(F.lit, KMERS))).alias("n")).where(F.size("x") >= F.col("n"))
-    pieces = F.transform(F.sequence(F.lit(1), F.size("x") - F.col("n") + 1), lambda i: F.array_join(F.slice("x", i, F.col("n")), ""))
-    grams = sized.select(F.struct("lang", "n").alias("g"), F.explode(pieces).alias("t"))
-    return estimators.hybrid(_hist(grams, "t"), B).select(F.col("g.n").alias("k"), F.col("g.lang").alias("lang"), F.round("estimate", 3).alias("estimate"))
+    bitmaps = grams.substring_bitmaps(_t(spark, sf, "documents"), "lang", "text", KMERS, B)
+    return estimators.hybrid(build.state_histogram(bitmaps, ["g"]), B).select(F.col("g.n").alias("k"), F.col("g.lang").alias("lang"), F.round("estimate", 3).alias("estimate"))
 
 
 @query(f"SELECT g AS role, round(hybrid, 3) AS estimate FROM ({estimate.text(histogram_sql('(SELECT g, ' + duck.text_key('w[i] || chr(32) || w[i + 1] || chr(32) || w[i + 2]') + ' AS k FROM (SELECT role AS g, w, unnest(range(1, greatest(len(w) - 1, 1))) AS i FROM (SELECT role, string_split(lower(text), chr(32)) AS w FROM conversations) q) p)'), B)}) e")
