@@ -7,6 +7,7 @@ from densecount import experiments, sources
 SF = "/root/testdata/sf0.001"
 RUNS = {
     "bench_single": ["lineitem"],
+    "bench_many": ["lineitem"],
 }
 
 
