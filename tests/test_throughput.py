@@ -8,6 +8,7 @@ SF = "/root/testdata/sf0.001"
 RUNS = {
     "bench_single": ["lineitem"],
     "bench_many": ["lineitem"],
+    "bench_memory_sweep": ["lineitem"],
 }
 
 
