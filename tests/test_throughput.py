@@ -9,6 +9,7 @@ RUNS = {
     "bench_single": ["lineitem"],
     "bench_many": ["lineitem"],
     "bench_memory_sweep": ["lineitem"],
+    "bench_pressure_sweep": ["lineitem"],
 }
 
 
