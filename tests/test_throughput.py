@@ -10,6 +10,7 @@ RUNS = {
     "bench_many": ["lineitem"],
     "bench_memory_sweep": ["lineitem"],
     "bench_pressure_sweep": ["lineitem"],
+    "bench_cardinality_sweep": ["customer", "orders", "lineitem"],
 }
 
 
