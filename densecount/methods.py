@@ -15,20 +15,33 @@ from .operators import tensor
 LEVELS = 44
 
 
-def first_seen(rng: np.random.Generator, registers: int, split: int = 1, exact: int = 32_768) -> np.ndarray:
+def first_seen(rng: np.random.Generator, registers: int, split: int = 1, exact: int = 32_768, begun: np.ndarray | None = None, n: int = 0) -> np.ndarray:
     """[register, level * split + part]: the first ``exact`` elements are drawn one by one,
-    later first arrivals by exponential times, of which only the tails are needed."""
+    later first arrivals by exponential times, of which only the tails are needed. ``begun``
+    are first arrivals among ``n`` given elements, after which the drawn ones follow."""
     rate = np.repeat(2.0 ** -(np.arange(LEVELS) + 1.0) / (split * registers), split)
-    bucket = rng.integers(registers, size=exact)
-    level = np.minimum(-np.log2(1 - rng.random(exact)), LEVELS - 1).astype(np.int64)
-    cell = bucket * (LEVELS * split) + level * split + (rng.integers(split, size=exact) if split > 1 else 0)
     t = np.full(registers * LEVELS * split, np.inf)
-    t[cell[::-1]] = np.arange(exact, 0, -1)  # the earliest of a cell is assigned last
+    if n < exact:
+        bucket = rng.integers(registers, size=exact - n)
+        level = np.minimum(-np.log2(1 - rng.random(exact - n)), LEVELS - 1).astype(np.int64)
+        cell = bucket * (LEVELS * split) + level * split + (rng.integers(split, size=exact - n) if split > 1 else 0)
+        t[cell[::-1]] = np.arange(exact, n, -1)  # the earliest of a cell is assigned last
+    if begun is not None:
+        t = np.minimum(t, begun)
     late = np.isinf(t)
-    t[late] = exact + rng.exponential(1.0, int(late.sum())) / np.tile(rate, registers)[late]
+    t[late] = max(exact, n) + rng.exponential(1.0, int(late.sum())) / np.tile(rate, registers)[late]
     return t.reshape(registers, LEVELS * split)
 
 
+def note(begun: np.ndarray, h: np.ndarray, z: np.ndarray, place: np.ndarray, registers: int, split: int = 1) -> None:
+    """Lower ``begun`` to the places of elements with hashes ``h`` and ranks ``z``; places rise."""
+    low = (h >> np.uint64(baselines.LOW_SHIFT)).astype(np.int64) % split if split > 1 else 0
+    bucket = (h - h // np.uint64(registers) * np.uint64(registers)).astype(np.int64)
+    cell = (bucket * LEVELS + np.minimum(z, LEVELS - 1)) * split + low
+    new = np.flatnonzero(begun[cell] > place)[::-1]
+    begun[cell[new]] = place[new]  # the earliest of a cell is assigned last
+
+
 def levels(first: np.ndarray, at: float) -> tuple[np.ndarray, np.ndarray]:
     """(highest level or -1, two-bit history) of each register."""
     seen = first <= at
