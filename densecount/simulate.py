@@ -16,30 +16,42 @@ LEVELS = 48
 STRIDE = 1000
 
 
-def histograms(spark: SparkSession, instances: int, registers: int, loads: tuple[float, ...], seed: int = 1) -> DataFrame:
-    """(g, z, hist, n) with g = instance * 1000 + checkpoint number, at loads * B elements."""
+def histograms(spark: SparkSession, instances: int, registers: int, loads: tuple[float, ...], seed: int = 1, keys: DataFrame | None = None) -> DataFrame:
+    """(g, z, hist, n) with g = instance * 1000 + checkpoint number, at loads * B elements.
+    ``keys`` as in ``methods_at``."""
     assert len(loads) < STRIDE
     parts = min(instances, 4 * spark.sparkContext.defaultParallelism)
+    rate = 2.0 ** -(np.arange(LEVELS) + 1)
+
+    def rows(i: int, first: np.ndarray) -> pa.RecordBatch:
+        g, z, h, n = [], [], [], []
+        for c, load in enumerate(loads):
+            seen = first <= load
+            top = np.where(seen.any(1), seen.shape[1] - 1 - seen[:, ::-1].argmax(1), -1)
+            row = np.arange(registers)
+            one, two = seen[row, np.maximum(top - 1, 0)] & (top >= 1), seen[row, np.maximum(top - 2, 0)] & (top >= 2)
+            code, many = np.unique(np.where(top >= 0, top * 4 + 2 * one + two, -1), return_counts=True)
+            code, many = code[code >= 0], many[code >= 0]
+            g += [i * STRIDE + c] * len(code)
+            z += (code // 4).tolist()
+            h += (code % 4).tolist()
+            n += many.tolist()
+        return pa.RecordBatch.from_arrays([pa.array(g, pa.int64()), pa.array(z, pa.int32()), pa.array(h, pa.int32()), pa.array(n, pa.int64())], ["g", "z", "hist", "n"])
+
+    if keys is not None:
+        from . import methods
+
+        def each(i: int, n: int, begun: list[np.ndarray]) -> pa.Table:
+            first = methods.first_seen(np.random.default_rng([seed, i]), registers, begun=begun[0], n=n)
+            return pa.Table.from_batches([rows(i, first / registers)])
+
+        return by_instance(keys, instances, [(registers, 1)], seed, each, "g long, z int, hist int, n long")
 
     def run(batches):
-        rate = 2.0 ** -(np.arange(LEVELS) + 1)
         for batch in batches:
             for i in batch.column(0).to_pylist():
                 rng = np.random.default_rng([seed, i])
-                first = rng.exponential(1.0, (registers, LEVELS)) / rate
-                g, z, h, n = [], [], [], []
-                for c, load in enumerate(loads):
-                    seen = first <= load
-                    top = np.where(seen.any(1), LEVELS - 1 - seen[:, ::-1].argmax(1), -1)
-                    row = np.arange(registers)
-                    one, two = seen[row, np.maximum(top - 1, 0)] & (top >= 1), seen[row, np.maximum(top - 2, 0)] & (top >= 2)
-                    code, many = np.unique(np.where(top >= 0, top * 4 + 2 * one + two, -1), return_counts=True)
-                    code, many = code[code >= 0], many[code >= 0]
-                    g += [i * STRIDE + c] * len(code)
-                    z += (code // 4).tolist()
-                    h += (code % 4).tolist()
-                    n += many.tolist()
-                yield pa.RecordBatch.from_arrays([pa.array(g, pa.int64()), pa.array(z, pa.int32()), pa.array(h, pa.int32()), pa.array(n, pa.int64())], ["g", "z", "hist", "n"])
+                yield rows(i, rng.exponential(1.0, (registers, LEVELS)) / rate)
 
     return spark.range(0, instances, 1, parts).mapInArrow(run, "g long, z int, hist int, n long")
 

@@ -662,19 +662,23 @@ def wl_wide_hash(spark, sf):
 LOADS = tuple(2.0 ** (x / 2) for x in range(-6, 27))
 
 
-def _sim(spark, instances=48, registers=B):
-    return simulate.errors(estimators.all_components(simulate.histograms(spark, instances, registers, LOADS), registers), registers, LOADS, ("hybrid", "tiered_lc", "history_count", "mean", "mean_hist", "state_sum", "layered", "harmonic2"))
+def _sim(spark, sf, instances=48, registers=B):
+    keys = _t(spark, sf, "orders").select(F.col("o_orderkey").cast("long").alias("k"))
+    whole = tuple(round(x * registers) / registers for x in LOADS)
+    loads = simulate.going_on(whole, keys.distinct().count() / registers)
+    hist = simulate.histograms(spark, instances, registers, loads, keys=keys)
+    return simulate.errors(estimators.all_components(hist, registers), registers, loads, ("hybrid", "tiered_lc", "history_count", "mean", "mean_hist", "state_sum", "layered", "harmonic2"))
 
 
 @query()
 def sim_components(spark, sf):
     """Width-weighted, log-weighted and peak errors of every component, simulated at 1 KB."""
-    return metrics.summary(_sim(spark))
+    return metrics.summary(_sim(spark, sf))
 
 
 @query("SELECT TRUE AS hybrid_near_published, TRUE AS history_helps")
 def sim_components_hold(spark, sf):
-    s = {r["estimator"]: r for r in metrics.summary(_sim(spark)).collect()}  # eight rows
+    s = {r["estimator"]: r for r in metrics.summary(_sim(spark, sf)).collect()}  # eight rows
     ok = 0.0150 <= s["hybrid"]["width_w"] <= 0.0178
     return spark.createDataFrame([(bool(ok), bool(s["mean_hist"]["width_w"] < s["mean"]["width_w"] * 0.9))], "hybrid_near_published boolean, history_helps boolean")
 
