@@ -8,7 +8,7 @@ from densecount import methods, simulate
 from densecount.functions import hashing
 
 
-@pytest.mark.parametrize("name", ["sim_components", "sim_equal_memory", "sim_equal_memory_holds", "sim_memory_scaling_holds", "sim_ranking_holds"])
+@pytest.mark.parametrize("name", ["sim_components", "sim_equal_memory", "sim_equal_memory_holds", "sim_memory_scaling_holds", "sim_ranking_holds", "sim_repeated_holds"])
 def test_reads_orders(spark, name):
     files = entry.queries()[name](spark, "/root/testdata/sf0.001").inputFiles()
     assert [f.rsplit("/", 1)[1] for f in files] == ["orders.parquet"]
