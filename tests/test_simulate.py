@@ -14,6 +14,11 @@ def test_reads_orders(spark, name):
     assert [f.rsplit("/", 1)[1] for f in files] == ["orders.parquet"]
 
 
+def test_components_hold_needs_orders(spark, tmp_path):
+    with pytest.raises(Exception, match="orders.parquet"):
+        entry.queries()["sim_components_hold"](spark, str(tmp_path))
+
+
 def test_first_arrivals_are_those_of_the_rows(spark):
     keys = spark.createDataFrame([(int(k),) for k in [*range(0, 30_000, 3), 6, 9]] + [(None,)], "k long")
     shapes = [(88, 1), (16, 4)]
